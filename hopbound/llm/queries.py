@@ -1,10 +1,13 @@
 """The registered queries of this subpackage and their SQL."""
 
-from . import chat, mixing, simhash, urls
+from . import chat, mixing, packing, pii, simhash, spotsigs, urls
 
 QUERIES = {
     "op1_source_mixing": mixing.op1_source_mixing,
+    "op2_best_fit_packing": packing.op2_best_fit_packing,
     "op4_url_filter": urls.op4_url_filter,
+    "op5_spotsigs": spotsigs.op5_spotsigs,
+    "op6_pii_sanitisation": pii.op6_pii_sanitisation,
     "op7_simhash_dedup": simhash.op7_simhash_dedup,
     "op9_chat_formatting": chat.op9_chat_formatting,
 }
