@@ -48,7 +48,7 @@ def with_signatures(df: DataFrame, text: str, out: str) -> DataFrame:
 
     found = F.array_sort(F.array_distinct(F.filter(F.transform("_w", signature), lambda s: s.isNotNull())))
     df = df.withColumn("_s", found)
-    return df.withColumn(out, F.when(F.size("_s") > 0, F.col("_s")).otherwise(F.array_sort(F.array_distinct(F.transform("_w", F.hash))))).drop("_w", "_s")
+    return df.withColumn(out, F.when(F.size("_s") > 0, F.col("_s")).otherwise(F.array_sort(F.array_distinct(F.transform("_w", lambda w: F.hash(w)))))).drop("_w", "_s")
 
 
 def as_text(sigs: Column) -> Column:
