@@ -11,6 +11,7 @@ which is counted per task and summed over tasks, so no length is gathered anywhe
 
 from __future__ import annotations
 
+import os
 import zlib
 from collections.abc import Iterator
 from functools import cache
@@ -25,8 +26,11 @@ from .common import documents, written
 
 CAPACITY = 2048
 END = 0
-CACHED_WORDS = 400_000
-SEPARATORS = "\x1c\x1d\x1e\x1f"  # white space for str.split, not for the tokenizer
+CACHED_WORDS = 800_000
+NO_SPACE = "\x1c\x1d\x1e\x1f"  # white space for str.split, not for the tokenizer
+SEPARATOR = "\u2764"
+MARKS = ".,"
+SPECIAL = "<|"
 
 
 def default_tokenizer() -> str:
@@ -36,31 +40,67 @@ def default_tokenizer() -> str:
 
 
 class WordTokenizer:
-    """Ids of texts, word by word through a bounded cache: the tokenizer never joins characters across white space."""
+    """Ids of texts, word by word through a bounded cache.
 
-    def __init__(self, path: str):
-        import os
+    The tokenizer never joins characters across white space, nor a letter with the mark after it, and lower-cases;
+    so a text's ids are those of its words, a final full stop or comma apart. New words are encoded many at a time
+    with SEPARATOR between them, whose id no other word has.
+    """
 
+    def __init__(self, path: str):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
         self.known: dict[str, bytes] = {}
+        alone = [self._direct([x]) for x in (SEPARATOR, *MARKS)]
+        self.separator = np.frombuffer(alone[0][0], "<u4")
+        self.marks = {m: x[0] for m, x in zip(MARKS, alone[1:])}
 
-    def _encode(self, texts: list[str]) -> list[bytes]:
-        return [np.array(e.ids, "<u4").tobytes() for e in self.tokenizer.encode_batch(texts, add_special_tokens=False)]
+    def _direct(self, texts: list[str]) -> list[bytes]:
+        return [np.array(e.ids, "<u4").tobytes() for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
+
+    def _learn(self, words: set[str]) -> None:
+        known = self.known
+        marked = [w for w in words if w[-1] in MARKS and len(w) > 1 and w[-2].isalpha() and SPECIAL not in w]
+        bare = words.difference(marked)
+        bare.update(w[:-1] for w in marked if w[:-1] not in known)
+        odd = [w for w in bare if SEPARATOR in w or SPECIAL in w]
+        plain = list(bare.difference(odd))
+        if len(self.separator) != 1:
+            odd, plain = list(bare), []
+        known.update(zip(odd, self._direct(odd)))
+        groups = [plain[k : k + 256] for k in range(0, len(plain), 256)]
+        for group, e in zip(groups, self.tokenizer.encode_batch_fast([f" {SEPARATOR} ".join(g) for g in groups], add_special_tokens=False)):
+            ids = np.array(e.ids, "<u4")
+            cuts = (np.flatnonzero(ids == self.separator[0]) * 4).tolist()
+            raw = ids.tobytes()
+            known.update(zip(group, [raw[a:b] for a, b in zip([0, *[c + 4 for c in cuts]], [*cuts, len(raw)])]))
+        for w in marked:
+            known[w] = known[w[:-1]] + self.marks[w[-1]]
+
+    def _words(self, text: str) -> list[str] | None:
+        """None where the text must be encoded as it stands."""
+        if SPECIAL in text or any(c in text for c in NO_SPACE):
+            return None
+        try:
+            text.encode("latin-1")
+        except UnicodeEncodeError:
+            return text.split()
+        return text.lower().split()  # lower case is the same, letter by letter, in Latin-1
 
     def encode(self, texts: list[str]) -> list[bytes]:
         """Little-endian unsigned 32-bit ids of each text."""
-        words = [None if any(c in t for c in SEPARATORS) else t.split() for t in texts]
-        new = list(set().union(*[w for w in words if w]) - self.known.keys())
+        words = [self._words(t) for t in texts]
+        used = set().union(*[w for w in words if w])
+        new = used - self.known.keys()
         if len(self.known) + len(new) > CACHED_WORDS:
             self.known.clear()
-            new = list(set().union(*[w for w in words if w]))
-        known = self.known
-        for k in range(0, len(new), 4096):
-            known.update(zip(new[k : k + 4096], self._encode(new[k : k + 4096])))
-        return [self._encode([t])[0] if w is None else b"".join(map(known.__getitem__, w)) for t, w in zip(texts, words)]
+            new = used
+        if new:
+            self._learn(new)
+        look = self.known.__getitem__
+        return [self._direct([t])[0] if w is None else b"".join(map(look, w)) for t, w in zip(texts, words)]
 
 
 @cache

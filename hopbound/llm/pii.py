@@ -85,16 +85,16 @@ def disclosing_terms(docs: DataFrame, found: DataFrame, generalise: float = GENE
     n_e = each.groupBy("entity").agg(F.countDistinct("rid").alias("n_e"))
     joint = near.groupBy("entity", "term").agg(F.countDistinct("h").alias("texts"), F.countDistinct("rid").alias("n_te")).where(F.col("texts") >= support)
     joint = written(joint.join(n_e, "entity"), "joint")
-    terms = joint.select("term").distinct()
     words = docs.select("rid", F.explode(F.array_distinct(_words(F.col("text")))).alias("term"))
-    few = terms.limit(MAX_BROADCAST_TERMS + 1).count() <= MAX_BROADCAST_TERMS
-    occurs = written(words.join(F.broadcast(terms) if few else terms, "term", "left_semi"), "occurs")
-    n_t = occurs.groupBy("term").agg(F.count(F.lit(1)).alias("n_t"))
+    # counted over all words before the join, so that frequent terms are one row per task
+    n_t = words.groupBy(F.xxhash64("term").alias("t")).agg(F.count(F.lit(1)).alias("n_t"))
+    n_t = n_t.join(joint.select("term", F.xxhash64("term").alias("t")).distinct(), "t").select("term", "n_t")
     pmi = F.log(F.col("n_te") * n_docs / (F.col("n_t") * F.col("n_e")))
     ic = F.log(F.lit(n_docs) / F.col("n_e"))
     told = joint.join(n_t, "term").withColumn("disclosure", F.when(ic > 0, F.least(F.lit(1.0), pmi / ic)).otherwise(F.lit(0.0)))
-    told = told.groupBy("term").agg(F.round(F.max("disclosure"), 9).alias("disclosure")).where(F.col("disclosure") >= generalise)
-    return written(occurs.join(told, "term").groupBy("rid").agg(F.sort_array(F.collect_set(F.struct("term", "disclosure"))).alias("list")), "terms")
+    told = written(told.groupBy("term").agg(F.round(F.max("disclosure"), 9).alias("disclosure")).where(F.col("disclosure") >= generalise), "terms")
+    few = told.limit(MAX_BROADCAST_TERMS + 1).count() <= MAX_BROADCAST_TERMS
+    return written(words.join(F.broadcast(told) if few else told, "term").groupBy("rid").agg(F.sort_array(F.collect_set(F.struct("term", "disclosure"))).alias("list")), "listed")
 
 
 MAX_BROADCAST_TERMS = 100_000  # words, some 10 MB

@@ -1,6 +1,6 @@
 """The registered queries of this subpackage and their SQL."""
 
-from . import chat, mixing, packing, pii, simhash, spotsigs, urls
+from . import chat, mixing, packing, pii, quality, simhash, spotsigs, toxicity, urls
 
 QUERIES = {
     "op1_source_mixing": mixing.op1_source_mixing,
@@ -9,7 +9,9 @@ QUERIES = {
     "op5_spotsigs": spotsigs.op5_spotsigs,
     "op6_pii_sanitisation": pii.op6_pii_sanitisation,
     "op7_simhash_dedup": simhash.op7_simhash_dedup,
+    "op8_toxicity": toxicity.op8_toxicity,
     "op9_chat_formatting": chat.op9_chat_formatting,
+    "op10_quality_classifier": quality.op10_quality_classifier,
 }
 
 ORACLES = {
