@@ -12,12 +12,15 @@ which is counted per task and summed over tasks, so no length is gathered anywhe
 from __future__ import annotations
 
 import os
+import re
 import zlib
 from collections.abc import Iterator
 from functools import cache
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -26,10 +29,8 @@ from .common import documents, written
 
 CAPACITY = 2048
 END = 0
-CACHED_WORDS = 800_000
-NO_SPACE = "\x1c\x1d\x1e\x1f"  # white space for str.split, not for the tokenizer
+CACHED_WORDS = 1_000_000
 SEPARATOR = "\u2764"
-MARKS = ".,"
 SPECIAL = "<|"
 
 
@@ -42,8 +43,8 @@ def default_tokenizer() -> str:
 class WordTokenizer:
     """Ids of texts, word by word through a bounded cache.
 
-    The tokenizer never joins characters across white space, nor a letter with the mark after it, and lower-cases;
-    so a text's ids are those of its words, a final full stop or comma apart. New words are encoded many at a time
+    The tokenizer lower-cases, and never joins characters across white space, nor a letter with the mark after it; so
+    a text's ids are those of its lower-case words, a full stop or comma after them apart. New words are encoded many at a time
     with SEPARATOR between them, whose id no other word has.
     """
 
@@ -52,55 +53,47 @@ class WordTokenizer:
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.known: dict[str, bytes] = {}
-        alone = [self._direct([x]) for x in (SEPARATOR, *MARKS)]
-        self.separator = np.frombuffer(alone[0][0], "<u4")
-        self.marks = {m: x[0] for m, x in zip(MARKS, alone[1:])}
+        self.known: dict[str, bytes] = {"": b""}
+        self.separator = np.frombuffer(self._direct([SEPARATOR])[0], "<u4")
 
-    def _direct(self, texts: list[str]) -> list[bytes]:
-        return [np.array(e.ids, "<u4").tobytes() for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
+    def _direct(self, words: list[str]) -> list[bytes]:
+        return [np.array(e.ids, "<u4").tobytes() for e in self.tokenizer.encode_batch_fast(words, add_special_tokens=False)]
 
-    def _learn(self, words: set[str]) -> None:
-        known = self.known
-        marked = [w for w in words if w[-1] in MARKS and len(w) > 1 and w[-2].isalpha() and SPECIAL not in w]
-        bare = words.difference(marked)
-        bare.update(w[:-1] for w in marked if w[:-1] not in known)
-        odd = [w for w in bare if SEPARATOR in w or SPECIAL in w]
-        plain = list(bare.difference(odd))
-        if len(self.separator) != 1:
-            odd, plain = list(bare), []
-        known.update(zip(odd, self._direct(odd)))
-        groups = [plain[k : k + 256] for k in range(0, len(plain), 256)]
+    def _learn(self, words: list[str]) -> None:
+        odd = [w for w in words if SPECIAL in w or SEPARATOR in w or len(self.separator) != 1]
+        self.known.update(zip(odd, self._direct(odd)))
+        new = list(set(words).difference(odd))
+        groups = [new[k : k + 256] for k in range(0, len(new), 256)]
         for group, e in zip(groups, self.tokenizer.encode_batch_fast([f" {SEPARATOR} ".join(g) for g in groups], add_special_tokens=False)):
             ids = np.array(e.ids, "<u4")
             cuts = (np.flatnonzero(ids == self.separator[0]) * 4).tolist()
             raw = ids.tobytes()
-            known.update(zip(group, [raw[a:b] for a, b in zip([0, *[c + 4 for c in cuts]], [*cuts, len(raw)])]))
-        for w in marked:
-            known[w] = known[w[:-1]] + self.marks[w[-1]]
-
-    def _words(self, text: str) -> list[str] | None:
-        """None where the text must be encoded as it stands."""
-        if SPECIAL in text or any(c in text for c in NO_SPACE):
-            return None
-        try:
-            text.encode("latin-1")
-        except UnicodeEncodeError:
-            return text.split()
-        return text.lower().split()  # lower case is the same, letter by letter, in Latin-1
-
-    def encode(self, texts: list[str]) -> list[bytes]:
-        """Little-endian unsigned 32-bit ids of each text."""
-        words = [self._words(t) for t in texts]
-        used = set().union(*[w for w in words if w])
-        new = used - self.known.keys()
-        if len(self.known) + len(new) > CACHED_WORDS:
-            self.known.clear()
-            new = used
-        if new:
+            self.known.update(zip(group, [raw[a:b] for a, b in zip([0, *[c + 4 for c in cuts]], [*cuts, len(raw)])]))
+
+    def encode(self, texts: pa.Array, end: int) -> tuple[np.ndarray, np.ndarray]:
+        """(ids of all texts, each with `end` after it; where each text ends). Null texts are empty."""
+        texts = pc.fill_null(texts, "")
+        plain = pc.invert(pc.match_substring_regex(texts, f"[^\\x00-\\x{{FF}}]|{re.escape(SPECIAL)}"))  # in Latin-1 lower case goes letter by letter
+        easy = pc.replace_substring_regex(pc.utf8_lower(texts), r"(\pL)([.,])([ \n])", r"\1 \2\3")
+        lists = pc.ascii_split_whitespace(pc.if_else(plain, easy, texts))
+        coded = lists.flatten().dictionary_encode()
+        words = coded.dictionary.to_pylist()
+        known = self.known
+        if len(known) + len(words) > CACHED_WORDS:
+            known.clear()
+            known[""] = b""
+        if new := [w for w in words if w not in known]:
             self._learn(new)
-        look = self.known.__getitem__
-        return [self._direct([t])[0] if w is None else b"".join(map(look, w)) for t, w in zip(texts, words)]
+        parts = [known[w] for w in words]
+        ids = np.frombuffer(b"".join(parts) + np.array([end], "<u4").tobytes(), "<u4")
+        size = np.fromiter((len(x) // 4 for x in [*parts, b"1234"]), np.int64, len(parts) + 1)
+        first = np.cumsum(size) - size
+        stops = lists.offsets.to_numpy()[1:] - lists.offsets.to_numpy()[0]
+        at = np.insert(coded.indices.to_numpy().astype(np.int64), stops, len(parts))
+        n = size[at]
+        ends = np.cumsum(n)
+        place = np.arange(ends[-1] if len(ends) else 0) + np.repeat(first[at] - ends + n, n)
+        return ids[place], ends[stops + np.arange(len(stops))]
 
 
 @cache
@@ -108,6 +101,18 @@ def _tokenizer(path: str) -> WordTokenizer:
     return WordTokenizer(path)
 
 
+def _ranks(length: np.ndarray, seen: np.ndarray) -> np.ndarray:
+    """Each row's place among the rows of its length so far; seen counts on."""
+    order = np.argsort(length, kind="stable")
+    ordered = length[order]
+    starts = np.flatnonzero(np.r_[True, ordered[1:] != ordered[:-1]]) if len(ordered) else np.zeros(0, np.int64)
+    n = np.diff(np.r_[starts, len(ordered)])
+    out = np.empty(len(length), np.int64)
+    out[order] = np.arange(len(ordered)) - np.repeat(starts, n) + np.repeat(seen[ordered[starts]], n)
+    seen[ordered[starts]] += n
+    return out
+
+
 def pieces(docs: DataFrame, capacity: int = CAPACITY, tokenizer_path: str | None = None) -> DataFrame:
     """One row per piece: doc_id, piece, start, length, ids (binary, little-endian unsigned 32-bit), ids_crc32, shard, rank.
 
@@ -116,24 +121,28 @@ def pieces(docs: DataFrame, capacity: int = CAPACITY, tokenizer_path: str | None
     """
     path = tokenizer_path or default_tokenizer()
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         shard, seen = TaskContext.get().partitionId(), np.zeros(capacity + 1, np.int64)
-        end, step = np.array([END], "<u4").tobytes(), 4 * capacity
-        for b in batches:
-            for at in range(0, len(b), 256):
-                part = b.iloc[at : at + 256]
-                rows = []
-                for d, ids in zip(part["doc_id"], _tokenizer(path).encode([t or "" for t in part["text"]])):
-                    ids += end
-                    for k, s in enumerate(range(0, len(ids), step)):
-                        x = ids[s : s + step]
-                        n = len(x) // 4
-                        rows.append((d, k, s // 4, n, x, zlib.crc32(x), shard, seen[n]))
-                        seen[n] += 1
-                yield pd.DataFrame(rows, columns=["doc_id", "piece", "start", "length", "ids", "ids_crc32", "shard", "rank"])
+        for whole in batches:
+            for k in range(0, whole.num_rows, 1000):
+                b = whole.slice(k, 1000)
+                ids, ends = _tokenizer(path).encode(b.column("text"), END)
+                begins = np.r_[0, ends[:-1]]
+                n = -(-(ends - begins) // capacity)
+                doc = np.repeat(np.arange(len(ends)), n)
+                piece = np.arange(len(doc)) - np.repeat(np.cumsum(n) - n, n)
+                start = piece * capacity
+                offsets = np.r_[begins[doc] + start, len(ids)]
+                length = np.diff(offsets)
+                raw = memoryview(ids).cast("B")
+                cut = (offsets * 4).tolist()
+                crc = np.fromiter((zlib.crc32(raw[x:y]) for x, y in zip(cut, cut[1:])), np.int64, len(doc))
+                data = pa.Array.from_buffers(pa.binary(), len(doc), [None, pa.py_buffer((offsets * 4).astype(np.int32)), pa.py_buffer(ids)])
+                columns = [b.column("doc_id").take(pa.array(doc)), pa.array(piece.astype(np.int32)), pa.array(start), pa.array(length), data, pa.array(crc), pa.array(np.full(len(doc), shard, np.int32)), pa.array(_ranks(length, seen))]
+                yield pa.RecordBatch.from_arrays(columns, ["doc_id", "piece", "start", "length", "ids", "ids_crc32", "shard", "rank"])
 
     kind = docs.schema["doc_id"].dataType.simpleString()
-    return docs.select("doc_id", "text").mapInPandas(run, f"doc_id {kind}, piece int, start long, length long, ids binary, ids_crc32 long, shard int, rank long")
+    return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, piece int, start long, length long, ids binary, ids_crc32 long, shard int, rank long")
 
 
 def knapsack(prices: np.ndarray) -> list[int]:
