@@ -1,10 +1,11 @@
 """The registered queries of this subpackage and their SQL."""
 
-from . import chat, mixing, packing, pii, quality, simhash, spotsigs, toxicity, urls
+from . import chat, media, mixing, packing, pii, quality, simhash, spotsigs, toxicity, urls
 
 QUERIES = {
     "op1_source_mixing": mixing.op1_source_mixing,
     "op2_best_fit_packing": packing.op2_best_fit_packing,
+    "op3_media_chunking": media.op3_media_chunking,
     "op4_url_filter": urls.op4_url_filter,
     "op5_spotsigs": spotsigs.op5_spotsigs,
     "op6_pii_sanitisation": pii.op6_pii_sanitisation,
