@@ -15,6 +15,7 @@ from functools import cache
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -67,19 +68,20 @@ def grams(text: str) -> np.ndarray:
 
 
 def gram_counts(trusted: DataFrame) -> DataFrame:
-    """(gram, n) over the whole texts of trusted: one partial count per task, then sharded by gram and summed."""
+    """(fold, gram, n) over the whole texts of trusted (text, fold 0 or 1): one partial count per task, then sharded by gram and summed."""
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        total = np.zeros(SYMBOLS**ORDER, np.int64)
+        total = np.zeros((2, SYMBOLS**ORDER), np.int64)
         for b in batches:
-            part = [grams(t) for t in b["text"] if t]
-            for k in range(0, len(part), 512):
-                code, n = np.unique(np.concatenate(part[k : k + 512]), return_counts=True)
-                total[code] += n
-        code = np.flatnonzero(total)
-        yield pd.DataFrame({"gram": code.astype(np.int32), "n": total[code]})
+            for fold in (0, 1):
+                part = [grams(t) for t in b["text"][b["fold"] == fold] if t]
+                for k in range(0, len(part), 512):
+                    code, n = np.unique(np.concatenate(part[k : k + 512]), return_counts=True)
+                    total[fold][code] += n
+        fold, code = np.nonzero(total)
+        yield pd.DataFrame({"fold": fold.astype(np.int32), "gram": code.astype(np.int32), "n": total[fold, code]})
 
-    return trusted.select("text").mapInPandas(run, "gram int, n long").groupBy("gram").agg(F.sum("n").alias("n"))
+    return trusted.select("text", "fold").mapInPandas(run, "fold int, gram int, n long").groupBy("fold", "gram").agg(F.sum("n").alias("n"))
 
 
 def _discounted(c: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -93,11 +95,9 @@ def _discounted(c: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return (c - off) / seen, np.where(total > 0, off.sum(axis=-1, keepdims=True) / seen, 1.0)
 
 
-def log_probabilities(code: np.ndarray, n: np.ndarray) -> np.ndarray:
-    """float32 table of log P(symbol | ORDER - 1 symbols before) for every ORDER-gram."""
-    c = np.zeros(SYMBOLS**ORDER, np.int64)
-    c[code] = n
-    c = c.reshape((SYMBOLS,) * ORDER)
+def log_probabilities(counts: np.ndarray) -> np.ndarray:
+    """float32 table of log P(symbol | ORDER - 1 symbols before) for every ORDER-gram, from the count of each."""
+    c = counts.reshape((SYMBOLS,) * ORDER)
     lower = [c]
     for _ in range(ORDER - 1):  # of lower orders, the numbers of different symbols before
         lower.append((lower[-1] > 0).sum(axis=0))
@@ -108,49 +108,69 @@ def log_probabilities(code: np.ndarray, n: np.ndarray) -> np.ndarray:
     return np.log(np.maximum(p, 1e-12)).astype(np.float32).ravel()
 
 
-def perplexities(docs: DataFrame, table: np.ndarray, average: float) -> DataFrame:
-    """docs' doc_id and other columns but text, with n_symbols and perplexity."""
+def perplexities(docs: DataFrame, table: np.ndarray, average: float, keep_text: bool = False) -> DataFrame:
+    """docs' columns (text only if keep_text) with n_symbols and perplexity."""
     sent = docs.sparkSession.sparkContext.broadcast(table)
-    rest = [c for c in docs.columns if c != "text"]
+    rest = [c for c in docs.columns if keep_text or c != "text"]
     schema = ", ".join(f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in rest)
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         t = sent.value
         for b in batches:
-            n, total = np.zeros(len(b), np.int64), np.zeros(len(b))
-            for k, text in enumerate(b["text"]):
+            n, total = np.zeros(b.num_rows, np.int64), np.zeros(b.num_rows)
+            for k, text in enumerate(b.column("text").to_pylist()):
                 if text:
                     x = t[grams(text)]
                     n[k], total[k] = len(x), x.sum(dtype=np.float64)
-            yield b[rest].assign(n_symbols=n, perplexity=np.exp(-(total + PRIOR_SYMBOLS * average) / (n + PRIOR_SYMBOLS)))
+            p = np.exp(-(total + PRIOR_SYMBOLS * average) / (n + PRIOR_SYMBOLS))
+            yield pa.RecordBatch.from_arrays([*(b.column(c) for c in rest), pa.array(n), pa.array(p)], [*rest, "n_symbols", "perplexity"])
+
+    return docs.mapInArrow(run, f"{schema}, n_symbols long, perplexity double")
+
 
-    return docs.mapInPandas(run, f"{schema}, n_symbols long, perplexity double")
+def model(docs: DataFrame, trusted: DataFrame, quantile: float = QUANTILE) -> tuple[np.ndarray, float, DataFrame, float]:
+    """(table of log probabilities, their average over trusted text, threshold of each language `_l`, threshold of all)."""
+    ids = trusted.select("doc_id").where(F.col("doc_id").isNotNull()).distinct()
+    few = ids.limit(MAX_BROADCAST_LABELS + 1).count() <= MAX_BROADCAST_LABELS
+    own = docs.select("doc_id", "lang", "text").join(F.broadcast(ids) if few else ids, "doc_id", "left_semi").withColumn("fold", F.pmod(F.xxhash64("text"), F.lit(2)).cast("int"))
+    counts = gram_counts(own).toPandas()  # at most 2 * SYMBOLS ** ORDER rows
+    folds = []
+    for fold in (0, 1):
+        part = counts[counts["fold"] == fold]
+        folds.append(np.bincount(part["gram"], weights=part["n"], minlength=SYMBOLS**ORDER).astype(np.int64))
+    halves = [log_probabilities(n) for n in folds]
+    n = folds[0] + folds[1]
+    table = log_probabilities(n)
+    average = float((table * n).sum() / n.sum()) if n.any() else float(np.log(1 / SYMBOLS))
+    # either half of the trusted texts (copies in one half) is judged by the model of the other, as new text would be
+    other = [perplexities(own.where(F.col("fold") == f).select("lang", "text"), halves[1 - f], average) for f in (0, 1)]
+    scored = written(other[0].unionByName(other[1]), "perplexity")
+    cut = F.percentile_approx("perplexity", quantile, 10000)
+    overall = scored.agg(cut).first()[0]
+    return table, average, scored.groupBy(F.col("lang").alias("_l")).agg(cut.alias("threshold")), float("inf") if overall is None else overall
+
+
+def _judged(docs: DataFrame, trusted: DataFrame, quantile: float, keep_text: bool) -> DataFrame:
+    table, average, by_lang, overall = model(docs, trusted, quantile)
+    few = by_lang.limit(MAX_LANGUAGES + 1).count() <= MAX_LANGUAGES
+    named = perplexities(docs, table, average, keep_text).join(F.broadcast(by_lang) if few else by_lang, F.col("lang").eqNullSafe(F.col("_l")), "left").drop("_l")
+    return named.withColumn("threshold", F.coalesce("threshold", F.lit(overall))).withColumn("keep", F.col("perplexity") <= F.col("threshold"))
 
 
 def classify(docs: DataFrame, trusted: DataFrame, quantile: float = QUANTILE) -> DataFrame:
-    """One row per row of docs: doc_id, lang, h (hash of the text), n_symbols, perplexity, threshold, trusted, keep.
+    """One row per row of docs: doc_id, lang, n_symbols, perplexity, threshold, keep.
 
     docs has doc_id, text, lang; other columns are ignored; trusted has the doc_ids of trusted documents. Null texts
     are empty and get average perplexity; a null language is one of its own; languages without trusted
     documents use the quantile of all; without any trusted documents all are kept. Repeated rows are all
     returned. No rows give no rows. Trusted ids are broadcast up to MAX_BROADCAST_LABELS, else joined by shuffle.
     """
-    ids = trusted.select("doc_id").where(F.col("doc_id").isNotNull()).distinct()
-    few = ids.limit(MAX_BROADCAST_LABELS + 1).count() <= MAX_BROADCAST_LABELS
-    ids = ids.withColumn("trusted", F.lit(True))
-    rows = docs.select("doc_id", "lang", "text").join(F.broadcast(ids) if few else ids, "doc_id", "left").withColumn("trusted", F.coalesce("trusted", F.lit(False)))
-    counts = gram_counts(rows.where("trusted")).toPandas()  # at most SYMBOLS ** ORDER rows
-    code, n = counts["gram"].to_numpy(np.int64), counts["n"].to_numpy(np.int64)
-    table = log_probabilities(code, n)
-    average = float((table[code] * n).sum() / max(1, n.sum())) if len(n) else float(np.log(1 / SYMBOLS))
-    scored = written(perplexities(rows.withColumn("h", F.xxhash64("text")), table, average), "perplexity")
-    own = scored.where("trusted")
-    by_lang = own.groupBy("lang").agg(F.percentile_approx("perplexity", quantile, 10000).alias("threshold")).withColumnRenamed("lang", "_l")
-    overall = own.agg(F.percentile_approx("perplexity", quantile, 10000)).first()[0]
-    few = by_lang.limit(MAX_LANGUAGES + 1).count() <= MAX_LANGUAGES
-    named = scored.join(F.broadcast(by_lang) if few else by_lang, scored["lang"].eqNullSafe(F.col("_l")), "left").drop("_l")
-    named = named.withColumn("threshold", F.coalesce("threshold", F.lit(overall).cast("double"), F.lit(float("inf"))))
-    return named.withColumn("keep", F.col("perplexity") <= F.col("threshold"))
+    return _judged(docs.select("doc_id", "text", "lang"), trusted, quantile, False)
+
+
+def accepted(docs: DataFrame, trusted: DataFrame, quantile: float = QUANTILE) -> DataFrame:
+    """The rows of docs, all columns, that classify keeps."""
+    return _judged(docs, trusted, quantile, True).where("keep").select(*docs.columns)
 
 
 def trusted_ids(spark: SparkSession, sf_dir: str) -> DataFrame:

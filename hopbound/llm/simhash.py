@@ -112,6 +112,13 @@ def _meet(fps: DataFrame, radius: int) -> DataFrame:
     return hubs.join(least, "point").where("fp <> b").select(F.col("fp").alias("a"), "b").distinct()
 
 
+def _components(fps: DataFrame, bits: int) -> DataFrame:
+    """(_fp, component) of the distinct fingerprints of fps; a component is named by one of its fingerprints."""
+    reps = fps.select("fp").distinct()
+    comp = components(links(reps, bits))
+    return reps.join(comp, reps["fp"] == comp["node"], "left").select(F.col("fp").alias("_fp"), F.coalesce("component", "fp").alias("component"))
+
+
 def near_duplicates(docs: DataFrame, bits: int = 4, shingle: int = 4) -> DataFrame:
     """(doc_id, fp, component_id): one row per row of docs.
 
@@ -120,14 +127,30 @@ def near_duplicates(docs: DataFrame, bits: int = 4, shingle: int = 4) -> DataFra
     all ids there are null. No rows give no rows.
     """
     fps = written(fingerprints(docs, shingle), "fingerprints")
-    reps = fps.groupBy("fp").agg(F.min("doc_id").alias("first"))
-    comp = components(links(reps.select("fp"), bits))
-    named = reps.join(comp, reps["fp"] == comp["node"], "left").select("fp", "first", F.coalesce("component", "fp").alias("component"))
-    best = named.groupBy("component").agg(F.min("first").alias("component_id"))
-    of = named.join(best, "component").select(F.col("fp").alias("_fp"), "component_id")
+    named = _components(fps, bits)
+    first = fps.groupBy("fp").agg(F.min("doc_id").alias("first")).join(named, F.col("fp") == F.col("_fp")).groupBy("component").agg(F.min("first").alias("component_id"))
+    of = named.join(first, "component").select("_fp", "component_id")
     return fps.join(of, fps["fp"] == of["_fp"]).select("doc_id", "fp", "component_id")
 
 
+def one_each(docs: DataFrame, bits: int = 4, shingle: int = 4) -> DataFrame:
+    """The row with the least doc_id (null last, then by hash of the text) of each group of near duplicates, all columns of docs."""
+    keyed = docs.withColumn("_h", F.xxhash64("text"))
+    fps = written(fingerprints(docs, shingle), "fingerprints")
+    at = fps.groupBy("fp").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id")).alias("first"))
+    named = _components(fps, bits)
+    first = at.join(named, F.col("fp") == F.col("_fp")).groupBy("component").agg(F.min("first").alias("first")).select("component", "first.doc_id")
+    kept = first.select(F.col("doc_id").alias("_d"), F.lit(True).alias("_kept")).distinct()
+    rows = keyed.join(kept, F.col("doc_id").eqNullSafe(F.col("_d"))).drop("_d", "_kept")
+    return _first_of(rows).select(*docs.columns)
+
+
+def _first_of(rows: DataFrame) -> DataFrame:
+    """One row of each doc_id, the one with the least text hash."""
+    rest = [c for c in rows.columns if c not in ("doc_id", "_h")]
+    return rows.groupBy("doc_id").agg(F.min_by(F.struct(*rest), "_h").alias("_r")).select("doc_id", "_r.*")
+
+
 def op7_simhash_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = near_duplicates(documents(spark, sf_dir).select("doc_id", "text"))
     return found.select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
