@@ -11,7 +11,6 @@ Training uses a bounded sample of labelled rows (TOXIC_ROWS and CLEAN_ROWS), sco
 from __future__ import annotations
 
 import re
-from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass, field
 
@@ -151,66 +150,73 @@ class ToxicityModel:
         return 1 / (1 + np.exp(-np.clip(self.slope * np.log(evidence + 1e-4) + self.shift, -30, 30)))
 
 
-def _signal(toxic: list[set[str]], clean: list[set[str]]) -> set[str]:
-    """Features in toxic texts far more often than the share of toxic texts makes likely (Chernoff bound)."""
-    t, c = Counter(), Counter()
-    for s in toxic:
-        t.update({f for w in s for f in features(w)})
-    for s in clean:
-        c.update({f for w in s for f in features(w)})
-    share = len(toxic) / max(1, len(toxic) + len(clean))
-    out = set()
-    for f, n in t.items():
-        m = n + c[f]
-        x = n / m
-        if x <= MIN_SHARE or n < 5:
-            continue
-        kl = x * np.log(x / share) + ((1 - x) * np.log((1 - x) / (1 - share)) if x < 1 else 0.0)
-        if m * kl > -np.log(CHANCE):
-            out.add(f)
-    return out
+class _Numbered:
+    """Texts as arrays of word numbers (-1 at sentence ends), and the numbered features of every word."""
+
+    def __init__(self, texts: list[str]):
+        number: dict[str, int] = {}
+        self.rows = [np.fromiter((-1 if _is_end(w) else number.setdefault(w, len(number)) for w in tokens(t)), np.int32) for t in texts]
+        names: dict[str, int] = {}
+        self.of_word = np.full((len(number), 1 + len(PREFIXES)), -1, np.int32)
+        for w, k in number.items():
+            for j, f in enumerate(features(w)):
+                self.of_word[k, j] = names.setdefault(f, len(names))
+        self.names = list(names)
+
+    def document_counts(self, which: np.ndarray) -> np.ndarray:
+        """Of each feature, how many of the texts flagged in `which` have it."""
+        n = np.zeros(len(self.names) + 1, np.int32)
+        for row, use in zip(self.rows, which):
+            if use:
+                n[np.unique(self.of_word[np.unique(row[row >= 0])])] += 1
+        return n[:-1]  # the last is of no feature
+
+
+def _signal(texts: _Numbered, toxic: np.ndarray) -> np.ndarray:
+    """Flags of features in toxic texts far more often than the share of toxic texts makes likely (Chernoff bound)."""
+    n, m = texts.document_counts(toxic), texts.document_counts(np.ones(len(toxic), bool))
+    share = toxic.mean()
+    x = n / np.maximum(m, 1)
+    with np.errstate(divide="ignore", invalid="ignore"):
+        kl = x * np.log(x / share) + np.where(x < 1, (1 - x) * np.log((1 - x) / (1 - share)), 0.0)
+    return (x > max(MIN_SHARE, share)) & (n >= 5) & (m * np.nan_to_num(kl) > -np.log(CHANCE))
 
 
 def fit(texts: list[str], toxic: list[int], prior: float, rounds: int = 60, seed: int = 1) -> ToxicityModel:
     """The field fitted to the labelled texts, and its document calibration; prior is the share of toxic documents at large."""
     model = ToxicityModel()
-    rows = [tokens(t) for t in texts]
-    bags = [{w for w in r if not _is_end(w)} for r in rows]
-    y = np.array(toxic)
-    signal = _signal([b for b, v in zip(bags, y) if v], [b for b, v in zip(bags, y) if not v])
-    if not signal or y.all() or not y.any():
-        model.shift = float(np.log(max(prior, 1e-6) / max(1 - prior, 1e-6))) if len(y) else -4.0
-        model.slope = 0.0
+    y = np.array(toxic, bool)
+    if y.all() or not y.any():
+        model.shift, model.slope = float(np.log(max(prior, 1e-6) / max(1 - prior, 1e-6))) if len(y) else -4.0, 0.0
+        return model
+    data = _Numbered(texts)
+    signal = _signal(data, y)
+    if not signal.any():
+        model.shift, model.slope = float(np.log(max(prior, 1e-6) / max(1 - prior, 1e-6))), 0.0
         return model
-    names = sorted(signal)
-    index = {f: k + 1 for k, f in enumerate(names)}  # 0: bias
+    names = [data.names[f] for f in np.flatnonzero(signal)]
+    column = np.zeros(len(signal) + 1, np.int32)  # 0: no signal
+    column[:-1][signal] = np.arange(1, len(names) + 1)
+    of_word = column[data.of_word]  # signal features of each word, 0 where none
+    told = of_word.any(axis=1)
     # sentences with a signal word, and as many others
-    kept: list[tuple[list[str], int]] = []
-    plain: list[tuple[list[str], int]] = []
-    for r, v in zip(rows, y):
-        cur: list[str] = []
-        for w in [*r, "."]:
-            if not _is_end(w):
-                cur.append(w)
-            elif cur:
-                hit = any(f in signal for x in cur for f in features(x))
-                (kept if hit else plain).append((cur[:MAX_CHAIN], int(v)))
-                cur = []
-    rng = np.random.default_rng(seed)
-    take = rng.permutation(len(plain))[: max(2000, len(kept))]
-    use = kept + [plain[k] for k in take]
+    kept: list[tuple[np.ndarray, bool]] = []
+    plain: list[tuple[np.ndarray, bool]] = []
+    for row, v in zip(data.rows, y):
+        for s in np.split(row, np.flatnonzero(row < 0)):
+            s = s[s >= 0][:MAX_CHAIN]
+            if len(s):
+                (kept if told[s].any() else plain).append((s, v))
+    order = np.random.default_rng(seed).permutation(len(plain))[: max(2000, len(kept))]
+    use = kept + [plain[k] for k in order]
     lengths = np.array([len(s) for s, _ in use], np.int64)
     starts = np.cumsum(lengths) - lengths
-    at, feat, label = [], [], np.zeros(int(lengths.sum()))
-    n = 0
-    for s, v in use:
-        for w in s:
-            found = [index[f] for f in features(w) if f in index]
-            at += [n] * (len(found) + 1)
-            feat += [0, *found]
-            label[n] = v and bool(found)
-            n += 1
-    at, feat = np.array(at), np.array(feat)
+    words = np.concatenate([s for s, _ in use])
+    n = len(words)
+    label = (told[words] & np.repeat([v for _, v in use], lengths)).astype(float)
+    found = of_word[words]
+    at, where = np.nonzero(found)
+    at, feat = np.r_[np.arange(n), at], np.r_[np.zeros(n, np.int64), found[at, where]]  # feature 0: bias
     w, t = np.zeros(len(names) + 1), np.zeros((2, 2))
     w[0] = -3.0
     seen = np.bincount(feat, weights=label[at], minlength=len(w))
@@ -229,8 +235,9 @@ def fit(texts: list[str], toxic: list[int], prior: float, rounds: int = 60, seed
         w += 0.3 * (mw / (1 - 0.9**k)) / (np.sqrt(vw / (1 - 0.99**k)) + 1e-8)
         t += 0.1 * (mt / (1 - 0.9**k)) / (np.sqrt(vt / (1 - 0.99**k)) + 1e-8)
     model.bias, model.log_t = float(w[0]), t
-    model.weights = {f: float(w[k]) for f, k in index.items()}
-    ev, _, _ = model.evidence(texts)
+    model.weights = {f: float(w[k]) for k, f in enumerate(names, 1)}
+    ev = np.concatenate([model.evidence(texts[k : k + 200])[0] for k in range(0, len(texts), 200)])
+    model.known.clear()
     x = np.log(ev + 1e-4)
     share = y.mean()
     weight = np.where(y == 1, prior / share, (1 - prior) / (1 - share))
