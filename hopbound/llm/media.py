@@ -26,6 +26,7 @@ UNIT, PAD = 192, b" "
 RATE = 8000
 MIN_CHUNK, MASK_BITS, MAX_CHUNK = 512, 11, 16384
 MASK = ((1 << MASK_BITS) - 1) << (32 - MASK_BITS)
+SAMPLE_ROWS, SAMPLE_BYTES, DICTIONARY_BYTES, LEVEL = 2000, 8192, 112 << 10, 12
 GEAR = np.random.default_rng(20240229).integers(0, 1 << 32, 256, dtype=np.uint32)
 
 
@@ -81,6 +82,23 @@ def features(samples: bytes) -> str:
     return f"{x.mean():.4f};{x.std():.4f};{int((side[1:] != side[:-1]).sum())};" + ",".join(f"{b / len(x):.4f}" for b in bands)
 
 
+def _named(data: bytes) -> bytes:
+    """Digest that names a chunk: 128 bits of SHA-256."""
+    return hashlib.sha256(data).digest()[:16]
+
+
+def train_dictionary(docs: DataFrame) -> bytes:
+    """A compression dictionary from at most SAMPLE_ROWS texts; empty if they are too few. It changes sizes only."""
+    texts = [r["text"].encode("utf-8", "surrogatepass")[:SAMPLE_BYTES] for r in docs.where(F.length("text") > 0).select("text").limit(SAMPLE_ROWS).collect()]
+    if sum(map(len, texts)) < 20 * DICTIONARY_BYTES:
+        return b""
+    return zstandard.train_dictionary(DICTIONARY_BYTES, texts).as_bytes()
+
+
+def _dictionary(data: bytes) -> dict:
+    return {"dict_data": zstandard.ZstdCompressionDict(data)} if data else {}
+
+
 def _split(text: str | None) -> tuple[bytes, bytes, int, list[bytes]]:
     """(digest of the media, media, length of the text, chunks)."""
     payload, n = payload_of(text)
@@ -97,18 +115,18 @@ def manifests(docs: DataFrame) -> DataFrame:
             rows = []
             for d, text in zip(b["doc_id"], b["text"]):
                 name, media, n, pieces = _split(text)
-                rows.append((d, name, n, len(media), [hashlib.sha256(p).digest() for p in pieces]))
+                rows.append((d, name, n, len(media), [_named(p) for p in pieces]))
             yield pd.DataFrame(rows, columns=["doc_id", "media", "n_bytes", "media_bytes", "chunks"])
 
     kind = docs.schema["doc_id"].dataType.simpleString()
     return docs.select("doc_id", "text").mapInPandas(run, f"doc_id {kind}, media binary, n_bytes long, media_bytes long, chunks array<binary>")
 
 
-def chunk_rows(docs: DataFrame) -> DataFrame:
+def chunk_rows(docs: DataFrame, dictionary: bytes = b"") -> DataFrame:
     """(digest, packed): the compressed chunks of docs, each once a task at most."""
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        squeeze, met, whole = zstandard.ZstdCompressor(level=6, write_content_size=True), set(), set()
+        squeeze, met, whole = zstandard.ZstdCompressor(level=LEVEL, **_dictionary(dictionary)), set(), set()
         for b in batches:
             rows = []
             for text in b["text"]:
@@ -117,7 +135,7 @@ def chunk_rows(docs: DataFrame) -> DataFrame:
                     continue
                 whole.add(name)
                 for p in pieces:
-                    digest = hashlib.sha256(p).digest()
+                    digest = _named(p)
                     if digest not in met:
                         met.add(digest)
                         rows.append((digest, squeeze.compress(p)))
@@ -126,20 +144,21 @@ def chunk_rows(docs: DataFrame) -> DataFrame:
     return docs.select("text").mapInPandas(run, "digest binary, packed binary")
 
 
-def store(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """(manifests, chunk store) of docs, both written; the store holds every digest once and is bucketed by it, so readers do not shuffle it."""
+def store(docs: DataFrame) -> tuple[DataFrame, DataFrame, bytes]:
+    """(manifests, chunk store, compression dictionary) of docs, the tables written; the store holds every digest once and is bucketed by it, so readers do not shuffle it."""
     spark = docs.sparkSession
     listed = written(manifests(docs), "manifests")
     n = int(spark.conf.get("spark.sql.shuffle.partitions"))
     table = f"chunks_{uuid.uuid4().hex}"
-    once = chunk_rows(docs).repartition(n, "digest").dropDuplicates(["digest"])
+    dictionary = train_dictionary(docs)
+    once = chunk_rows(docs, dictionary).repartition(n, "digest").dropDuplicates(["digest"])
     once.write.bucketBy(n, "digest").sortBy("digest").option("path", f"{shared_dir(spark)}/{table}").saveAsTable(table)
     del once
     release(spark)
-    return listed, spark.table(table)
+    return listed, spark.table(table), dictionary
 
 
-def read_back(listed: DataFrame, chunks: DataFrame) -> DataFrame:
+def read_back(listed: DataFrame, chunks: DataFrame, dictionary: bytes = b"") -> DataFrame:
     """(media, payload_bytes, payload_sha256, tail_crc32, feature) of every distinct media, from the chunks in their listed order.
 
     A media whose bytes do not have its digest raises an error.
@@ -149,7 +168,7 @@ def read_back(listed: DataFrame, chunks: DataFrame) -> DataFrame:
     parts = refs.join(chunks, "digest").groupBy("media").agg(F.sort_array(F.collect_list(F.struct("pos", "packed"))).alias("parts"))
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        unpack = zstandard.ZstdDecompressor()
+        unpack = zstandard.ZstdDecompressor(**_dictionary(dictionary))
         for b in batches:
             rows = []
             for name, ordered in zip(b["media"], b["parts"]):
@@ -169,8 +188,8 @@ def stored_media(docs: DataFrame) -> DataFrame:
     docs has doc_id and text; other columns are ignored. Null texts are empty (one unit of spaces);
     repeated rows are all returned; no rows give no rows.
     """
-    listed, chunks = store(docs)
-    found = written(read_back(listed, chunks), "features")
+    listed, chunks, dictionary = store(docs)
+    found = written(read_back(listed, chunks, dictionary), "features")
     release(docs.sparkSession)
     return listed.drop("chunks").join(found, "media").withColumn("media_sha256", F.lower(F.hex("media"))).drop("media")
 
