@@ -29,7 +29,7 @@ from .common import documents, written
 
 CAPACITY = 2048
 END = 0
-CACHED_WORDS = 1_000_000
+CACHED_WORDS = 500_000
 SEPARATOR = "\u2764"
 SPECIAL = "<|"
 

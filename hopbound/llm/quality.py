@@ -84,28 +84,38 @@ def gram_counts(trusted: DataFrame) -> DataFrame:
     return trusted.select("text", "fold").mapInPandas(run, "fold int, gram int, n long").groupBy("fold", "gram").agg(F.sum("n").alias("n"))
 
 
-def _discounted(c: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """(discounted share of each symbol, mass left to the lower order), contexts in rows, by three modified discounts."""
-    n = [max(1, int((c == k).sum())) for k in (1, 2, 3, 4)]
+def _discounts(c: np.ndarray) -> np.ndarray:
+    """What is taken off a count of 0, 1, 2, and 3 or more."""
+    n = [max(1, int(np.count_nonzero(c == k))) for k in (1, 2, 3, 4)]
     y = n[0] / (n[0] + 2 * n[1])
-    d = [0.0, *(min(k * 1.0, max(0.05, k - (k + 1) * y * n[k] / n[k - 1])) for k in (1, 2, 3))]
-    off = np.array(d)[np.minimum(c, 3).astype(np.int64)]
+    return np.array([0.0, *(min(k * 1.0, max(0.05, k - (k + 1) * y * n[k] / n[k - 1])) for k in (1, 2, 3))])
+
+
+def _discounted(c: np.ndarray, discounts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(discounted share of each symbol, mass left to the lower order); contexts are all axes but the last."""
+    off = discounts[np.minimum(c, 3)]
     total = c.sum(axis=-1, keepdims=True)
     seen = np.maximum(total, 1)
     return (c - off) / seen, np.where(total > 0, off.sum(axis=-1, keepdims=True) / seen, 1.0)
 
 
-def log_probabilities(counts: np.ndarray) -> np.ndarray:
-    """float32 table of log P(symbol | ORDER - 1 symbols before) for every ORDER-gram, from the count of each."""
-    c = counts.reshape((SYMBOLS,) * ORDER)
-    lower = [c]
-    for _ in range(ORDER - 1):  # of lower orders, the numbers of different symbols before
+def log_probabilities(code: np.ndarray, n: np.ndarray) -> np.ndarray:
+    """float32 table of log P(symbol | ORDER - 1 symbols before) for every ORDER-gram, from the counts of those seen."""
+    c = np.zeros(SYMBOLS**ORDER, np.int64)
+    c[code] = n
+    c = c.reshape((SYMBOLS,) * ORDER)
+    lower = [(c > 0).sum(axis=0)]
+    for _ in range(ORDER - 2):  # of lower orders, the numbers of different symbols before
         lower.append((lower[-1] > 0).sum(axis=0))
     p = np.full((1,), 1.0 / SYMBOLS)
     for counts in reversed(lower):
-        share, rest = _discounted(counts)
+        share, rest = _discounted(counts, _discounts(counts))
         p = share + rest * p
-    return np.log(np.maximum(p, 1e-12)).astype(np.float32).ravel()
+    table, d = np.empty(c.shape, np.float32), _discounts(c)
+    for first in range(SYMBOLS):  # a slice at a time, for the driver's memory
+        share, rest = _discounted(c[first], d)
+        table[first] = np.log(np.maximum(share + rest * p, 1e-12))
+    return table.ravel()
 
 
 def perplexities(docs: DataFrame, table: np.ndarray, average: float, keep_text: bool = False) -> DataFrame:
@@ -134,14 +144,12 @@ def model(docs: DataFrame, trusted: DataFrame, quantile: float = QUANTILE) -> tu
     few = ids.limit(MAX_BROADCAST_LABELS + 1).count() <= MAX_BROADCAST_LABELS
     own = docs.select("doc_id", "lang", "text").join(F.broadcast(ids) if few else ids, "doc_id", "left_semi").withColumn("fold", F.pmod(F.xxhash64("text"), F.lit(2)).cast("int"))
     counts = gram_counts(own).toPandas()  # at most 2 * SYMBOLS ** ORDER rows
-    folds = []
-    for fold in (0, 1):
-        part = counts[counts["fold"] == fold]
-        folds.append(np.bincount(part["gram"], weights=part["n"], minlength=SYMBOLS**ORDER).astype(np.int64))
-    halves = [log_probabilities(n) for n in folds]
-    n = folds[0] + folds[1]
-    table = log_probabilities(n)
-    average = float((table * n).sum() / n.sum()) if n.any() else float(np.log(1 / SYMBOLS))
+    parts = [counts[counts["fold"] == fold] for fold in (0, 1)]
+    halves = [log_probabilities(p["gram"].to_numpy(), p["n"].to_numpy()) for p in parts]
+    whole = counts.groupby("gram")["n"].sum()
+    code, n = whole.index.to_numpy(np.int64), whole.to_numpy(np.int64)
+    table = log_probabilities(code, n)
+    average = float((table[code] * n).sum() / n.sum()) if len(n) else float(np.log(1 / SYMBOLS))
     # either half of the trusted texts (copies in one half) is judged by the model of the other, as new text would be
     other = [perplexities(own.where(F.col("fold") == f).select("lang", "text"), halves[1 - f], average) for f in (0, 1)]
     scored = written(other[0].unionByName(other[1]), "perplexity")
