@@ -6,17 +6,21 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.functions import pandas_udf, udtf
+from pyspark.sql.types import BooleanType, LongType, StringType, StructType
 
 from hopbound.functions.search import Csr, search
 
+# workers import this module without a session, so types are objects here
+FOUND = StructType().add("len", LongType()).add("path_str", StringType())
 
-@pandas_udf("boolean")
+
+@pandas_udf(BooleanType())
 def is_simple(path: pd.Series) -> pd.Series:
     """Whether no node repeats, the closing node of a cycle aside."""
     return path.map(lambda p: p is not None and len(set(p[:-1])) == len(p) - 1 and p[-1] not in list(p[1:-1]))
 
 
-@pandas_udf("string")
+@pandas_udf(StringType())
 def canonical_cycle(path: pd.Series) -> pd.Series:
     """A closed path turned to begin at its least node."""
 
@@ -30,7 +34,7 @@ def canonical_cycle(path: pd.Series) -> pd.Series:
     return path.map(turn)
 
 
-@pandas_udf("long")
+@pandas_udf(LongType())
 def max_delay(steps_at: pd.Series) -> int:
     """Grouped: the largest gap of a run's output times."""
     at = sorted(steps_at)
@@ -56,7 +60,7 @@ class _BoundedPaths:
                     yield len(p) - 1, ">".join(str(csr.names[i]) for i in p)
 
 
-bounded_paths = udtf(_BoundedPaths, returnType="len bigint, path_str string")
+bounded_paths = udtf(_BoundedPaths, returnType=FOUND)
 
 
 class _PathsUpTo:
@@ -70,7 +74,7 @@ class _PathsUpTo:
                 yield len(p) - 1, ">".join(str(csr.names[i]) for i in p)
 
 
-paths_up_to = udtf(_PathsUpTo, returnType="len bigint, path_str string")
+paths_up_to = udtf(_PathsUpTo, returnType=FOUND)
 
 
 def register(spark: SparkSession) -> None:

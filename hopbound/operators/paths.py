@@ -137,7 +137,7 @@ def recursive_sql(edges_view: str, s: str, t: str, k: int) -> str:
 def walk_upper_bound(edges: DataFrame, s, t, k: int) -> DataFrame:
     """(len, walks): the numbers of s-t walks by length, an upper bound of the simple paths; one aggregation a hop."""
     spark = edges.sparkSession
-    front = spark.createDataFrame([(s, 1)], f"node {edges.schema['src'].dataType.simpleString()}, walks decimal(38,0)")
+    front = spark.createDataFrame([(s,)], f"node {edges.schema['src'].dataType.simpleString()}").withColumn("walks", F.lit(1).cast("decimal(38,0)"))
     out = None
     for h in range(1, k + 1):
         front = cut(front.where((F.col("node") != F.lit(t)) | (F.lit(h) == 1)).join(edges, F.col("node") == F.col("src")).groupBy(F.col("dst").alias("node")).agg(F.sum("walks").cast("decimal(38,0)").alias("walks")))

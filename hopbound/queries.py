@@ -20,7 +20,7 @@ from hopbound.operators.paths import all_cycles, path_string, recursive_sql, sim
 from hopbound.plans.choose import run_planned
 from hopbound.sources import datasource
 from hopbound.sources.generators import FIG_X, FIG_Y, lettered
-from hopbound.sources.tables import duck, graph, oracle, sql, table
+from hopbound.sources.tables import duck, graph, micros, oracle, sql, table
 from hopbound.streaming import cycles as stream
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -445,7 +445,7 @@ add("temporal_paths_payflow", lambda spark, d: _temporal(spark, d), f"WITH p AS
 
 def _temporal(spark: SparkSession, d: str) -> DataFrame:
     """Time-respecting two-hop purchase chains within two hours a hop: a range join, by two-hour bins on equal keys."""
-    p = table(spark, d, "events").where("event_type = 'purchase'").select(F.unix_micros("ts").alias("at"), "user_id")
+    p = table(spark, d, "events").where("event_type = 'purchase'").select(micros("ts").alias("at"), "user_id")
     wide = 7_200_000_000
     p = cut(p.withColumn("bin", F.floor(F.col("at") / wide)))
     ahead = p.select(F.col("at").alias("at2"), F.col("user_id").alias("u2"), F.explode(F.array(F.col("bin"), F.col("bin") - 1)).alias("bin"))
@@ -465,7 +465,7 @@ def _asof(spark: SparkSession, d: str) -> DataFrame:
 
 
 add("pair_queries_trade", lambda spark, d: _pairs(spark, d)[1].select("instance_id", "s", "t"), f"WITH n AS (SELECT src AS id FROM ({oracle('trade100')}) a UNION SELECT dst FROM ({oracle('trade100')}) b) SELECT a.id * 1000 + b.id AS instance_id, a.id AS s, b.id AS t FROM n a CROSS JOIN n b WHERE a.id <> b.id")
-same("payflow_by_day", "SELECT CAST(date_trunc('day', ts) AS DATE) AS day, count(*) AS purchases, count(DISTINCT user_id) AS users FROM {events} WHERE event_type = 'purchase' GROUP BY CAST(date_trunc('day', ts) AS DATE)")
+same("payflow_by_day", "SELECT CAST(CAST(date_trunc('day', ts) AS DATE) AS STRING) AS day, count(*) AS purchases, count(DISTINCT user_id) AS users FROM {events} WHERE event_type = 'purchase' GROUP BY CAST(date_trunc('day', ts) AS DATE)")
 same("gaps_days", "SELECT user_id, max(g) AS longest_gap FROM (SELECT user_id, datediff(CAST(lead(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS DATE), CAST(ts AS DATE)) AS g FROM {events}) x GROUP BY user_id", "SELECT user_id, CAST(max(g) AS INTEGER) AS longest_gap FROM (SELECT user_id, date_diff('day', CAST(ts AS DATE), CAST(lead(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS DATE)) AS g FROM {events}) x GROUP BY user_id")
 same("json_item", "SELECT event_type, CAST(get_json_object(props, '$.k') AS BIGINT) AS item, count(*) AS n FROM {events} GROUP BY event_type, CAST(get_json_object(props, '$.k') AS BIGINT)", "SELECT event_type, CAST(json_extract_string(props, '$.k') AS BIGINT) AS item, count(*) AS n FROM {events} GROUP BY ALL")
 same("lcg_nodes", "SELECT id, (id * 1103515245 + 12345) % 2147483648 AS x FROM (SELECT CAST(n_nationkey AS BIGINT) AS id FROM {nation}) t")

@@ -9,23 +9,27 @@ import uuid
 from collections.abc import Callable
 
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from hopbound.functions.search import Csr, search
 from hopbound.operators.cut import cut, shared_dir
 from hopbound.operators.paths import path_string, simple_paths
-from hopbound.sources.tables import PURCHASES, ordered_lead, sql, table
+from hopbound.sources.tables import PURCHASES, micros, ordered_lead, sql, table
 
 REGISTERED: list[tuple[str, Callable, str | None]] = []
-EDGE = "event_id bigint, ts timestamp, src bigint, dst bigint"
+
+
+def instant(ts: str, name: str = "ts") -> Column:
+    """A timestamp without time zone as an instant in UTC: watermarks need one."""
+    return F.timestamp_micros(micros(ts)).alias(name)
 
 
 def edge_events(spark: SparkSession, sf_dir: str) -> DataFrame:
     """(event_id, ts, src, dst): each purchase with the next purchaser, at the time of the later one."""
     e = sql(spark, sf_dir, PURCHASES).withColumn("day", F.date_trunc("day", "ts")).withColumn("me", F.struct("event_id", "ts", "user_id"))
     nxt = ordered_lead(e, ["ts", "event_id"], "me", "day").where("next IS NOT NULL AND next.user_id <> user_id")
-    return nxt.select("next.event_id", "next.ts", F.col("user_id").alias("src"), F.col("next.user_id").alias("dst"))
+    return nxt.select("next.event_id", instant("next.ts"), F.col("user_id").alias("src"), F.col("next.user_id").alias("dst"))
 
 
 def replay(df: DataFrame, order: str, files: int, late: str | None = None) -> DataFrame:
@@ -78,7 +82,8 @@ def closing_cycles(stream: DataFrame, k: int, hours: int, sink: str) -> None:
             s, t = csr.index(first["s"]), csr.index(first["t"])
             out = [] if s is None or t is None else search(csr, s, t, k - 1, "tight_seeded").outputs
             paths = [[csr.names[i] for i in p] for p in out]
-            return pd.DataFrame({"event_id": [first["event_id"]] * len(out), "len": [len(p) for p in paths], "cycle_str": [">".join(map(str, [p[-1], *p])) for p in paths]})
+            told = [">".join(map(str, [p[-1], *p])) for p in paths]
+            return pd.DataFrame({"event_id": pd.Series([first["event_id"]] * len(out), dtype="int64"), "len": pd.Series([len(p) for p in paths], dtype="int64"), "cycle_str": pd.Series(told, dtype=object)})
 
         near.groupBy("event_id").applyInPandas(go, "event_id bigint, len bigint, cycle_str string").write.mode("overwrite").parquet(f"{sink}/batch={batch_id}")
 
@@ -115,7 +120,7 @@ REGISTERED.append(("stream_sliding_edges", _windowed("sliding"), f"SELECT (epoch
 
 
 def _sessions(spark: SparkSession, d: str) -> DataFrame:
-    s = replay(table(spark, d, "events").select("event_id", "ts", "user_id"), "ts", 3).withWatermark("ts", "1 hour")
+    s = replay(table(spark, d, "events").select("event_id", instant("ts"), "user_id"), "ts", 3).withWatermark("ts", "1 hour")
     out = run_to_table(s.groupBy(F.session_window("ts", "6 hours").alias("w"), "user_id").agg(F.count(F.lit(1)).alias("events")), "complete")
     return out.select("user_id", F.unix_micros("w.start").alias("start_us"), "events")
 
@@ -145,7 +150,7 @@ REGISTERED.append(("stream_static_join", _static_join, f"SELECT e.event_id, x.er
 
 def _interval_join(spark: SparkSession, d: str) -> DataFrame:
     """Clicks followed by a purchase of the same user within an hour, stream to stream."""
-    e = table(spark, d, "events").select("event_id", "ts", "user_id", "event_type")
+    e = table(spark, d, "events").select("event_id", instant("ts"), "user_id", "event_type")
     a = replay(e.where("event_type = 'click'").select(F.col("event_id").alias("click"), F.col("ts").alias("t1"), F.col("user_id").alias("u1")), "t1", 3).withWatermark("t1", "1 hour")
     b = replay(e.where("event_type = 'purchase'").select(F.col("event_id").alias("purchase"), F.col("ts").alias("t2"), F.col("user_id").alias("u2")), "t2", 3).withWatermark("t2", "1 hour")
     return run_to_table(a.join(b, F.expr("u1 = u2 AND t2 >= t1 AND t2 <= t1 + INTERVAL 1 HOUR")).select("click", "purchase"))
