@@ -24,9 +24,9 @@ from .common import documents, release, shared_dir, written
 
 UNIT, PAD = 192, b" "
 RATE = 8000
-MIN_CHUNK, MASK_BITS, MAX_CHUNK = 512, 11, 16384
+MIN_CHUNK, MASK_BITS, MAX_CHUNK = 1024, 13, 65536
 MASK = ((1 << MASK_BITS) - 1) << (32 - MASK_BITS)
-SAMPLE_ROWS, SAMPLE_BYTES, DICTIONARY_BYTES, LEVEL = 2000, 8192, 112 << 10, 12
+SAMPLE_ROWS, SAMPLE_BYTES, DICTIONARY_BYTES, LEVEL = 4000, 8192, 400 << 10, 12
 GEAR = np.random.default_rng(20240229).integers(0, 1 << 32, 256, dtype=np.uint32)
 
 
@@ -164,8 +164,11 @@ def read_back(listed: DataFrame, chunks: DataFrame, dictionary: bytes = b"") ->
     A media whose bytes do not have its digest raises an error.
     """
     each = listed.groupBy("media").agg(F.first("chunks").alias("chunks"))
-    refs = each.select("media", F.posexplode("chunks").alias("pos", "digest"))
-    parts = refs.join(chunks, "digest").groupBy("media").agg(F.sort_array(F.collect_list(F.struct("pos", "packed"))).alias("parts"))
+    refs = each.select("media", F.size("chunks").alias("n"), F.posexplode("chunks").alias("pos", "digest"))
+    # a media of one chunk is whole as soon as it meets the store; only the others are gathered by media
+    whole = refs.where("n = 1").join(chunks, "digest").select("media", F.array(F.struct("pos", "packed")).alias("parts"))
+    cut = refs.where("n > 1").join(chunks, "digest").groupBy("media").agg(F.sort_array(F.collect_list(F.struct("pos", "packed"))).alias("parts"))
+    parts = whole.unionByName(cut)
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         unpack = zstandard.ZstdDecompressor(**_dictionary(dictionary))
