@@ -41,6 +41,18 @@ def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 
 
+def slim(docs: DataFrame, needed: list[str]) -> DataFrame:
+    """The needed columns of docs, and all others as one struct `_rest`, so that their names cannot clash with ours."""
+    others = [c for c in docs.columns if c not in needed]
+    rest = F.struct(*[F.col(f"`{c}`") for c in others]) if others else F.struct(F.lit(0).alias("_none"))
+    return docs.select(*needed, rest.alias("_rest"))
+
+
+def widened(df: DataFrame, docs: DataFrame, **changed: Column) -> DataFrame:
+    """docs' columns in their order from a slim frame; `changed` gives new values of some of the others."""
+    return df.select(*[(changed[c] if c in changed else F.col(c) if c in df.columns else F.col("_rest").getField(c)).alias(c) for c in docs.columns])
+
+
 def ascii_lower(c: Column) -> Column:
     return F.translate(c, "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
 

@@ -14,7 +14,7 @@ from collections.abc import Sequence
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import documents, word_count, written
+from .common import documents, slim, widened, word_count, written
 
 BINS = 1024
 
@@ -76,11 +76,11 @@ def mix(docs: DataFrame, quality: DataFrame | None = None, weights: Sequence[flo
     same = lambda a, b: a.eqNullSafe(b)
     p = plan.select(F.col("source").alias("_s"), "left")
     b1 = _upto(rows, "left", bin1, ["source"])
-    cut1 = b1.join(p, same(b1["source"], p["_s"])).where("_start < left and _end >= left").select("_s", F.col("_bin").alias("b1"), (F.col("left") - F.col("_start")).alias("left1"))
-    in1 = rows.withColumn("_b1", bin1).join(cut1, same(F.col("source"), F.col("_s")) & (F.col("_b1") == F.col("b1"))).drop("_s")
+    cut1 = written(b1.join(p, same(b1["source"], p["_s"])).where("_start < left and _end >= left").select("_s", F.col("_bin").alias("b1"), (F.col("left") - F.col("_start")).alias("left1")), "bins")
+    in1 = written(rows.withColumn("_b1", bin1).join(cut1, same(F.col("source"), F.col("_s")) & (F.col("_b1") == F.col("b1"))).drop("_s"), "bin")
     b2 = _upto(in1, "left1", bin2, ["source"])
     c1 = cut1.select("_s", "left1")
-    cut2 = b2.join(c1, same(b2["source"], c1["_s"])).where("_start < left1 and _end >= left1").select("_s", F.col("_bin").alias("b2"), (F.col("left1") - F.col("_start")).alias("left2"))
+    cut2 = written(b2.join(c1, same(b2["source"], c1["_s"])).where("_start < left1 and _end >= left1").select("_s", F.col("_bin").alias("b2"), (F.col("left1") - F.col("_start")).alias("left2")), "bins")
     in2 = in1.withColumn("_b2", bin2).join(cut2, same(F.col("source"), F.col("_s")) & (F.col("_b2") == F.col("b2"))).drop("_s")
     w = Window.partitionBy("source").orderBy("key", "doc_id", "h")
     run = F.sum("size").over(w.rowsBetween(Window.unboundedPreceding, 0))
@@ -89,7 +89,7 @@ def mix(docs: DataFrame, quality: DataFrame | None = None, weights: Sequence[flo
     limit = last.where(F.col("_end") - F.col("size") / 2 <= F.col("left2")).groupBy("source").agg(F.max(F.struct("key", "doc_id", "h")).alias("limit"))
     full = cut1.join(cut2.select(F.col("_s").alias("_t"), "b2"), same(F.col("_s"), F.col("_t")), "left").drop("_t")
     full = full.join(limit.select(F.col("source").alias("_t"), "limit"), same(F.col("_s"), F.col("_t")), "left").drop("_t").withColumnRenamed("_s", "_p")
-    plan = plan.join(full, same(plan["source"], full["_p"]), "left").drop("_p").withColumnRenamed("source", "_s")
+    plan = written(plan.join(full, same(plan["source"], full["_p"]), "left").drop("_p").withColumnRenamed("source", "_s"), "plan")
     # a document is in the fractional part if its bin, or its place in the last bin, is before the end
     me = F.struct("key", "doc_id", "h")
     before = (bin1 < F.col("b1")) | ((bin1 == F.col("b1")) & ((bin2 < F.col("b2")) | ((bin2 == F.col("b2")) & F.coalesce(me <= F.col("limit"), F.lit(False)))))
@@ -125,5 +125,5 @@ def mixed_documents(docs: DataFrame, quality: DataFrame | None = None, **how: ob
     docs is keyed by (doc_id, hash of its text); rows equal in both are the same document, taken alike.
     """
     chosen = mix(docs, quality, **how).select(F.col("doc_id").alias("_d"), F.col("h").alias("_h"), (F.col("epochs") + F.col("extra")).cast("int").alias("_times")).dropDuplicates(["_d", "_h"])
-    both = docs.withColumn("_k", F.xxhash64("text")).join(chosen, F.col("doc_id").eqNullSafe(F.col("_d")) & (F.col("_k") == F.col("_h")))
-    return both.where("_times > 0").withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_times")))).select(*docs.columns)
+    both = slim(docs, ["doc_id", "text"]).withColumn("_k", F.xxhash64("text")).join(chosen, F.col("doc_id").eqNullSafe(F.col("_d")) & (F.col("_k") == F.col("_h")))
+    return both.where("_times > 0").withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_times")))).transform(widened, docs)

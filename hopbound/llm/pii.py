@@ -12,7 +12,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import documents, written
+from .common import documents, slim, widened, written
 
 KINDS = ("email", "ip", "card", "phone")
 # The contract's patterns, each begun only where a leftmost match can begin, so that long runs take linear time.
@@ -108,7 +108,7 @@ def _words(c: Column) -> Column:
 def personal_data(docs: DataFrame, generalise: float = GENERALISE, support: int = SUPPORT) -> DataFrame:
     """docs with base, terms and list: the spans of personal data in each row's text, and the listed terms.
 
-    docs has doc_id and text, other columns are kept. Null texts are empty; repeated rows are all
+    docs has doc_id and text; other columns are kept, and must not be named as ours are. Null texts are empty; repeated rows are all
     returned; no rows give no rows. Terms inside base spans are left out.
     """
     h = F.xxhash64(F.coalesce("text", F.lit("")))
@@ -128,7 +128,7 @@ def sanitised(docs: DataFrame, generalise: float = GENERALISE, remove: float = R
 
     Spans that overlap are replaced as one. n_chars, where docs has it, is counted anew. Otherwise as personal_data.
     """
-    df = personal_data(docs, generalise, support)
+    df = personal_data(slim(docs, ["doc_id", "text"]), generalise, support)
     gone = F.transform(F.filter("list", lambda x: x["disclosure"] >= remove), lambda x: x["term"])
     df = df.withColumn("_gone", F.coalesce(gone, F.array().cast("array<string>")))
     order = F.array_sort(F.transform(F.concat("base", "terms"), lambda s: F.struct(s["start"].alias("start"), s["end"].alias("end"), F.when((s["kind"] == "term") & F.array_contains(F.col("_gone"), F.lower(s["value"])), "").otherwise(F.concat(F.lit("<"), F.upper(s["kind"]), F.lit(">"))).alias("label"))))
@@ -142,9 +142,8 @@ def sanitised(docs: DataFrame, generalise: float = GENERALISE, remove: float = R
     begin = F.struct(F.lit(0).cast("long").alias("at"), F.lit("").alias("out"))
     clean = F.aggregate("_o", begin, step, lambda a: F.concat(a["out"], F.substr(F.col("text"), (a["at"] + 1).cast("int"), F.char_length("text"))))
     df = df.withColumn("text", F.when(F.size("_o") > 0, clean).otherwise(F.col("text")))
-    if "n_chars" in docs.columns:
-        df = df.withColumn("n_chars", F.char_length("text").cast(docs.schema["n_chars"].dataType))
-    return df.select(*docs.columns)
+    counted = {"n_chars": F.char_length("text").cast(docs.schema["n_chars"].dataType)} if "n_chars" in docs.columns else {}
+    return widened(df, docs, **counted)
 
 
 def _joined(spans: Column) -> Column:

@@ -16,12 +16,13 @@ from functools import cache
 import numpy as np
 import pandas as pd
 import pyarrow as pa
+from pyspark import Broadcast
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import documents, written
+from .common import documents, slim, widened, written
 
-ORDER, SYMBOLS = 4, 48
+ORDER, SYMBOLS = 4, 40
 QUANTILE = 0.99
 PRIOR_SYMBOLS = 40  # every document also counts so many symbols of average text, which steadies short ones
 MAX_BROADCAST_LABELS = 1_000_000
@@ -49,9 +50,9 @@ def _classes() -> np.ndarray:
             elif kind in ("Lu", "Lt"):
                 out[c] = 32
             elif kind[0] == "L":
-                out[c] = 33 + c % 12
+                out[c] = 33 + c % 5
             else:
-                out[c] = 45 + c % 3
+                out[c] = 38 + c % 2
     return out
 
 
@@ -118,9 +119,8 @@ def log_probabilities(code: np.ndarray, n: np.ndarray) -> np.ndarray:
     return table.ravel()
 
 
-def perplexities(docs: DataFrame, table: np.ndarray, average: float, keep_text: bool = False) -> DataFrame:
-    """docs' columns (text only if keep_text) with n_symbols and perplexity."""
-    sent = docs.sparkSession.sparkContext.broadcast(table)
+def perplexities(docs: DataFrame, sent: Broadcast, average: float, keep_text: bool = False) -> DataFrame:
+    """docs' columns (text only if keep_text) with n_symbols and perplexity; sent is a broadcast table of log probabilities."""
     rest = [c for c in docs.columns if keep_text or c != "text"]
     schema = ", ".join(f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in rest)
 
@@ -151,8 +151,12 @@ def model(docs: DataFrame, trusted: DataFrame, quantile: float = QUANTILE) -> tu
     table = log_probabilities(code, n)
     average = float((table[code] * n).sum() / n.sum()) if len(n) else float(np.log(1 / SYMBOLS))
     # either half of the trusted texts (copies in one half) is judged by the model of the other, as new text would be
-    other = [perplexities(own.where(F.col("fold") == f).select("lang", "text"), halves[1 - f], average) for f in (0, 1)]
+    sent = [docs.sparkSession.sparkContext.broadcast(h) for h in halves]
+    del halves
+    other = [perplexities(own.where(F.col("fold") == f).select("lang", "text"), sent[1 - f], average) for f in (0, 1)]
     scored = written(other[0].unionByName(other[1]), "perplexity")
+    for b in sent:
+        b.destroy()
     cut = F.percentile_approx("perplexity", quantile, 10000)
     overall = scored.agg(cut).first()[0]
     return table, average, scored.groupBy(F.col("lang").alias("_l")).agg(cut.alias("threshold")), float("inf") if overall is None else overall
@@ -161,7 +165,8 @@ def model(docs: DataFrame, trusted: DataFrame, quantile: float = QUANTILE) -> tu
 def _judged(docs: DataFrame, trusted: DataFrame, quantile: float, keep_text: bool) -> DataFrame:
     table, average, by_lang, overall = model(docs, trusted, quantile)
     few = by_lang.limit(MAX_LANGUAGES + 1).count() <= MAX_LANGUAGES
-    named = perplexities(docs, table, average, keep_text).join(F.broadcast(by_lang) if few else by_lang, F.col("lang").eqNullSafe(F.col("_l")), "left").drop("_l")
+    sent = docs.sparkSession.sparkContext.broadcast(table)
+    named = perplexities(docs, sent, average, keep_text).join(F.broadcast(by_lang) if few else by_lang, F.col("lang").eqNullSafe(F.col("_l")), "left").drop("_l")
     return named.withColumn("threshold", F.coalesce("threshold", F.lit(overall))).withColumn("keep", F.col("perplexity") <= F.col("threshold"))
 
 
@@ -178,7 +183,7 @@ def classify(docs: DataFrame, trusted: DataFrame, quantile: float = QUANTILE) ->
 
 def accepted(docs: DataFrame, trusted: DataFrame, quantile: float = QUANTILE) -> DataFrame:
     """The rows of docs, all columns, that classify keeps."""
-    return _judged(docs, trusted, quantile, True).where("keep").select(*docs.columns)
+    return widened(_judged(slim(docs, ["doc_id", "text", "lang"]), trusted, quantile, True).where("keep"), docs)
 
 
 def trusted_ids(spark: SparkSession, sf_dir: str) -> DataFrame:

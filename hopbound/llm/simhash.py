@@ -19,7 +19,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import components, documents, written
+from .common import components, documents, slim, widened, written
 
 SEGMENTS = ((0, 22), (22, 21), (43, 21))  # low bit, width
 CROWDED = 200  # distinct fingerprints of a table entry beyond which midpoints are used
@@ -135,14 +135,14 @@ def near_duplicates(docs: DataFrame, bits: int = 4, shingle: int = 4) -> DataFra
 
 def one_each(docs: DataFrame, bits: int = 4, shingle: int = 4) -> DataFrame:
     """The row with the least doc_id (null last, then by hash of the text) of each group of near duplicates, all columns of docs."""
-    keyed = docs.withColumn("_h", F.xxhash64("text"))
+    keyed = slim(docs, ["doc_id", "text"]).withColumn("_h", F.xxhash64("text"))
     fps = written(fingerprints(docs, shingle), "fingerprints")
     at = fps.groupBy("fp").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id")).alias("first"))
     named = _components(fps, bits)
     first = at.join(named, F.col("fp") == F.col("_fp")).groupBy("component").agg(F.min("first").alias("first")).select("component", "first.doc_id")
     kept = first.select(F.col("doc_id").alias("_d"), F.lit(True).alias("_kept")).distinct()
     rows = keyed.join(kept, F.col("doc_id").eqNullSafe(F.col("_d"))).drop("_d", "_kept")
-    return _first_of(rows).select(*docs.columns)
+    return widened(_first_of(rows), docs)
 
 
 def _first_of(rows: DataFrame) -> DataFrame:
