@@ -86,9 +86,10 @@ def components(edges: DataFrame, directed: bool = False, max_rounds: int = 200)
     """
     if not directed:
         return _least_reaching(edges.select("src", "dst").union(edges.select("dst", "src")), None, max_rounds)
-    live = cut(edges.select("src", "dst"))
-    nodes = cut(edges.select(F.col("src").alias("id")).union(edges.select(F.col("dst").alias("id"))).distinct())
-    done = None
+    live = _trimmed(edges.select("src", "dst"), max_rounds)
+    every = edges.select(F.col("src").alias("id")).union(edges.select(F.col("dst").alias("id"))).distinct()
+    nodes = cut(live.select(F.col("src").alias("id")).union(live.select(F.col("dst").alias("id"))).distinct())
+    done = cut(every.join(nodes, "id", "left_anti").select("id", F.col("id").alias("component")))
     for _ in range(max_rounds):
         if is_empty(nodes):
             break
@@ -97,11 +98,26 @@ def components(edges: DataFrame, directed: bool = False, max_rounds: int = 200)
         same = cut(live.join(c1, "src").join(c2, "dst").where("c1 = c2").select(F.col("dst").alias("src"), F.col("src").alias("dst"), F.col("c1").alias("instance_id")))
         own = distances_in(same, colour.where("id = component").select(F.col("component").alias("instance_id"), F.col("id").alias("node")), max_rounds)
         found = cut(own.select(F.col("node").alias("id"), F.col("instance_id").alias("component")))
-        done = found if done is None else done.unionByName(found)
+        done = done.unionByName(found)
         nodes = cut(nodes.join(found, "id", "left_anti"))
         keep = nodes.select("id")
-        live = cut(live.join(keep.select(F.col("id").alias("src")), "src", "left_semi").join(keep.select(F.col("id").alias("dst")), "dst", "left_semi").select("src", "dst"))
-    return done if done is not None else nodes.select("id", F.col("id").alias("component"))
+        live = _trimmed(live.join(keep.select(F.col("id").alias("src")), "src", "left_semi").join(keep.select(F.col("id").alias("dst")), "dst", "left_semi").select("src", "dst"), max_rounds)
+        left = live.select(F.col("src").alias("id")).union(live.select(F.col("dst").alias("id"))).distinct()
+        alone = cut(nodes.join(left, "id", "left_anti").select("id", F.col("id").alias("component")))
+        done, nodes = done.unionByName(alone), cut(left)
+    return done
+
+
+def _trimmed(edges: DataFrame, max_rounds: int) -> DataFrame:
+    """Edges without those that leave a node nothing enters or enter a node nothing leaves, again and again: such nodes are on no cycle."""
+    live, n = cut(edges.distinct()), -1
+    for _ in range(max_rounds):
+        if live.count() == n:
+            break
+        n = live.count()
+        heads, tails = live.select(F.col("dst").alias("src")).distinct(), live.select(F.col("src").alias("dst")).distinct()
+        live = cut(live.join(heads, "src", "left_semi").join(tails, "dst", "left_semi").select("src", "dst"))
+    return live
 
 
 def distances_in(edges: DataFrame, sources: DataFrame, max_depth: int) -> DataFrame:

@@ -20,7 +20,7 @@ from hopbound.operators.paths import all_cycles, path_string, recursive_sql, sim
 from hopbound.plans.choose import run_planned
 from hopbound.sources import datasource
 from hopbound.sources.generators import FIG_X, FIG_Y, lettered
-from hopbound.sources.tables import duck, graph, micros, oracle, sql, table
+from hopbound.sources.tables import GRAPHS, duck, graph, micros, oracle, sql, table
 from hopbound.streaming import cycles as stream
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -295,6 +295,7 @@ def _scc_sql(edges: str) -> str:
 
 add("scc_trade50", _scc("trade50"), _scc_sql(oracle("trade50")))
 add("scc_navlinks", _scc("navlinks"), _scc_sql(oracle("navlinks")))
+add("scc_doclines", _scc("doclines"), _scc_sql(oracle("doclines")))
 add("wcc_turns", lambda spark, d: L.components(cut(graph(spark, d, "turns").edges)).select("id", "component"), f"WITH RECURSIVE g AS ({oracle('turns')}), e AS (SELECT src, dst FROM g UNION SELECT dst, src FROM g), r(a, b) AS (SELECT src, src FROM e UNION SELECT r.a, e.dst FROM r JOIN e ON e.src = r.b) SELECT a AS id, min(b) AS component FROM r GROUP BY a")
 add("walk_upper_bound_payflow", lambda spark, d: walk_upper_bound(cut(graph(spark, d, "payflow").edges), 8, 46, 4).select(F.col("len").cast("long").alias("len"), "walks"), f"WITH RECURSIVE e AS ({oracle('payflow')}), w(node, len) AS (SELECT CAST(8 AS BIGINT), 0 UNION ALL SELECT e.dst, w.len + 1 FROM w JOIN e ON e.src = w.node WHERE w.len < 4 AND (w.len = 0 OR w.node <> 46)) SELECT CAST(len AS BIGINT) AS len, count(*) AS walks FROM w WHERE node = 46 AND len > 0 GROUP BY len")
 
@@ -477,6 +478,20 @@ add("udtf_paths_trade", sqlapi.udtf_query, found(oracle("trade100"), 3, 9, 3))
 add("udtf_lateral_paths", sqlapi.lateral_query, f"SELECT CAST(q AS BIGINT) AS q, count(*) AS paths FROM (SELECT 3 AS q, len FROM ({found(oracle('trade100'), 3, 9, 3)}) a UNION ALL SELECT 4, len FROM ({found(oracle('trade100'), 3, 9, 4)}) b) x GROUP BY q")
 add("generated_source_rows", datasource.generated_query, "SELECT 'clique_trap' AS family, CAST(56 AS BIGINT) AS edges UNION ALL SELECT 'hub_breaker', 30 UNION ALL SELECT 'small_world', 6000")
 
+_UND = f"SELECT src, dst FROM ({oracle('payflow')}) a UNION SELECT dst, src FROM ({oracle('payflow')}) b"
+
+
+def _undirected(spark: SparkSession, d: str) -> DataFrame:
+    e = cut(Graph(graph(spark, d, "payflow").edges).symmetrize().edges)
+    return shown(simple_paths(e, asked(spark, [(0, 8, 46, 3)], e), 3))
+
+
+add("undirected_paths_payflow", _undirected, found(_UND, 8, 46, 3))
+same("event_ranks", "SELECT event_id, CAST(rank() OVER w AS BIGINT) AS r, CAST(round(percent_rank() OVER w * 1000) AS BIGINT) AS pr, lag(event_id) OVER w AS before, count(*) OVER (PARTITION BY user_id ORDER BY event_id RANGE BETWEEN 500 PRECEDING AND CURRENT ROW) AS near FROM {events} WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)")
+same("grouping_sets_events", "SELECT event_type, CAST(user_id % 5 AS BIGINT) AS part, count(*) AS n, count(DISTINCT user_id) AS users, CAST(grouping(event_type) AS BIGINT) AS g FROM {events} GROUP BY GROUPING SETS ((event_type), (user_id % 5), (event_type, user_id % 5), ())")
+same("dead_ends_left_outer", f"WITH e AS ({GRAPHS['supplychain']}) SELECT s_suppkey, count(e.dst) AS successors FROM {{supplier}} LEFT JOIN e ON e.src = s_suppkey GROUP BY s_suppkey")
+add("approx_users", lambda spark, d: table(spark, d, "events").groupBy("event_type").agg(F.approx_count_distinct("user_id").alias("users"), F.percentile_approx("value", 0.5).alias("median")))
+
 # --- streams ----------------------------------------------------------------------------------------------------
 
 for name, query, text in stream.REGISTERED:

@@ -189,6 +189,34 @@ REGISTERED.append((
 ))
 
 
+def reciprocated(stream: DataFrame) -> DataFrame:
+    """(event_id, other): each edge with the latest earlier edge between the same two nodes the other way; state by unordered pair.
+
+    Within a micro-batch edges of a pair are taken in order of time and id; the state is one id a direction.
+    """
+
+    def on_group(key, parts, state):
+        last = dict(zip((False, True), state.get)) if state.exists else {False: -1, True: -1}
+        rows = pd.concat(list(parts)).sort_values(["ts", "event_id"])
+        out = []
+        for event, a, b in zip(rows["event_id"].tolist(), rows["src"].tolist(), rows["dst"].tolist()):
+            back = last[not a > b]
+            if back >= 0:
+                out.append((event, back))
+            last[a > b] = event
+        state.update((last[False], last[True]))
+        yield pd.DataFrame(out, columns=["event_id", "other"]).astype("int64")
+
+    pair = stream.withColumns({"u": F.least("src", "dst"), "v": F.greatest("src", "dst")})
+    return pair.groupBy("u", "v").applyInPandasWithState(on_group, "event_id bigint, other bigint", "forth bigint, back bigint", "append", "NoTimeout")
+
+
+REGISTERED.append((
+    "stream_reciprocated", lambda spark, d: run_to_table(reciprocated(replay(edge_events(spark, d), "ts", 3))),
+    f"WITH e AS ({_E}) SELECT event_id, other FROM (SELECT n.event_id, (SELECT max_by(a.event_id, row(a.ts, a.event_id)) FROM e a WHERE a.src = n.dst AND a.dst = n.src AND (a.ts < n.ts OR (a.ts = n.ts AND a.event_id < n.event_id))) AS other FROM e n) x WHERE other IS NOT NULL",
+))
+
+
 def late_edges(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Daily counts behind a watermark of one hour, when every 50th edge comes two files late: what is dropped stays dropped."""
     s = replay(edge_events(spark, sf_dir), "ts", 6, late="event_id % 50 = 7").withWatermark("ts", "1 hour")
