@@ -22,14 +22,26 @@ def shared_dir(spark: SparkSession) -> str:
     return found.rstrip("/")
 
 
+_WRITTEN: list[str] = []
+
+
 def written(df: DataFrame, name: str = "cut") -> DataFrame:
-    """df as a Parquet table in the shared folder, read back: cuts lineage and survives lost executors."""
+    """df as a Parquet table in the shared folder, read back: cuts lineage and survives lost executors. See clean()."""
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
+    _WRITTEN.append(path)
     df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
+def clean(spark: SparkSession) -> None:
+    """Delete the tables that written() has made so far; frames that still read them are then of no use."""
+    path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path
+    while _WRITTEN:
+        at = path(_WRITTEN.pop())
+        at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(at, True)
+
+
 def release(spark: SparkSession) -> None:
     """Let Spark remove the shuffle files of plans that nothing refers to any more."""
     gc.collect()

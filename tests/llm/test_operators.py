@@ -495,3 +495,12 @@ def test_quality_keeps_clean_and_drops_junk(spark, awkward, none):
     assert quality.classify(docs, trusted.where("doc_id < 0")).where("keep").count() == docs.count()
     assert quality.classify(none, trusted).count() == 0
     assert quality.classify(awkward, trusted).count() == awkward.count()
+
+
+def test_clean_deletes_what_was_written(spark):
+    df = common.written(spark.range(3))
+    assert df.count() == 3
+    common.clean(spark)
+    assert not common._WRITTEN
+    with pytest.raises(Exception, match="PATH_NOT_FOUND|not exist|FILE_NOT_EXIST"):
+        spark.read.parquet(df.inputFiles()[0]).count()
