@@ -3,7 +3,7 @@
 64-bit fingerprints of word shingles; documents whose fingerprints differ in few bits are linked. Equal
 fingerprints collapse first. Then every distinct fingerprint looks up small Hamming balls in the tables
 of its segments: by the pigeonhole principle two fingerprints within r bits agree, up to a small
-radius, in one segment of three. Matches are verified over all 64 bits. Where a table entry is crowded,
+radius, in one of its segments. Matches are verified over all 64 bits. Where a table entry is crowded,
 pairs are not enumerated: its members meet at the midpoints of their balls instead, which loses
 no link (two fingerprints within r bits have a common point within r/2 of both) and takes rows in
 proportion to the members.
@@ -21,7 +21,11 @@ from pyspark.sql import functions as F
 
 from .common import components, documents, slim, widened, written
 
-SEGMENTS = ((0, 22), (22, 21), (43, 21))  # low bit, width
+# Segments as (low bit, width, radius): two fingerprints within 4 bits agree up to the radius in one of them. If the first
+# segments differ by more than their radii, too few differences are left for the last.
+SEGMENTS = ((0, 22, 1), (22, 21, 1), (43, 21, 0))
+WIDE_SEGMENTS = ((0, 32, 2), (32, 32, 1))
+MANY = 1 << 27  # distinct fingerprints from which the wide segments keep table entries short
 CROWDED = 200  # distinct fingerprints of a table entry beyond which midpoints are used
 
 
@@ -55,34 +59,33 @@ def fingerprints(docs: DataFrame, shingle: int = 4) -> DataFrame:
     return docs.select("doc_id", "text").mapInPandas(run, f"doc_id {kind}, fp long")
 
 
-def _balls(radius: int) -> list[int]:
-    """All 64-bit masks of up to radius bits, as signed integers."""
+def _signed(mask: int) -> int:
+    return mask - (1 << 64) if mask >> 63 else mask
+
+
+def _balls(low: int, width: int, radius: int) -> list[int]:
+    """All masks of up to radius (2 at most) bits among `width` bits from `low`, as signed 64-bit integers."""
     masks = [0]
-    for i in range(64 if radius >= 1 else 0):
+    for i in range(low, low + width if radius else low):
         masks.append(1 << i)
-        masks += [1 << i | 1 << j for j in range(i)] if radius >= 2 else []
-    return [m - (1 << 64) if m >> 63 else m for m in masks]
+        masks += [1 << i | 1 << j for j in range(low, i)] if radius > 1 else []
+    return [_signed(m) for m in masks]
 
 
 def links(fps: DataFrame, bits: int = 4) -> DataFrame:
     """(a, b): links that join the same distinct fingerprints (column fp) as all pairs within `bits` (0, 2 or 4) would."""
     if bits not in (0, 2, 4):
         raise ValueError("bits must be 0, 2 or 4: an odd distance has no common midpoint")
-    # three segments: a pair within 4 bits differs in at most 1 bit in one of them
-    def masks(low: int, width: int) -> list[int]:
-        out = [0, *((1 << (low + i)) for i in range(width))]
-        return [m - (1 << 64) if m >> 63 else m for m in out]
-
-    whole = [((1 << w) - 1) << low for low, w in SEGMENTS]
-    whole = [m - (1 << 64) if m >> 63 else m for m in whole]
+    segments = SEGMENTS if fps.limit(MANY).count() < MANY else WIDE_SEGMENTS
+    whole = [_signed(((1 << width) - 1) << low) for low, width, _ in segments]
     table = F.explode(F.array(*[F.struct(F.lit(s).alias("seg"), F.col("fp").bitwiseAND(F.lit(m)).alias("val")) for s, m in enumerate(whole)]))
 
     def ball_of(s: int) -> Column:
         own = F.col("fp").bitwiseAND(F.lit(whole[s]))
-        near = F.array(*[F.lit(x).cast("long") for x in masks(*SEGMENTS[s])])
+        near = F.array(*[F.lit(x).cast("long") for x in _balls(*segments[s])])
         return F.transform(near, lambda x: F.struct(F.lit(s).alias("seg"), own.bitwiseXOR(x).alias("val")))
 
-    ball = F.explode(F.flatten(F.array(*[ball_of(s) for s in range(len(SEGMENTS))])))
+    ball = F.explode(F.flatten(F.array(*[ball_of(s) for s in range(len(segments))])))
     entries = fps.select("fp", table.alias("e")).select("fp", "e.seg", "e.val")
     probes = fps.select("fp", ball.alias("e")).select("fp", "e.seg", "e.val")
     counts = entries.groupBy("seg", "val").agg(F.count("*").alias("n"))
@@ -98,7 +101,7 @@ def links(fps: DataFrame, bits: int = 4) -> DataFrame:
 
 def _meet(fps: DataFrame, radius: int) -> DataFrame:
     """(a, b) links through common points of the balls of this radius: each fingerprint with the least one at each point."""
-    masks = np.array(_balls(radius), np.int64)
+    masks = np.array(_balls(0, 64, radius), np.int64)
 
     def points(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for batch in batches:

@@ -356,9 +356,10 @@ def test_fingerprints(spark, awkward):
         assert r.fp % (1 << 64) == plain_fingerprint(r.text)
 
 
-@pytest.mark.parametrize("crowded", [200, 2])
-def test_components_equal_brute_force(spark, monkeypatch, crowded):
+@pytest.mark.parametrize(("crowded", "many"), [(200, 1 << 27), (2, 1 << 27), (200, 1), (1, 1)])
+def test_components_equal_brute_force(spark, monkeypatch, crowded, many):
     monkeypatch.setattr(simhash, "CROWDED", crowded)
+    monkeypatch.setattr(simhash, "MANY", many)
     r = random.Random(5)
     base = [r.getrandbits(64) for _ in range(12)]
     fps = []
