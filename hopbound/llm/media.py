@@ -16,6 +16,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 import zstandard
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -165,24 +166,29 @@ def read_back(listed: DataFrame, chunks: DataFrame, dictionary: bytes = b"") ->
     """
     each = listed.groupBy("media").agg(F.first("chunks").alias("chunks"))
     refs = each.select("media", F.size("chunks").alias("n"), F.posexplode("chunks").alias("pos", "digest"))
-    # a media of one chunk is whole as soon as it meets the store; only the others are gathered by media
-    whole = refs.where("n = 1").join(chunks, "digest").select("media", F.array(F.struct("pos", "packed")).alias("parts"))
-    cut = refs.where("n > 1").join(chunks, "digest").groupBy("media").agg(F.sort_array(F.collect_list(F.struct("pos", "packed"))).alias("parts"))
-    parts = whole.unionByName(cut)
+    # a media of one chunk is whole as soon as it meets the store; only the others are brought together, chunk by chunk in order
+    whole = refs.where("n = 1").join(chunks, "digest").select("media", "n", "pos", "packed")
+    cut = refs.where("n > 1").join(chunks, "digest").select("media", "n", "pos", "packed").repartition("media").sortWithinPartitions("media", "pos")
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         unpack = zstandard.ZstdDecompressor(**_dictionary(dictionary))
+        parts: list[bytes] = []
         for b in batches:
             rows = []
-            for name, ordered in zip(b["media"], b["parts"]):
-                media = b"".join(unpack.decompress(p["packed"]) for p in ordered)
-                if hashlib.sha256(media).digest() != bytes(name):
-                    raise ValueError("a stored media is damaged")
-                samples = samples_of(media)
-                rows.append((name, len(samples), hashlib.sha256(samples).hexdigest(), zlib.crc32(samples[-16:]), features(samples)))
-            yield pd.DataFrame(rows, columns=["media", "payload_bytes", "payload_sha256", "tail_crc32", "feature"])
-
-    return parts.mapInPandas(run, "media binary, payload_bytes long, payload_sha256 string, tail_crc32 long, feature string")
+            for name, n, pos, packed in zip(*(b.column(c).to_pylist() for c in ("media", "n", "pos", "packed"))):
+                if pos != len(parts):
+                    raise ValueError("a chunk list is out of order")
+                parts.append(unpack.decompress(packed))
+                if len(parts) == n:
+                    media, parts = b"".join(parts), []
+                    if hashlib.sha256(media).digest() != name:
+                        raise ValueError("a stored media is damaged")
+                    samples = samples_of(media)
+                    rows.append((name, len(samples), hashlib.sha256(samples).hexdigest(), zlib.crc32(samples[-16:]), features(samples)))
+            if rows:
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), (pa.binary(), pa.int64(), pa.string(), pa.int64(), pa.string()))], ["media", "payload_bytes", "payload_sha256", "tail_crc32", "feature"])
+
+    return whole.unionByName(cut).mapInArrow(run, "media binary, payload_bytes long, payload_sha256 string, tail_crc32 long, feature string")
 
 
 def stored_media(docs: DataFrame) -> DataFrame:
