@@ -106,9 +106,13 @@ def loss(runs: DataFrame, of: str = "guarded", against: str = "tight") -> DataFr
 
 
 def step_ratio(runs: DataFrame, of: str = "tight", against: str = "guarded") -> DataFrame:
-    """Per family and k: steps per interval of one scheme over those of another; sums over sums, and the median of instances."""
+    """Per family and k: steps per interval of one scheme over those of another; sums over sums, and the median of instances.
+
+    calls_ratio is the other way round; with targets, each output also counts as a call of the other scheme, as
+    where it opens a call at the target.
+    """
     one = (_steps("a") / F.col("a_intervals")) / (_steps("b") / F.col("b_intervals"))
-    return _pairs(runs, of, against).groupBy("family", "k").agg(F.round((F.sum(_steps("a")) / F.sum("a_intervals")) / (F.sum(_steps("b")) / F.sum("b_intervals")), 4).alias("ratio"), F.round(F.median(one), 4).alias("median_ratio"), F.round(F.sum("b_calls") / F.sum("b_intervals") / (F.sum("a_calls") / F.sum("a_intervals")), 4).alias("calls_ratio"))
+    return _pairs(runs, of, against).groupBy("family", "k").agg(F.round((F.sum(_steps("a")) / F.sum("a_intervals")) / (F.sum(_steps("b")) / F.sum("b_intervals")), 4).alias("ratio"), F.round(F.median(one), 4).alias("median_ratio"), F.round(F.sum("b_calls") / F.sum("b_intervals") / (F.sum("a_calls") / F.sum("a_intervals")), 4).alias("calls_ratio"), F.round((F.sum("b_calls") + F.sum("b_outputs")) / F.sum("b_intervals") / (F.sum("a_calls") / F.sum("a_intervals")), 4).alias("calls_ratio_with_targets"))
 
 
 def excess_by_account(runs: DataFrame, of: str = "tight", against: str = "guarded") -> DataFrame:

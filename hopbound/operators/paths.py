@@ -2,11 +2,13 @@
 
 `task`: every query searches its own reduced subgraph in one task. `split`: prefixes of a query are expanded by joins and
 each is searched in a task. `relational`: all hops are joins pruned by exact target distances. `bidirectional`: halves
-meet in the middle. All return instance_id, len, path; the first also seq, the place in lexicographic scan order.
+meet in the middle. `direct`: small graphs go to one task per query as they are. `auto`: see plans.choose. All return instance_id, len, path; the first also seq, the place in lexicographic scan order.
 """
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -16,7 +18,9 @@ from hopbound.functions.search import Csr, distances_to, search
 from .cut import cut, is_empty
 from .labels import budget_subgraph, cycle_subgraphs, to_target
 
-STRATEGIES = ("task", "split", "relational", "bidirectional")
+STRATEGIES = ("task", "split", "relational", "bidirectional", "direct")
+DIRECT_ROWS = 500_000  # edges times queries up to which auto searches without reduction
+SHIPPED_CYCLE_EDGES = 500_000
 
 
 def _kinds(edges: DataFrame, queries: DataFrame) -> tuple[str, str]:
@@ -27,8 +31,14 @@ def simple_paths(edges: DataFrame, queries: DataFrame, max_k: int, scheme: str =
     """Paths of every query (instance_id, s, t, k) over edges (src, dst, ord); s = t gives the cycles through s.
 
     max_k bounds every k. Queries whose nodes are absent or not connected give no rows. cap stops each query after so
-    many outputs (task only); depth is the prefix length of split.
+    many outputs (task only); depth is the prefix length of split. `auto` lets plans.choose pick.
     """
+    if strategy == "auto":
+        from hopbound.plans.choose import run_planned
+
+        return run_planned(edges, queries, max_k, scheme, cap)
+    if strategy == "direct":
+        return search_groups(edges.crossJoin(F.broadcast(queries)), *_kinds(edges, queries), scheme, cap)
     if strategy == "task":
         return search_groups(budget_subgraph(edges, queries, max_k).join(queries, "instance_id"), *_kinds(edges, queries), scheme, cap)
     if strategy == "relational":
@@ -117,13 +127,38 @@ def meet_in_middle(edges: DataFrame, queries: DataFrame, max_k: int) -> DataFram
     return found
 
 
-def all_cycles(edges: DataFrame, k: int, scheme: str = "tight") -> DataFrame:
-    """(root, len, path) of every simple cycle of at most k edges, once, from its least node and closed."""
+def all_cycles(edges: DataFrame, k: int, scheme: str = "tight", strategy: str = "joins") -> DataFrame:
+    """(root, len, path) of every simple cycle of at most k edges, once, from its least node and closed.
+
+    `joins` finds viable roots and their subgraphs by joins over all roots. `shipped` sends the whole graph (of a checked size) to
+    the tasks, which cut out each root's surroundings themselves; `auto` does so up to SHIPPED_CYCLE_EDGES.
+    """
     node = edges.schema["src"].dataType.simpleString()
+    if strategy == "shipped" or strategy == "auto" and edges.limit(SHIPPED_CYCLE_EDGES + 1).count() <= SHIPPED_CYCLE_EDGES:
+        return _cycles_shipped(edges, k, scheme, node)
     rows = cycle_subgraphs(edges, k).select("instance_id", "src", "dst", "ord", F.col("instance_id").alias("s"), F.col("instance_id").alias("t"), F.lit(k).alias("k"))
     return search_groups(rows, node, node, scheme).select(F.col("instance_id").alias("root"), "len", "path")
 
 
+def _cycles_shipped(edges: DataFrame, k: int, scheme: str, node: str) -> DataFrame:
+    sent = edges.sparkSession.sparkContext.broadcast(shipped(edges))
+    roots = edges.select("src").distinct().repartition(4 * edges.sparkSession.sparkContext.defaultParallelism)
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        whole = None
+        for b in batches:
+            whole = whole or Csr.of(sent.value)
+            out = []
+            for root in b["src"].tolist():
+                r = whole.index(root)
+                near = whole.around(r, k)
+                if near is not None:
+                    out += [(root, len(p) - 1, [near.names[i] for i in p]) for p in search(near, near.index(root), near.index(root), k, scheme).outputs]
+            yield pd.DataFrame({"root": pd.Series([x[0] for x in out], dtype=b["src"].dtype), "len": pd.Series([x[1] for x in out], dtype="int32"), "path": pd.Series([x[2] for x in out], dtype=object)})
+
+    return roots.mapInPandas(run, f"root {node}, len int, path array<{node}>")
+
+
 def recursive_sql(edges_view: str, s: str, t: str, k: int) -> str:
     """Spark SQL that lists the paths of one query by recursion over a view of edges."""
     return (

@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from hopbound.operators.labels import budget_subgraph
-from hopbound.operators.paths import expand, search_groups, simple_paths
+from hopbound.operators.paths import DIRECT_ROWS, expand, search_groups, simple_paths
 
 MAX_TASK_EDGES = 2_000_000
 MIN_INSTANCES = 16
@@ -41,6 +41,9 @@ def choose(reduced: DataFrame, scheme: str = "tight", cap: int | None = None) ->
 
 def run_planned(edges: DataFrame, queries: DataFrame, max_k: int, scheme: str = "tight", cap: int | None = None) -> DataFrame:
     """(instance_id, len, path) by the chosen strategy."""
+    n = queries.limit(DIRECT_ROWS + 1).count()
+    if n and n * edges.limit(DIRECT_ROWS // n + 1).count() <= DIRECT_ROWS:
+        return simple_paths(edges, queries, max_k, "tight_seeded" if scheme == "tight" else scheme, "direct", cap).select("instance_id", "len", "path")
     reduced = budget_subgraph(edges, queries, max_k)
     plan = choose(reduced, scheme, cap)
     if plan.strategy == "task":

@@ -34,7 +34,7 @@ def small(spark):
     return rows, edges_of(spark, rows).cache()
 
 
-@pytest.mark.parametrize("strategy", STRATEGIES)
+@pytest.mark.parametrize("strategy", [*STRATEGIES, "auto"])
 def test_strategies_agree(spark, small, strategy):
     rows, e = small
     asked = [(1, 0, 5, 4), (2, 3, 7, 3), (3, 5, 0, 1)]
@@ -66,8 +66,9 @@ def test_all_cycles_once(spark, small):
             ring = [csr.names[x] for x in p[:-1]]
             i = ring.index(min(ring))
             want.add((*ring[i:], *ring[:i], ring[i]))
-    got = [tuple(r.path) for r in all_cycles(e, 4).collect()]
-    assert len(got) == len(set(got)) and set(got) == want
+    for strategy in ("joins", "shipped", "auto"):
+        got = [tuple(r.path) for r in all_cycles(e, 4, strategy=strategy).collect()]
+        assert len(got) == len(set(got)) and set(got) == want
 
 
 def test_absent_nodes_empty_graph_and_strings(spark):
@@ -75,7 +76,7 @@ def test_absent_nodes_empty_graph_and_strings(spark):
     q = spark.createDataFrame([(0, 9, 2, 3), (1, 3, 1, 3)], QUERY)
     assert simple_paths(e, q, 3).count() == 0
     none = e.where("src < 0")
-    assert simple_paths(none, q, 3).count() == 0 and all_cycles(none, 3).count() == 0
+    assert simple_paths(none, q, 3).count() == 0 and all_cycles(none, 3).count() == 0 and all_cycles(none, 3, strategy="shipped").count() == 0
     assert run_planned(none, q, 3).count() == 0
     words = Graph(spark.createDataFrame([("ä", "b"), ("b", "ä"), ("b", "c"), ("c", None)], "src string, dst string")).simplify().ordered().edges
     assert [r.path for r in all_cycles(words, 3).collect()] == [["b", "ä", "b"]]

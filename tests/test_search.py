@@ -159,6 +159,10 @@ def test_cap_and_degenerate_inputs():
     run = search(csr, 0, 0, 3, cap=1)
     assert run.capped and len(run.outputs) == 1
     assert search(csr, 0, 2, 50).outputs == [(0, 1, 2)]
+    edges, s, t = G.factorial_trap(8)
+    big = Csr.of(edges)
+    short = search(big, big.index(s), big.index(t), 8, "trivial", max_steps=500)
+    assert short.capped and short.total < 600
     assert search(Csr.of([(0, 0)], (0, 1)), 0, 1, 2).outputs == []
     assert search(csr, 0, 0, 1).outputs == []
     assert Csr.of([]).index(3) is None
