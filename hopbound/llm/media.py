@@ -198,8 +198,7 @@ def stored_media(docs: DataFrame) -> DataFrame:
     repeated rows are all returned; no rows give no rows.
     """
     listed, chunks, dictionary = store(docs)
-    found = written(read_back(listed, chunks, dictionary), "features")
-    release(docs.sparkSession)
+    found = read_back(listed, chunks, dictionary)
     return listed.drop("chunks").join(found, "media").withColumn("media_sha256", F.lower(F.hex("media"))).drop("media")
 
 
