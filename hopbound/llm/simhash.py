@@ -140,12 +140,15 @@ def one_each(docs: DataFrame, bits: int = 4, shingle: int = 4) -> DataFrame:
     """The row with the least doc_id (null last, then by hash of the text) of each group of near duplicates, all columns of docs."""
     keyed = slim(docs, ["doc_id", "text"]).withColumn("_h", F.xxhash64("text"))
     fps = written(fingerprints(docs, shingle), "fingerprints")
+    return widened(_least_rows(keyed, fps, _components(fps, bits)), docs)
+
+
+def _least_rows(keyed: DataFrame, fps: DataFrame, named: DataFrame) -> DataFrame:
+    """The row of keyed with the least doc_id of each component; fps has doc_id and fp, named has _fp and component."""
     at = fps.groupBy("fp").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id")).alias("first"))
-    named = _components(fps, bits)
     first = at.join(named, F.col("fp") == F.col("_fp")).groupBy("component").agg(F.min("first").alias("first")).select("component", "first.doc_id")
     kept = first.select(F.col("doc_id").alias("_d"), F.lit(True).alias("_kept")).distinct()
-    rows = keyed.join(kept, F.col("doc_id").eqNullSafe(F.col("_d"))).drop("_d", "_kept")
-    return widened(_first_of(rows), docs)
+    return _first_of(keyed.join(kept, F.col("doc_id").eqNullSafe(F.col("_d"))).drop("_d", "_kept"))
 
 
 def _first_of(rows: DataFrame) -> DataFrame:
@@ -154,6 +157,139 @@ def _first_of(rows: DataFrame) -> DataFrame:
     return rows.groupBy("doc_id").agg(F.min_by(F.struct(*rest), "_h").alias("_r")).select("doc_id", "_r.*")
 
 
+# Tables for Jaccard 0.8: a pair there meets in one of BANDS tables of ROWS least hashes with probability 1 - (1 - 0.8 ** 5) ** 24 > 0.9999.
+# 64-bit fingerprints of such a pair differ in 10 bits on average and in 17 now and then, which no bit tables of reasonable number cover.
+BANDS, ROWS = 24, 5
+_XOR, _TIMES = np.random.default_rng(20240301).integers(0, 1 << 64, (2, BANDS * ROWS, 1), dtype=np.uint64)
+_TIMES = _TIMES | np.uint64(1)
+ALIKE, ALIKE_SHINGLE = 0.8, 5
+FIRST_TABLES = 3  # tables that are measured by one link a set
+BUCKET, HUB_ROUNDS = 50, 12  # sets of a table entry up to which all pairs are taken; rounds of hubs before all pairs are taken of any entry
+
+
+def shingle_set(text: str | None, shingle: int = ALIKE_SHINGLE) -> np.ndarray:
+    """Sorted distinct XXH64 (seed 42) of the word shingles; texts of fewer words are one shingle; no words: none."""
+    words = (text or "").encode("utf-8", "surrogatepass").lower().split()
+    if not words:
+        return np.zeros(0, np.uint64)
+    n = max(1, len(words) - shingle + 1)
+    joined, digest = b" ".join(words), xxhash.xxh64_intdigest
+    ends = np.cumsum(np.fromiter(map(len, words), np.int64, len(words)) + 1)
+    starts = np.concatenate(([0], ends[:-1]))[:n].tolist()
+    stops = (ends[min(shingle, len(words)) - 1 :] - 1).tolist()
+    return np.unique(np.fromiter((digest(joined[a:b], 42) for a, b in zip(starts, stops)), np.uint64, n))
+
+
+def band_keys(hashes: np.ndarray) -> list[int]:
+    """Signed 64-bit key of a set in each of the BANDS tables; the empty set has none."""
+    if not len(hashes):
+        return []
+    least = np.full(BANDS * ROWS, (1 << 64) - 1, np.uint64)
+    for k in range(0, len(hashes), 4096):
+        np.minimum(least, ((hashes[None, k : k + 4096] ^ _XOR) * _TIMES).min(axis=1), out=least)
+    raw = least.tobytes()
+    return [_signed(xxhash.xxh64_intdigest(raw[8 * ROWS * i : 8 * ROWS * (i + 1)], i)) for i in range(BANDS)]
+
+
+def _sets(keyed: DataFrame, shingle: int, whole: bool) -> DataFrame:
+    """Of rows (doc_id, k, text): (doc_id, k, sid, fp, keys), or with `whole` (sid, shingles); sid names a set of shingles, fp is the SimHash of the text."""
+    kind = keyed.schema["doc_id"].dataType.simpleString()
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for b in batches:
+            sets = [shingle_set(t, shingle) for t in b["text"]]
+            sid = [_signed(xxhash.xxh64_intdigest(h.tobytes(), 0)) for h in sets]
+            if whole:
+                yield pd.DataFrame({"sid": sid, "shingles": [h.view(np.int64) for h in sets]})
+            else:
+                fp = np.fromiter((fingerprint(t, shingle) for t in b["text"]), np.uint64, len(b)).view(np.int64)
+                yield pd.DataFrame({"doc_id": b["doc_id"], "k": b["k"], "sid": sid, "fp": fp, "keys": [band_keys(h) for h in sets]})
+
+    return keyed.mapInPandas(run, "sid long, shingles array<long>" if whole else f"doc_id {kind}, k long, sid long, fp long, keys array<long>")
+
+
+def _likeness(pairs: DataFrame, sets: DataFrame) -> DataFrame:
+    """pairs (a, b) with `like`, the exact Jaccard similarity of their sets."""
+    one = pairs.join(sets.select(F.col("sid").alias("a"), F.col("shingles").alias("_x")), "a")
+    two = one.join(sets.select(F.col("sid").alias("b"), F.col("shingles").alias("_y")), "b")
+    both = F.size(F.array_intersect("_x", "_y"))
+    return two.withColumn("like", both / (F.size("_x") + F.size("_y") - both)).select("a", "b", "like")
+
+
+def _alike(pairs: DataFrame, sets: DataFrame, alike: float) -> DataFrame:
+    return written(_likeness(pairs.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(), sets).where(F.col("like") >= alike).select("a", "b"), "alike")
+
+
+def _to_hubs(entries: DataFrame) -> DataFrame:
+    """entries with `hub`, the least set of their key, without the hubs' own rows."""
+    return entries.join(entries.groupBy("key").agg(F.min("sid").alias("hub")), "key").where("sid <> hub")
+
+
+def alike_links(found: DataFrame, near: DataFrame, sets: DataFrame, alike: float = ALIKE) -> DataFrame:
+    """(a, b): links that join the same sets as all pairs do that are in near or share a table entry and have a Jaccard similarity of at least `alike`.
+
+    found has sid, tab (number of the table) and key (rows distinct), near a and b, sets sid and shingles. Pairs of sets that are
+    joined already need no measuring: so the first tables and near are measured by one link a set, and of all tables
+    only entries of more than one component go on. Of an entry of many sets not all pairs are taken: all its sets
+    are measured against one of them, the hub. Those alike to it are joined through it; the others go on without
+    the hub, and with those of its neighbours that, by the triangle inequality of the Jaccard distance, can be alike to one of them.
+    """
+    stars = _to_hubs(found.where(F.col("tab") < FIRST_TABLES).select("key", "sid")).select(F.col("sid").alias("a"), F.col("hub").alias("b"))
+    joined = _alike(near.unionByName(stars), sets, alike)
+    comp = components(joined)
+    named = found.select("key", "sid").join(comp.withColumnRenamed("node", "sid"), "sid", "left").select("key", "sid", F.coalesce("component", "sid").alias("c"))
+    mixed = named.groupBy("key").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo < hi").select("key")
+    cur, pairs = written(named.join(mixed, "key"), "entries"), joined.limit(0)
+    for turn in range(HUB_ROUNDS + 1):
+        sizes = cur.groupBy("key").agg(F.count(F.lit(1)).alias("n"))
+        large = written(sizes.where((F.col("n") > BUCKET) & F.lit(turn < HUB_ROUNDS)).select("key"), "large")
+        small = cur.join(large, "key", "left_anti")
+        one, two = (small.select("key", F.col("sid").alias(x), F.col("c").alias(f"_{x}")) for x in "ab")
+        pairs = pairs.unionByName(one.join(two, "key").where("a < b AND _a <> _b").select("a", "b"))
+        if not large.limit(1).count():
+            break
+        rows = written(_to_hubs(cur.join(large, "key", "left_semi")), "members")
+        like = written(_likeness(rows.select(F.col("sid").alias("a"), F.col("hub").alias("b")).distinct(), sets), "likeness")
+        joined = joined.unionByName(like.where(F.col("like") >= alike).select("a", "b"))
+        rows = rows.join(like.select(F.col("a").alias("sid"), F.col("b").alias("hub"), (1 - F.col("like")).alias("far")), ["sid", "hub"])
+        least = rows.where(F.col("far") > 1 - alike + 1e-12).groupBy("key").agg(F.min("far").alias("least"))
+        cur = written(rows.join(least, "key").where(F.col("far") >= F.col("least") - (1 - alike) - 1e-9).select("key", "sid", "c"), "entries")
+    return joined.unionByName(_alike(pairs, sets, alike))
+
+
+MAX_BROADCAST_ROWS = 1_000_000
+
+
+def one_each_alike(docs: DataFrame, alike: float = ALIKE, shingle: int = ALIKE_SHINGLE, bits: int = 4) -> DataFrame:
+    """As one_each, of groups of documents whose sets of word shingles have a Jaccard similarity of at least `alike`.
+
+    Candidates are pairs of near fingerprints and pairs that share one of BANDS tables of least hashes; each is measured exactly.
+    """
+    keyed = slim(docs, ["doc_id", "text"]).withColumn("_h", F.xxhash64("text"))
+    named = keyed.select("doc_id", F.xxhash64("doc_id", "text").alias("k"), "text")
+    found = written(_sets(named, shingle, False), "sets")
+    once = found.groupBy("sid").agg(F.min_by(F.struct("k", "fp", "keys"), "k").alias("r")).select("sid", "r.*")
+    once = written(once, "reps")
+    entries = once.select("sid", F.posexplode("keys").alias("tab", "key"))
+    shared = entries.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("key")
+    entries = written(entries.join(shared, "key"), "entries")
+    # fingerprints: equal ones are linked to the least set of theirs, near ones through those
+    of_fp = once.groupBy("fp").agg(F.min("sid").alias("first"))
+    same = once.join(of_fp, "fp").where("sid <> first").select(F.col("sid").alias("a"), F.col("first").alias("b"))
+    ends = links(once.select("fp").distinct(), bits)
+    for c in ("a", "b"):
+        ends = ends.join(of_fp.select(F.col("fp").alias(c), F.col("first").alias(f"_{c}")), c)
+    near = written(same.unionByName(ends.select(F.col("_a").alias("a"), F.col("_b").alias("b"))), "near")
+    needed = entries.select("sid").unionByName(near.select(F.col("a").alias("sid"))).unionByName(near.select(F.col("b").alias("sid"))).distinct()
+    ks = written(once.join(needed, "sid").select("k"), "needed")
+    few = ks.limit(MAX_BROADCAST_ROWS + 1).count() <= MAX_BROADCAST_ROWS
+    sets = written(_sets(named.join(F.broadcast(ks) if few else ks, "k", "left_semi").select("doc_id", "k", "text"), shingle, True).dropDuplicates(["sid"]), "shingles")
+    comp = components(alike_links(entries, near, sets, alike))
+    sids = once.select("sid")
+    groups = sids.join(comp, sids["sid"] == comp["node"], "left").select(F.col("sid").alias("_fp"), F.coalesce("component", "sid").alias("component"))
+    return widened(_least_rows(keyed, found.select("doc_id", F.col("sid").alias("fp")), groups), docs)
+
+
 def op7_simhash_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = near_duplicates(documents(spark, sf_dir).select("doc_id", "text"))
     return found.select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")

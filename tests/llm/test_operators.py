@@ -391,6 +391,47 @@ def test_near_duplicates(spark, awkward, none):
     assert simhash.one_each(docs_of(spark, ["a b c"] * 3, ids=[None] * 3)).count() == 1
 
 
+def five_words(text):
+    w = text.lower().split()
+    return {tuple(w[i : i + 5]) for i in range(max(1, len(w) - 4))} if w else set()
+
+
+@pytest.mark.parametrize("bucket", [50, 2])
+def test_one_of_all_alike(spark, awkward, none, monkeypatch, bucket):
+    monkeypatch.setattr(simhash, "BUCKET", bucket)
+    r = random.Random(11)
+    base = [" ".join(f"w{r.randrange(3000)}" for _ in range(200)) for _ in range(40)]
+    texts = list(base)
+    for t in base:
+        for edits in (1, 2, 3, 4, 6, 8):  # similarities from 0.95 to about 0.65
+            w = t.split()
+            for at in r.sample(range(5, 195), edits):
+                w[at] = f"new{r.randrange(1000)}"
+            texts.append(" ".join(w))
+    texts += [base[0] + f" tail{i}" for i in range(60)]
+    sets = [five_words(t) for t in texts]
+    like = lambda i, j: len(sets[i] & sets[j]) / len(sets[i] | sets[j])
+    up = list(range(len(texts)))
+
+    def root(i):
+        while up[i] != i:
+            i = up[i]
+        return i
+
+    for i in range(len(texts)):
+        for j in range(i):
+            if like(i, j) >= 0.8:
+                up[max(root(i), root(j))] = min(root(i), root(j))
+    want = {root(i) for i in range(len(texts))}
+    assert 0.8 <= min(like(i, (i - 40) // 6) for i in range(40, 280) if like(i, (i - 40) // 6) >= 0.8) < 0.85 and len(want) > 45
+    docs = docs_of(spark, texts)
+    kept = simhash.one_each_alike(wide(docs))
+    assert {x.doc_id for x in kept.collect()} == want and kept.columns == wide(docs).columns
+    assert len(want) < simhash.one_each(docs).count()
+    assert simhash.one_each_alike(none).count() == 0 and simhash.one_each_alike(awkward).count() > 20
+    assert simhash.one_each_alike(docs_of(spark, ["a b c"] * 3, ids=[None] * 3)).count() == 1
+
+
 def test_star_components_on_chains(spark):
     r = random.Random(2)
     edges = [(i, i + 1) for i in range(0, 60) if i % 20 != 19] + [(200, 199), (7, 7)]
