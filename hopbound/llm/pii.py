@@ -1,7 +1,7 @@
 """Information-theoretic sanitisation on DataFrame functions alone.
 
 Base entities (emails, IPv4 addresses, card and phone numbers) are found by patterns. Then the corpus
-says which terms give an entity away: a term that stands near an entity discloses it to the degree
+says which terms give an entity, a part of one or a kind away: a term in the same document discloses it to the degree
 PMI(term; entity) / IC(entity), that is log(n(t,e) N / (n(t) n(e))) / log(N / n(e)) over documents.
 Terms that reach the threshold with enough support are generalised wherever they occur, those that
 disclose fully are removed.
@@ -25,8 +25,7 @@ PATTERNS = {
 GUARDS = {"email": "@", "ip": ".", "card": None, "phone": "+"}
 SPANS = "array<struct<kind:string,start:long,end:long,value:string,before:string,after:string>>"
 WORD = r"[\p{L}\p{N}]+"
-CONTEXT = 6  # words on either side of an entity
-SUPPORT = 3  # distinct texts in which a term stands near an entity
+SUPPORT = 3  # distinct texts in which a term meets an entity, a part of one or a kind
 GENERALISE, REMOVE = 0.9, 1.0
 
 
@@ -71,19 +70,35 @@ def _checked(kind: str) -> Column:
     return F.filter(_found(F.col("text"), F.lit(PATTERNS[kind]), kind), lambda m: _valid(kind, m["value"]))
 
 
+def _levels(e: Column) -> list[Column]:
+    """The value of an entity, the part of it that others share, and nothing, which leaves its kind."""
+    value, digits = F.lower(e["value"]), F.regexp_replace(e["value"], "[^0-9]", "")
+    part = F.when(e["kind"] == "email", F.substring_index(value, "@", -1)).when(e["kind"] == "ip", F.substring_index(value, ".", 3)).when(e["kind"] == "card", F.left(digits, F.lit(6))).otherwise(F.left(digits, F.lit(3)))
+    return [value, part, F.lit("")]
+
+
+def _outside(text: Column, base: Column) -> Column:
+    """The distinct words of text outside its base entities."""
+    return F.array_distinct(_words(F.aggregate(base, text, lambda t, e: F.replace(t, e["value"], F.lit(" ")))))
+
+
 def disclosing_terms(docs: DataFrame, found: DataFrame, generalise: float = GENERALISE, support: int = SUPPORT) -> DataFrame:
     """(rid, list): for each document the words in it that give an entity away, with their disclosure.
 
-    docs has rid and text (all documents), found has rid, h (hash of the text) and base. All counts are over
-    all documents; support counts distinct texts, so copies of one text prove nothing.
+    docs has rid and text (all documents), found has h (hash of the text), base and words (those outside base). A term meets an
+    entity where it is anywhere in the same document. Entities are values, their parts (mail domain, network, issuer, dialling code)
+    and kinds, as most values are in one text only. All counts are over all documents; support counts distinct texts, so
+    copies of one text prove nothing.
     """
     n_docs = docs.count()
-    each = found.where(F.size("base") > 0).select("h", "rid", F.explode("base").alias("e"))
-    each = each.select("h", "rid", F.xxhash64("e.kind", F.lower("e.value")).alias("entity"), _words(F.col("e.before")).alias("wb"), _words(F.col("e.after")).alias("wa"))
-    near = each.select("h", "rid", "entity", F.explode(F.array_distinct(F.concat(F.slice(F.reverse("wb"), 1, CONTEXT), F.slice("wa", 1, CONTEXT)))).alias("term"))
+    texts = found.where(F.size("base") > 0).groupBy("h").agg(F.first("base").alias("base"), F.first("words").alias("words"), F.count(F.lit(1)).alias("copies"))
+    levels = F.flatten(F.transform("base", lambda e: F.array(*[F.xxhash64(F.lit(i), e["kind"], part) for i, part in enumerate(_levels(e))])))
+    each = texts.select("h", "copies", F.explode(F.array_distinct(levels)).alias("entity"))
+    # what is in fewer texts than the support cannot reach it with any term; its part or kind may
+    n_e = written(each.groupBy("entity").agg(F.sum("copies").alias("n_e"), F.count(F.lit(1)).alias("texts")).where(F.col("texts") >= support).select("entity", "n_e"), "counted")
+    near = each.join(n_e.select("entity"), "entity").join(texts.select("h", "words"), "h").select("entity", "copies", F.explode("words").alias("term"))
     near = near.where(~F.regexp_like("term", F.lit("^[0-9]+$")) & (F.char_length("term") > 1))
-    n_e = each.groupBy("entity").agg(F.countDistinct("rid").alias("n_e"))
-    joint = near.groupBy("entity", "term").agg(F.countDistinct("h").alias("texts"), F.countDistinct("rid").alias("n_te")).where(F.col("texts") >= support)
+    joint = near.groupBy("entity", "term").agg(F.count(F.lit(1)).alias("texts"), F.sum("copies").alias("n_te")).where(F.col("texts") >= support)
     joint = written(joint.join(n_e, "entity"), "joint")
     words = docs.select("rid", F.explode(F.array_distinct(_words(F.col("text")))).alias("term"))
     # counted over all words before the join, so that frequent terms are one row per task
@@ -113,7 +128,7 @@ def personal_data(docs: DataFrame, generalise: float = GENERALISE, support: int
     """
     h = F.xxhash64(F.coalesce("text", F.lit("")))
     keyed = docs.withColumn("text", F.coalesce("text", F.lit(""))).withColumn("h", h).withColumn("rid", F.xxhash64("doc_id", "h"))
-    found = written(with_entities(keyed.select("rid", "h", "text")).select("rid", "h", "base").where(F.size("base") > 0), "entities")
+    found = written(with_entities(keyed.select("rid", "h", "text")).where(F.size("base") > 0).select("rid", "h", "base", _outside(F.col("text"), F.col("base")).alias("words")), "entities")
     lists = disclosing_terms(keyed.select("rid", "text"), found, generalise, support)
     few = lists.limit(MAX_BROADCAST_LISTS + 1).count() <= MAX_BROADCAST_LISTS
     named = with_entities(keyed).join(F.broadcast(lists) if few else lists, "rid", "left")

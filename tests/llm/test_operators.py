@@ -322,6 +322,12 @@ def test_terms_that_disclose_are_found_and_replaced(spark, none, awkward):
     assert pii.sanitised(wide(awkward)).columns == wide(awkward).columns
 
 
+def test_terms_of_entities_that_are_in_one_text_each(spark):
+    texts = [f"{prose(i, 30)} {prose(i + 99, 20)} mail person{i}@corp.org {prose(i + 50, 30)} Zorblax" for i in range(6)] + [prose(i + 500, 60) for i in range(60)]
+    found = {r.doc_id: [t.value for t in r.terms] for r in pii.personal_data(docs_of(spark, texts)).collect()}
+    assert all(found[i] == ["mail", "Zorblax"] for i in range(6)) and not any(found[i] for i in range(6, 66))
+
+
 # --- simhash -------------------------------------------------------------------------------------------------------------
 
 
