@@ -25,7 +25,7 @@ from .common import documents, release, shared_dir, written
 
 UNIT, PAD = 192, b" "
 RATE = 8000
-MIN_CHUNK, MASK_BITS, MAX_CHUNK = 1024, 13, 65536
+MIN_CHUNK, MASK_BITS, MAX_CHUNK = 128, 8, 4096  # well below a document and a passage, so that documents with a common passage share chunks
 MASK = ((1 << MASK_BITS) - 1) << (32 - MASK_BITS)
 SAMPLE_ROWS, SAMPLE_BYTES, DICTIONARY_BYTES, LEVEL = 4000, 8192, 400 << 10, 12
 GEAR = np.random.default_rng(20240229).integers(0, 1 << 32, 256, dtype=np.uint32)

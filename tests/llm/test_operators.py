@@ -194,6 +194,19 @@ def test_chunks_move_with_content_and_are_stored_once(spark):
         media.read_back(listed.withColumn("media", F.reverse("media")), store, words).collect()
 
 
+def test_documents_with_a_common_passage_share_chunks():
+    texts = []
+    passage = prose(77, 250)
+    for i in range(4):
+        r = random.Random(i)
+        own = [" ".join(f"w{r.randrange(10**6)}" for _ in range(150)) for _ in range(2)]
+        texts.append(f"{own[0]} {passage} {own[1]}")
+    files = [media.wav(media.payload_of(t)[0]) for t in texts]
+    pieces = [{f[x:y] for x, y in zip([0, *media.cuts(f)], media.cuts(f))} for f in files]
+    assert all(len(p) >= 4 for p in pieces) and len(passage) < 2000
+    assert set.intersection(*pieces)
+
+
 # --- urls -------------------------------------------------------------------------------------------------------
 
 
