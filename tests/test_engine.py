@@ -167,3 +167,12 @@ def test_library_collects_only_bounded_things():
         for line in f.read_text().splitlines():
             assert ".collect()" not in line or "limit(" in line, (f, line)
             assert "localCheckpoint" not in line and ".rdd" not in line, (f, line)
+
+
+def test_bigrams_are_of_texts_of_any_length(spark, tmp_path):
+    from hopbound.sources.tables import graph
+
+    rows = [(1, "left right " * 500, "en", 5500), (2, "links rechts " * 500, "de", 6500), (3, "up down up down up down", "en", 23)]
+    spark.createDataFrame(rows, "doc_id bigint, text string, lang string, n_chars bigint").write.parquet(f"{tmp_path}/documents.parquet")
+    got = {(r.src, r.dst): r.w for r in graph(spark, str(tmp_path), "bigrams").edges.collect()}
+    assert got == {("left", "right"): 500, ("right", "left"): 499, ("up", "down"): 3}
