@@ -204,8 +204,8 @@ def fit(texts: list[str], toxic: list[int], prior: float, rounds: int = 60, seed
     plain: list[tuple[np.ndarray, bool]] = []
     for row, v in zip(data.rows, y):
         for s in np.split(row, np.flatnonzero(row < 0)):
-            s = s[s >= 0][:MAX_CHAIN]
-            if len(s):
+            s = s[s >= 0]
+            for s in np.split(s, range(MAX_CHAIN, len(s), MAX_CHAIN)) if len(s) else ():
                 (kept if told[s].any() else plain).append((s, v))
     order = np.random.default_rng(seed).permutation(len(plain))[: max(2000, len(kept))]
     use = kept + [plain[k] for k in order]

@@ -516,6 +516,18 @@ def test_toxicity_on_held_out_rows(spark, awkward, none):
     assert toxicity.score(docs, one_kind).where("score >= 0.7").count() == 0
 
 
+def test_words_past_the_first_chain_of_a_sentence_are_learned(spark):
+    texts = []
+    for i in range(300):
+        w = prose(i, 220).split()
+        if i % 4 == 0:
+            w[130:130] = ["scoundrel"] * 2
+        texts.append(" ".join(w))
+    docs, labels = docs_of(spark, texts), spark.createDataFrame([(i, int(i % 4 == 0)) for i in range(300)], "doc_id bigint, toxic int")
+    scores = {r.doc_id: r.score for r in toxicity.score(docs, toxicity.train(docs, labels)).collect()}
+    assert all((scores[i] >= 0.7) == (i % 4 == 0) for i in range(300))
+
+
 # --- chat ------------------------------------------------------------------------------------------------------------------------
 
 
