@@ -14,15 +14,18 @@ WORD = r"[^\x20\x09-\x0D]+"
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The cluster's shared folder; a folder of our own only where none is configured."""
+    """The cluster's shared folder. A folder of our own only where none is configured and all runs on one machine."""
     found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not found:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that the driver and all executors share")
         found = tempfile.mkdtemp(prefix="hopbound-")
         spark.sparkContext.setCheckpointDir(found)
     return found.rstrip("/")
 
 
 _WRITTEN: list[str] = []
+_TABLES: list[str] = []
 
 
 def written(df: DataFrame, name: str = "cut") -> DataFrame:
@@ -34,8 +37,21 @@ def written(df: DataFrame, name: str = "cut") -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def bucketed(df: DataFrame, key: str, name: str) -> DataFrame:
+    """df as a table in the shared folder bucketed by key, which joins and groups by key read without a shuffle. See clean()."""
+    spark = df.sparkSession
+    table = f"{name}_{uuid.uuid4().hex}"
+    path = f"{shared_dir(spark)}/{table}"
+    _WRITTEN.append(path)
+    _TABLES.append(table)
+    df.write.bucketBy(int(spark.conf.get("spark.sql.shuffle.partitions")), key).sortBy(key).option("path", path).saveAsTable(table)
+    return spark.table(table)
+
+
 def clean(spark: SparkSession) -> None:
-    """Delete the tables that written() has made so far; frames that still read them are then of no use."""
+    """Delete what written() and bucketed() have made so far; frames that still read it are then of no use."""
+    while _TABLES:
+        spark.sql(f"DROP TABLE IF EXISTS {_TABLES.pop()}")
     path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path
     while _WRITTEN:
         at = path(_WRITTEN.pop())

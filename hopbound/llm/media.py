@@ -10,7 +10,6 @@ from __future__ import annotations
 
 import hashlib
 import struct
-import uuid
 import zlib
 from collections.abc import Iterator
 
@@ -21,7 +20,7 @@ import zstandard
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import documents, release, shared_dir, written
+from .common import bucketed, documents, release, written
 
 UNIT, PAD = 192, b" "
 RATE = 8000
@@ -150,13 +149,10 @@ def store(docs: DataFrame) -> tuple[DataFrame, DataFrame, bytes]:
     spark = docs.sparkSession
     listed = written(manifests(docs), "manifests")
     n = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    table = f"chunks_{uuid.uuid4().hex}"
     dictionary = train_dictionary(docs)
-    once = chunk_rows(docs, dictionary).repartition(n, "digest").dropDuplicates(["digest"])
-    once.write.bucketBy(n, "digest").sortBy("digest").option("path", f"{shared_dir(spark)}/{table}").saveAsTable(table)
-    del once
+    chunks = bucketed(chunk_rows(docs, dictionary).repartition(n, "digest").dropDuplicates(["digest"]), "digest", "chunks")
     release(spark)
-    return listed, spark.table(table), dictionary
+    return listed, chunks, dictionary
 
 
 def read_back(listed: DataFrame, chunks: DataFrame, dictionary: bytes = b"") -> DataFrame:

@@ -3,9 +3,9 @@
 Documents are tokenised and cut into pieces of at most `capacity` tokens. Only the histogram of piece
 lengths (at most `capacity` numbers, whatever the corpus) reaches the driver. There the configuration
 program, least number of sequences whose contents cover the histogram, is solved by multiplicative weights: lengths
-that are covered less than others gain weight, and a knapsack dynamic program prices the best content of a
-sequence. The prices are rounded to whole sequences, greedily by the same pricing over what is left,
-and best fit places the remainder. Pieces find their places by their rank among equal lengths,
+that are covered less than others keep more weight, and a knapsack dynamic program prices the best content of a
+sequence. The fractional solution is rounded down to whole sequences, solved again for what is left,
+and best fit places the rounding's remainder. Pieces find their places by their rank among equal lengths,
 which is counted per task and summed over tasks, so no length is gathered anywhere.
 """
 
@@ -29,7 +29,8 @@ from .common import documents, written
 
 CAPACITY = 2048
 END = 0
-CACHED_WORDS = 800_000
+ROUNDS, PASSES = 80, 2  # rounds of pricing; solutions that are rounded one after the other
+CACHE_BYTES = 48 << 20  # words and their ids that a Python worker keeps
 SEPARATOR = "\u2764"
 SPECIAL = "<|"
 
@@ -41,11 +42,11 @@ def default_tokenizer() -> str:
 
 
 class WordTokenizer:
-    """Ids of texts, word by word through a bounded cache.
+    """Ids of texts, word by word through a cache of at most CACHE_BYTES.
 
     The tokenizer lower-cases, and never joins characters across white space, nor a letter with the mark after it; so
     a text's ids are those of its lower-case words, a full stop or comma after them apart. New words are encoded many at a time
-    with SEPARATOR between them, whose id no other word has.
+    with SEPARATOR between them, whose id no other word has. The cache is three arrays, not a dictionary of objects.
     """
 
     def __init__(self, path: str):
@@ -53,22 +54,42 @@ class WordTokenizer:
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.known: dict[str, bytes] = {"": b""}
-        self.separator = np.frombuffer(self._direct([SEPARATOR])[0], "<u4")
-
-    def _direct(self, words: list[str]) -> list[bytes]:
-        return [np.array(e.ids, "<u4").tobytes() for e in self.tokenizer.encode_batch_fast(words, add_special_tokens=False)]
-
-    def _learn(self, words: list[str]) -> None:
-        odd = [w for w in words if SPECIAL in w or SEPARATOR in w or len(self.separator) != 1]
-        self.known.update(zip(odd, self._direct(odd)))
-        new = list(set(words).difference(odd))
-        groups = [new[k : k + 256] for k in range(0, len(new), 256)]
-        for group, e in zip(groups, self.tokenizer.encode_batch_fast([f" {SEPARATOR} ".join(g) for g in groups], add_special_tokens=False)):
-            ids = np.array(e.ids, "<u4")
-            cuts = (np.flatnonzero(ids == self.separator[0]) * 4).tolist()
-            raw = ids.tobytes()
-            self.known.update(zip(group, [raw[a:b] for a, b in zip([0, *[c + 4 for c in cuts]], [*cuts, len(raw)])]))
+        self.separator = self._direct([SEPARATOR])[0]
+        self._forget()
+
+    def _forget(self) -> None:
+        self.words = pa.array([""], pa.string())
+        self.ids = np.zeros(0, np.uint32)
+        self.first = np.zeros(2, np.int64)  # where the ids of each word begin, and their end
+
+    def _direct(self, words: list[str]) -> list[np.ndarray]:
+        return [np.array(e.ids, np.uint32) for e in self.tokenizer.encode_batch_fast(words, add_special_tokens=False)]
+
+    def _learn(self, new: list[str]) -> None:
+        odd = [w for w in new if SPECIAL in w or SEPARATOR in w or len(self.separator) != 1]
+        plain = [w for w in new if not (SPECIAL in w or SEPARATOR in w)] if len(self.separator) == 1 else []
+        found = self._direct(odd) if odd else []
+        sizes = [np.fromiter(map(len, found), np.int64, len(found))]
+        for k in range(0, len(plain), 65536):
+            groups = [plain[i : min(i + 256, len(plain), k + 65536)] for i in range(k, min(k + 65536, len(plain)), 256)]
+            for ids in self._direct([f" {SEPARATOR} ".join(g) for g in groups]):
+                cut = np.flatnonzero(ids == self.separator[0])
+                sizes.append(np.diff(np.r_[-1, cut, len(ids)]) - 1)
+                found.append(np.delete(ids, cut))
+        self.words = pa.concat_arrays([self.words, pa.array([*odd, *plain], pa.string())])
+        self.ids = np.concatenate([self.ids, *found])
+        self.first = np.r_[self.first, self.first[-1] + np.cumsum(np.concatenate(sizes))]
+
+    def _places(self, words: pa.Array) -> np.ndarray:
+        """Place of every word in the cache; unknown ones are learned."""
+        at = pc.index_in(words, value_set=self.words)
+        if at.null_count:
+            if self.words.nbytes + self.ids.nbytes + self.first.nbytes > CACHE_BYTES:
+                self._forget()
+                return self._places(words)
+            self._learn(words.filter(at.is_null()).to_pylist())
+            at = pc.index_in(words, value_set=self.words)
+        return at.to_numpy().astype(np.int64)
 
     def encode(self, texts: pa.Array, end: int) -> tuple[np.ndarray, np.ndarray]:
         """(ids of all texts, each with `end` after it; where each text ends). Null texts are empty."""
@@ -77,23 +98,16 @@ class WordTokenizer:
         easy = pc.replace_substring_regex(pc.utf8_lower(texts), r"(\pL)([.,])([ \n])", r"\1 \2\3")
         lists = pc.ascii_split_whitespace(pc.if_else(plain, easy, texts))
         coded = lists.flatten().dictionary_encode()
-        words = coded.dictionary.to_pylist()
-        known = self.known
-        if len(known) + len(words) > CACHED_WORDS:
-            known.clear()
-            known[""] = b""
-        if new := [w for w in words if w not in known]:
-            self._learn(new)
-        parts = [known[w] for w in words]
-        ids = np.frombuffer(b"".join(parts) + np.array([end], "<u4").tobytes(), "<u4")
-        size = np.fromiter((len(x) // 4 for x in [*parts, b"1234"]), np.int64, len(parts) + 1)
-        first = np.cumsum(size) - size
+        place = self._places(coded.dictionary.cast(pa.string()))
+        # the ids of the cache, and behind them the one of the end
+        known = np.append(self.ids, np.uint32(end))
+        first, size = np.append(self.first[place], len(known) - 1), np.append(self.first[place + 1] - self.first[place], 1)
         stops = lists.offsets.to_numpy()[1:] - lists.offsets.to_numpy()[0]
-        at = np.insert(coded.indices.to_numpy().astype(np.int64), stops, len(parts))
+        at = np.insert(coded.indices.to_numpy().astype(np.int64), stops, len(place))
         n = size[at]
         ends = np.cumsum(n)
-        place = np.arange(ends[-1] if len(ends) else 0) + np.repeat(first[at] - ends + n, n)
-        return ids[place], ends[stops + np.arange(len(stops))]
+        where = np.arange(ends[-1] if len(ends) else 0) + np.repeat(first[at] - ends + n, n)
+        return known[where], ends[stops + np.arange(len(stops))]
 
 
 @cache
@@ -145,63 +159,99 @@ def pieces(docs: DataFrame, capacity: int = CAPACITY, tokenizer_path: str | None
     return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, piece int, start long, length long, ids binary, ids_crc32 long, shard int, rank long")
 
 
-def knapsack(prices: np.ndarray) -> list[int]:
-    """The lengths (repeats allowed) that fit into len(prices) - 1 and are worth most; prices[0] is ignored."""
-    top = len(prices) - 1
-    worth, last = np.zeros(top + 1), np.zeros(top + 1, np.int64)
-    p = prices[1:]
-    for c in range(1, top + 1):
-        v = worth[c - 1 :: -1] + p[:c]
-        k = int(v.argmax())
-        worth[c], last[c] = (v[k], k + 1) if v[k] > worth[c - 1] else (worth[c - 1], 0)
-    out, c = [], top
-    while c > 0:
-        if last[c]:
-            out.append(int(last[c]))
-            c -= int(last[c])
-        else:
-            c -= 1
+def knapsack(lengths: np.ndarray, prices: np.ndarray, capacity: int) -> tuple[np.ndarray, list[int]]:
+    """By dynamic programming, for every room up to capacity: the most that lengths (ascending, repeats allowed) in it are worth, and the last of them (0: none)."""
+    worth, last = np.zeros(capacity + 1), [0] * (capacity + 1)
+    fits = np.searchsorted(lengths, np.arange(capacity + 1), side="right")
+    for room in range(1, capacity + 1):
+        best, m = worth[room - 1], fits[room]
+        if m:
+            v = worth[room - lengths[:m]] + prices[:m]
+            k = int(v.argmax())
+            if v[k] > best:
+                best, last[room] = v[k], int(lengths[k])
+        worth[room] = best
+    return worth, last
+
+
+def content(last: list[int], room: int) -> list[int]:
+    """The lengths that knapsack chose for a room."""
+    out = []
+    while room > 0:
+        if last[room]:
+            out.append(last[room])
+        room -= last[room] or 1
     return out
 
 
-def dual_prices(counts: np.ndarray, rounds: int = 150, rate: float = 0.5) -> np.ndarray:
-    """Prices of the lengths by multiplicative weights on the covering constraints of the configuration program."""
-    have = counts > 0
-    lengths = np.arange(len(counts))
-    weight = np.where(have, lengths / (len(counts) - 1), 0.0)
-    cover = np.zeros(len(counts))
+def cover(counts: np.ndarray, rounds: int = ROUNDS, rate: float = 1.0, least: float = 0.01) -> dict[tuple[int, ...], float]:
+    """A fractional solution of the configuration program: contents of sequences, and how often each is used.
+
+    In every round a knapsack over the prices gives, for each length still uncovered, the content worth most that has it; contents
+    are used until one of their lengths is covered, and the weights of the lengths used fall by the factor exp(-rate * share covered). A price is the share
+    of a sequence that the length fills, which is the dual value where full sequences are possible, plus less than a token's worth
+    of its weight, which tells full sequences apart: long and lagging lengths come first. Ends when less than the share `least` of all tokens is uncovered.
+    """
+    top = len(counts) - 1
+    rest = counts.astype(float).tolist()
+    rest[0] = 0.0
+    tokens = sum(n * length for length, n in enumerate(rest))
+    share, weight = np.arange(top + 1) / top, np.ones(top + 1)
+    used: dict[tuple[int, ...], float] = {}
     for _ in range(rounds):
-        config = np.bincount(knapsack(np.where(have, weight, -1.0)), minlength=len(counts))
-        used = config > 0
-        if not used.any():
+        there = np.array([length for length in range(1, top + 1) if rest[length] > 1e-9], np.int64)
+        if not len(there) or sum(rest[length] * length for length in there.tolist()) < least * tokens:
             break
-        step = (counts[used] / config[used]).min()
-        cover[used] += config[used] * step / counts[used]
-        weight[used] *= np.exp(-rate * 0.1 * config[used] * step / counts[used])
-    return weight
+        _, last = knapsack(there, share[there] + 0.9 / top * share[there] ** 2 * weight[there], top)
+        before, moved = np.array(rest), False
+        for full in (True, False):  # contents with room left only when no full one is to be had
+            for length in there[::-1].tolist():
+                if rest[length] <= 1e-9:
+                    continue
+                config = (length, *content(last, top - length))
+                if full and sum(config) < top:
+                    continue
+                each: dict[int, int] = {}
+                for x in config:
+                    each[x] = each.get(x, 0) + 1
+                step = min(rest[x] / n for x, n in each.items())
+                if step > 1e-9:
+                    for x, n in each.items():
+                        rest[x] -= n * step
+                    used[config] = used.get(config, 0.0) + step
+                    moved = True
+            if moved:
+                break
+        if not moved:
+            break
+        weight *= np.exp(-rate * (before - np.array(rest)) / np.maximum(counts, 1))
+    return used
 
 
-def plan(counts: np.ndarray, rounds: int = 150, max_configs: int = 50) -> list[tuple[list[int], int]]:
-    """(content, times): whole sequences that hold every piece exactly once. counts[l]: pieces of length l."""
-    top = len(counts) - 1
+def rounded(counts: np.ndarray, passes: int = PASSES) -> tuple[list[tuple[list[int], int]], np.ndarray]:
+    """(content, times) of the whole multiplicities of the fractional solution, again for what they leave; and the counts left in the end."""
     left = counts.astype(np.int64).copy()
     left[0] = 0
-    prices = dual_prices(left.copy(), rounds)
     out: list[tuple[list[int], int]] = []
-    while left.any() and len(out) < max_configs:
-        config = np.minimum(np.bincount(knapsack(np.where(left > 0, prices, -1.0)), minlength=top + 1), left)
-        gap = top - int((config * np.arange(top + 1)).sum())
-        while gap > 0 and (fits := np.flatnonzero((left - config)[: gap + 1])).size:  # repeats beyond what is left leave room
-            config[fits[-1]] += 1
-            gap -= int(fits[-1])
-        used = config > 0
-        times = int((left[used] // config[used]).min())
-        out.append((np.repeat(np.arange(top + 1), config).tolist()[::-1], times))
-        left -= config * times
-        # lengths of which more than their share is left gain weight
-        share = left[used] / np.maximum(counts[used], 1)
-        prices[used] *= np.exp(0.2 * (share - left.sum() / max(1, counts.sum())))
-    return out + best_fit(left)
+    for _ in range(passes):
+        whole = [(list(config), int(times + 1e-6)) for config, times in cover(left).items() if times + 1e-6 >= 1]
+        for config, times in whole:
+            np.subtract.at(left, config, times)
+        out += whole
+        if not whole:
+            break
+    return out, left
+
+
+def plan(counts: np.ndarray) -> list[tuple[list[int], int]]:
+    """(content, times): whole sequences that hold every piece exactly once. counts[l]: pieces of length l.
+
+    The rounded solution of the configuration program, its remainder by best fit; or best fit alone if that takes fewer sequences.
+    """
+    whole, left = rounded(counts)
+    solved, plain = whole + best_fit(left), best_fit(counts)
+    size = lambda configs: sum(times for _, times in configs)
+    return solved if size(solved) <= size(plain) else plain
 
 
 def best_fit(counts: np.ndarray) -> list[tuple[list[int], int]]:
@@ -252,7 +302,7 @@ def assign(cut: DataFrame, capacity: int = CAPACITY) -> DataFrame:
     _, first, base, offset, starts = _places(plan(counts), capacity)
     w = Window.partitionBy("length").orderBy("shard").rowsBetween(Window.unboundedPreceding, -1)
     before = by_shard.select("shard", "length", F.coalesce(F.sum("n").over(w), F.lit(0)).cast("long").alias("before"))
-    ranked = cut.drop("ids").join(before, ["shard", "length"])
+    ranked = cut.drop("ids").join(before.hint("merge"), ["shard", "length"])  # the table grows with the tasks: never broadcast
     kind = cut.schema["doc_id"].dataType.simpleString()
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
