@@ -1,14 +1,16 @@
 """Information-theoretic sanitisation on DataFrame functions alone.
 
 Base entities (emails, IPv4 addresses, card and phone numbers) are found by patterns. Then the corpus
-says which terms give an entity, a part of one or a kind away: a term in the same document discloses it to the degree
-PMI(term; entity) / IC(entity), that is log(n(t,e) N / (n(t) n(e))) / log(N / n(e)) over documents.
-Terms that reach the threshold with enough support are generalised wherever they occur, those that
-disclose fully are removed.
+says which terms give an entity away, a part of one, a kind, or that something protected is there: a term in the same document discloses it to the degree
+PMI(term; entity) / IC(entity), that is log(n(t,e) N / (n(t) n(e))) / log(N / n(e)) over documents, discounted for small counts.
+Terms that reach the threshold are generalised wherever they occur, to the most specific term of the corpus that subsumes them; those that
+disclose most are removed.
 """
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -25,8 +27,10 @@ PATTERNS = {
 GUARDS = {"email": "@", "ip": ".", "card": None, "phone": "+"}
 SPANS = "array<struct<kind:string,start:long,end:long,value:string,before:string,after:string>>"
 WORD = r"[\p{L}\p{N}]+"
-SUPPORT = 3  # distinct texts in which a term meets an entity, a part of one or a kind
-GENERALISE, REMOVE = 0.9, 1.0
+GENERALISE, REMOVE = 0.7, 0.9  # disclosure from which a term is replaced by a broader one, and removed
+SUBSUMES = 0.8  # share of a term's documents in which a broader term is
+MAX_BROADCAST_TERMS = 100_000  # words, some 10 MB
+MAX_BROADCAST_LISTS = 200_000  # numbers of documents with terms
 
 
 def _valid(kind: str, m: Column) -> Column:
@@ -70,11 +74,18 @@ def _checked(kind: str) -> Column:
     return F.filter(_found(F.col("text"), F.lit(PATTERNS[kind]), kind), lambda m: _valid(kind, m["value"]))
 
 
+LEVELS = 4
+
+
 def _levels(e: Column) -> list[Column]:
-    """The value of an entity, the part of it that others share, and nothing, which leaves its kind."""
+    """Keys of an entity: its value, the part of it that others share, its kind, and that it is protected at all."""
     value, digits = F.lower(e["value"]), F.regexp_replace(e["value"], "[^0-9]", "")
     part = F.when(e["kind"] == "email", F.substring_index(value, "@", -1)).when(e["kind"] == "ip", F.substring_index(value, ".", 3)).when(e["kind"] == "card", F.left(digits, F.lit(6))).otherwise(F.left(digits, F.lit(3)))
-    return [value, part, F.lit("")]
+    return [F.concat_ws(":", e["kind"], value), F.concat_ws(":", e["kind"], part), e["kind"], F.lit("")]
+
+
+def _words(c: Column) -> Column:
+    return F.regexp_extract_all(F.lower(c), F.lit(WORD), F.lit(0))
 
 
 def _outside(text: Column, base: Column) -> Column:
@@ -82,72 +93,111 @@ def _outside(text: Column, base: Column) -> Column:
     return F.array_distinct(_words(F.aggregate(base, text, lambda t, e: F.replace(t, e["value"], F.lit(" ")))))
 
 
-def disclosing_terms(docs: DataFrame, found: DataFrame, generalise: float = GENERALISE, support: int = SUPPORT) -> DataFrame:
-    """(rid, list): for each document the words in it that give an entity away, with their disclosure.
+def entities_of(found: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """(texts: _h, _words, copies; entities: _h, copies, entity, level) of the distinct texts that hold entities; found has _h, base and _words of every row that does."""
+    texts = found.groupBy("_h").agg(F.first("base").alias("base"), F.first("_words").alias("_words"), F.count(F.lit(1)).alias("copies"))
+    keys = F.array_distinct(F.flatten(F.transform("base", lambda e: F.array(*[F.struct(F.lit(i).alias("level"), key.alias("entity")) for i, key in enumerate(_levels(e))]))))
+    return texts.select("_h", "_words", "copies"), texts.select("_h", "copies", F.inline(keys))
+
 
-    docs has rid and text (all documents), found has h (hash of the text), base and words (those outside base). A term meets an
-    entity where it is anywhere in the same document. Entities are values, their parts (mail domain, network, issuer, dialling code)
-    and kinds, as most values are in one text only. All counts are over all documents; support counts distinct texts, so
-    copies of one text prove nothing.
+def term_disclosures(n_docs: int, n_t: DataFrame, found: DataFrame, generalise: float = GENERALISE) -> DataFrame:
+    """(term, disclosure) of the terms that give some entity away to the degree `generalise` at least.
+
+    n_t has t (hash of a term) and n_t, the documents that have it; found is as for entities_of. A term meets an entity where it is anywhere in the same document
+    outside base spans. disclosure is the largest, over entities, of discount * PMI(term; entity) / IC(entity), cut to 0 to 1, of
+    counts over all documents. The discount smooths small counts: x / (x + 1) for the distinct texts in which they meet, times the same
+    for the rarer of the two; so copies of one text prove nothing, and what meets in fewer than generalise / (1 - generalise) texts cannot reach the threshold and is left out early.
     """
-    n_docs = docs.count()
-    texts = found.where(F.size("base") > 0).groupBy("h").agg(F.first("base").alias("base"), F.first("words").alias("words"), F.count(F.lit(1)).alias("copies"))
-    levels = F.flatten(F.transform("base", lambda e: F.array(*[F.xxhash64(F.lit(i), e["kind"], part) for i, part in enumerate(_levels(e))])))
-    each = texts.select("h", "copies", F.explode(F.array_distinct(levels)).alias("entity"))
-    # what is in fewer texts than the support cannot reach it with any term; its part or kind may
-    n_e = written(each.groupBy("entity").agg(F.sum("copies").alias("n_e"), F.count(F.lit(1)).alias("texts")).where(F.col("texts") >= support).select("entity", "n_e"), "counted")
-    near = each.join(n_e.select("entity"), "entity").join(texts.select("h", "words"), "h").select("entity", "copies", F.explode("words").alias("term"))
+    least = max(1, math.ceil(generalise / (1 - generalise) - 1e-9)) if generalise < 1 else 1 << 40
+    texts, each = entities_of(found)
+    n_e = written(each.groupBy("level", "entity").agg(F.sum("copies").alias("n_e"), F.count(F.lit(1)).alias("texts")).where(F.col("texts") >= least).select("level", "entity", "n_e"), "counted")
+    # values and parts are joined by shuffle; of kinds and the whole there are len(KINDS) + 1 at most
+    fine = each.where("level < 2").join(n_e.where("level < 2"), ["level", "entity"])
+    broad = each.where("level >= 2").join(F.broadcast(n_e.where("level >= 2")), ["level", "entity"])
+    near = fine.unionByName(broad).join(texts.select("_h", "_words"), "_h").select("level", "entity", "n_e", "copies", F.explode("_words").alias("term"))
     near = near.where(~F.regexp_like("term", F.lit("^[0-9]+$")) & (F.char_length("term") > 1))
-    joint = near.groupBy("entity", "term").agg(F.count(F.lit(1)).alias("texts"), F.sum("copies").alias("n_te")).where(F.col("texts") >= support)
-    joint = written(joint.join(n_e, "entity"), "joint")
-    words = docs.select("rid", F.explode(F.array_distinct(_words(F.col("text")))).alias("term"))
-    # counted over all words before the join, so that frequent terms are one row per task
-    n_t = words.groupBy(F.xxhash64("term").alias("t")).agg(F.count(F.lit(1)).alias("n_t"))
-    n_t = n_t.join(joint.select("term", F.xxhash64("term").alias("t")).distinct(), "t").select("term", "n_t")
+    joint = near.groupBy("level", "entity", "n_e", "term").agg(F.count(F.lit(1)).alias("texts"), F.sum("copies").alias("n_te")).where(F.col("texts") >= least)
+    joint = written(joint.withColumn("t", F.xxhash64("term")), "joint").join(n_t, "t")
     pmi = F.log(F.col("n_te") * n_docs / (F.col("n_t") * F.col("n_e")))
     ic = F.log(F.lit(n_docs) / F.col("n_e"))
-    told = joint.join(n_t, "term").withColumn("disclosure", F.when(ic > 0, F.least(F.lit(1.0), pmi / ic)).otherwise(F.lit(0.0)))
-    told = written(told.groupBy("term").agg(F.round(F.max("disclosure"), 9).alias("disclosure")).where(F.col("disclosure") >= generalise), "terms")
-    few = told.limit(MAX_BROADCAST_TERMS + 1).count() <= MAX_BROADCAST_TERMS
-    return written(words.join(F.broadcast(told) if few else told, "term").groupBy("rid").agg(F.sort_array(F.collect_set(F.struct("term", "disclosure"))).alias("list")), "listed")
+    rarer = F.least("n_t", "n_e")
+    discount = F.col("texts") / (F.col("texts") + 1) * rarer / (rarer + 1)
+    told = joint.withColumn("disclosure", F.when(ic > 0, F.greatest(F.lit(0.0), F.least(F.lit(1.0), discount * pmi / ic))).otherwise(F.lit(0.0)))
+    return written(told.groupBy("term").agg(F.round(F.max("disclosure"), 9).alias("disclosure")).where(F.col("disclosure") >= generalise), "terms")
 
 
-MAX_BROADCAST_TERMS = 100_000  # words, some 10 MB
-MAX_BROADCAST_LISTS = 20_000  # documents with terms
+def broader_terms(n_docs: int, n_t: DataFrame, told: DataFrame, held: DataFrame, words: DataFrame) -> DataFrame:
+    """(term, broader): for each told term, the most specific term of the corpus that subsumes it; no row where there is none.
+
+    held has _r and term: the documents' told terms; words has _r and term: all their words. A term subsumes another if it is in SUBSUMES of
+    the other's documents at least, in more documents than the other, not told itself, and in at most half of all documents, beyond which a term says nothing.
+    """
+    beside = held.join(words.withColumnRenamed("term", "wide"), "_r").where("wide <> term")
+    pairs = beside.groupBy("term", "wide").agg(F.count(F.lit(1)).alias("both"))
+    of = held.groupBy("term").agg(F.count(F.lit(1)).alias("n"))
+    likely = pairs.join(of, "term").where((F.col("both") >= SUBSUMES * F.col("n")) & ~F.regexp_like("wide", F.lit("^[0-9]+$")))
+    likely = likely.join(told.select(F.col("term").alias("wide")), "wide", "left_anti").withColumn("t", F.xxhash64("wide")).join(n_t, "t")
+    fits = likely.where((F.col("n_t") > F.col("n")) & (F.col("n_t") * 2 <= n_docs))
+    return fits.groupBy("term").agg(F.min_by("wide", F.struct("n_t", "wide")).alias("broader"))
+
+
+def disclosing_terms(keyed: DataFrame, found: DataFrame, generalise: float = GENERALISE) -> DataFrame:
+    """(_r, list): for each document (keyed: _r, text) that has some, its terms that give an entity away, with their disclosure and broader term (null: none)."""
+    n_docs = keyed.count()
+    words = keyed.select("_r", F.explode(F.array_distinct(_words(F.col("text")))).alias("term"))
+    # counted over all words before any join, so that frequent terms are one row per task
+    n_t = written(words.groupBy(F.xxhash64("term").alias("t")).agg(F.count(F.lit(1)).alias("n_t")), "terms")
+    told = term_disclosures(n_docs, n_t, found, generalise)
+    few = told.limit(MAX_BROADCAST_TERMS + 1).count() <= MAX_BROADCAST_TERMS
+    small = F.broadcast(told) if few else told
+    listed = written(words.join(small, "term"), "listed")
+    held = listed.select("_r", "term").distinct()
+    ids = held.select("_r").distinct()
+    few_ids = ids.limit(MAX_BROADCAST_LISTS + 1).count() <= MAX_BROADCAST_LISTS
+    near = words.join(F.broadcast(ids) if few_ids else ids, "_r", "left_semi").distinct()
+    broader = written(broader_terms(n_docs, n_t, told, held, near), "broader")
+    whole = told.join(broader, "term", "left").select("term", "disclosure", "broader")
+    each = held.join(F.broadcast(whole) if few else whole, "term")
+    return written(each.groupBy("_r").agg(F.sort_array(F.collect_set(F.struct("term", "disclosure", "broader"))).alias("list")), "lists")
 
 
-def _words(c: Column) -> Column:
-    return F.regexp_extract_all(F.lower(c), F.lit(WORD), F.lit(0))
+OURS = ("base", "terms", "list")
 
 
-def personal_data(docs: DataFrame, generalise: float = GENERALISE, support: int = SUPPORT) -> DataFrame:
-    """docs with base, terms and list: the spans of personal data in each row's text, and the listed terms.
+def personal_data(docs: DataFrame, generalise: float = GENERALISE) -> DataFrame:
+    """docs with base, terms and list: the spans of personal data in each row's text, and its listed terms (term, disclosure, broader).
 
-    docs has doc_id and text; other columns are kept, and must not be named as ours are. Null texts are empty; repeated rows are all
+    docs has doc_id and text; other columns are kept, those named base, terms or list as base_in, terms_in and list_in. Null texts are empty; repeated rows are all
     returned; no rows give no rows. Terms inside base spans are left out.
     """
-    h = F.xxhash64(F.coalesce("text", F.lit("")))
-    keyed = docs.withColumn("text", F.coalesce("text", F.lit(""))).withColumn("h", h).withColumn("rid", F.xxhash64("doc_id", "h"))
-    found = written(with_entities(keyed.select("rid", "h", "text")).where(F.size("base") > 0).select("rid", "h", "base", _outside(F.col("text"), F.col("base")).alias("words")), "entities")
-    lists = disclosing_terms(keyed.select("rid", "text"), found, generalise, support)
-    few = lists.limit(MAX_BROADCAST_LISTS + 1).count() <= MAX_BROADCAST_LISTS
-    named = with_entities(keyed).join(F.broadcast(lists) if few else lists, "rid", "left")
+    df = _with_terms(slim(docs, ["doc_id", "text"]), generalise)
+    others = [F.col("_rest").getField(c).alias(f"{c}_in" if c in OURS else c) for c in docs.columns if c not in ("doc_id", "text")]
+    return df.select("doc_id", "text", *others, *OURS)
+
+
+def _with_terms(narrow: DataFrame, generalise: float) -> DataFrame:
+    """narrow (doc_id, text, _rest) with base, terms and list."""
+    keyed = narrow.withColumn("text", F.coalesce("text", F.lit(""))).withColumn("_h", F.xxhash64("text")).withColumn("_r", F.xxhash64("doc_id", "_h"))
+    found = written(with_entities(keyed.select("_h", "text")).where(F.size("base") > 0).select("_h", "base", _outside(F.col("text"), F.col("base")).alias("_words")), "entities")
+    lists = disclosing_terms(keyed.select("_r", "text"), found, generalise)
+    size = lists.agg(F.coalesce(F.sum(F.size("list")), F.lit(0))).first()[0]
+    named = with_entities(keyed).join(F.broadcast(lists) if size <= MAX_BROADCAST_TERMS else lists, "_r", "left")
     pattern = F.concat(F.lit(r"(?iu)(?<![\p{L}\p{N}])(?:"), F.array_join(F.transform("list", lambda x: x["term"]), "|"), F.lit(r")(?![\p{L}\p{N}])"))
     named = named.withColumn("_p", pattern).withColumn("_t", F.when(F.col("list").isNotNull(), _found(F.col("text"), F.col("_p"), "term")).otherwise(F.array().cast(SPANS)))
     clear = F.filter("_t", lambda t: ~F.exists("base", lambda e: (e["start"] < t["end"]) & (t["start"] < e["end"])))
-    return named.withColumn("terms", clear).drop("_p", "_t", "h", "rid")
+    return named.withColumn("terms", clear).drop("_p", "_t", "_h", "_r")
 
 
-def sanitised(docs: DataFrame, generalise: float = GENERALISE, remove: float = REMOVE, support: int = SUPPORT) -> DataFrame:
-    """docs with its personal data replaced in text: base entities and generalised terms by their kind in angle brackets, disclosing terms by nothing.
+def sanitised(docs: DataFrame, generalise: float = GENERALISE, remove: float = REMOVE) -> DataFrame:
+    """docs with its personal data replaced in text: base entities by their kind in angle brackets, terms by the broader term of the corpus (without one, by <TERM>), terms that disclose to the degree `remove` by nothing.
 
-    Spans that overlap are replaced as one. n_chars, where docs has it, is counted anew. Otherwise as personal_data.
+    Spans that overlap are replaced as one. n_chars, where docs has it, is counted anew. Otherwise as personal_data, whatever the columns are named.
     """
-    df = personal_data(slim(docs, ["doc_id", "text"]), generalise, support)
-    gone = F.transform(F.filter("list", lambda x: x["disclosure"] >= remove), lambda x: x["term"])
-    df = df.withColumn("_gone", F.coalesce(gone, F.array().cast("array<string>")))
-    order = F.array_sort(F.transform(F.concat("base", "terms"), lambda s: F.struct(s["start"].alias("start"), s["end"].alias("end"), F.when((s["kind"] == "term") & F.array_contains(F.col("_gone"), F.lower(s["value"])), "").otherwise(F.concat(F.lit("<"), F.upper(s["kind"]), F.lit(">"))).alias("label"))))
-    df = df.withColumn("_o", order)
+    df = _with_terms(slim(docs, ["doc_id", "text"]), generalise)
+    known = F.map_from_arrays(F.transform("list", lambda x: x["term"]), F.transform("list", lambda x: F.when(x["disclosure"] >= remove, "").otherwise(F.coalesce(x["broader"], F.lit("<TERM>")))))
+    df = df.withColumn("_known", F.when(F.col("list").isNotNull(), known))
+    label = lambda s: F.when(s["kind"] == "term", F.coalesce(F.try_element_at("_known", F.lower(s["value"])), F.lit("<TERM>"))).otherwise(F.concat(F.lit("<"), F.upper(s["kind"]), F.lit(">")))
+    df = df.withColumn("_o", F.array_sort(F.transform(F.concat("base", "terms"), lambda s: F.struct(s["start"].alias("start"), s["end"].alias("end"), label(s).alias("label")))))
 
     def step(a: Column, s: Column) -> Column:
         kept = F.concat(a["out"], F.substr(F.col("text"), (a["at"] + 1).cast("int"), (s["start"] - a["at"]).cast("int")), s["label"])
@@ -158,7 +208,7 @@ def sanitised(docs: DataFrame, generalise: float = GENERALISE, remove: float = R
     clean = F.aggregate("_o", begin, step, lambda a: F.concat(a["out"], F.substr(F.col("text"), (a["at"] + 1).cast("int"), F.char_length("text"))))
     df = df.withColumn("text", F.when(F.size("_o") > 0, clean).otherwise(F.col("text")))
     counted = {"n_chars": F.char_length("text").cast(docs.schema["n_chars"].dataType)} if "n_chars" in docs.columns else {}
-    return widened(df, docs, **counted)
+    return widened(df.drop(*OURS, "_known", "_o"), docs, **counted)
 
 
 def _joined(spans: Column) -> Column:
@@ -168,7 +218,8 @@ def _joined(spans: Column) -> Column:
 def op6_pii_sanitisation(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = personal_data(documents(spark, sf_dir).select("doc_id", "text"))
     counts = [_count(k) for k in KINDS]
-    return found.select("doc_id", *counts, F.sha2(_joined(F.col("base")), 256).alias("base_sha256"), _joined(F.concat("base", "terms")).alias("spans"))
+    terms = F.size("terms").cast("long")
+    return found.select("doc_id", *counts, F.sha2(_joined(F.col("base")), 256).alias("base_sha256"), _joined(F.concat("base", "terms")).alias("spans"), terms.alias("n_term"), (F.size("base") + terms).alias("n_spans"))
 
 
 def _count(kind: str) -> Column:

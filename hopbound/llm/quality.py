@@ -51,12 +51,12 @@ def _characters(texts: list[str | None], order: int) -> tuple[np.ndarray, np.nda
     return points, n, key[own].view(np.int64) if len(own) else np.zeros(0, np.int64)
 
 
-def _chunks(texts: list[str | None]) -> Iterator[tuple[int, int]]:
-    """Ranges of texts of about CHUNK_CHARS characters."""
+def _chunks(texts: list[str | None], chars: int) -> Iterator[tuple[int, int]]:
+    """Ranges of texts of about so many characters."""
     begin, size = 0, 0
     for k, t in enumerate(texts):
         size += len(t or "")
-        if size >= CHUNK_CHARS:
+        if size >= chars:
             yield begin, k + 1
             begin, size = k + 1, 0
     if begin < len(texts):
@@ -120,7 +120,7 @@ def _unpacked(data: bytes) -> pa.Table:
     return pa.ipc.open_stream(data).read_all()
 
 
-def shards(docs: DataFrame, order: int = ORDER) -> DataFrame:
+def shards(docs: DataFrame, order: int = ORDER, shard_chars: int = SHARD_CHARS, chunk_chars: int = CHUNK_CHARS) -> DataFrame:
     """docs (column text, and _fold: 0 or 1 in trusted rows) cut into shards: (shard, first, rows, grams, even, odd), a table bucketed by shard.
 
     A row has either rows, documents from the place `first` of the shard on, compressed, or grams, n-grams of the shard with their counts in trusted texts of fold 0 and 1.
@@ -136,9 +136,9 @@ def shards(docs: DataFrame, order: int = ORDER) -> DataFrame:
         for whole in batches:
             texts = whole.column("text").to_pylist()
             fold = whole.column("_fold").fill_null(-1).to_numpy()
-            for begin, end in _chunks(texts):
+            for begin, end in _chunks(texts, chunk_chars):
                 n = sum(len(t or "") for t in texts[begin:end])
-                if size and size + n > SHARD_CHARS:
+                if size and size + n > shard_chars:
                     for g in seen.rows():
                         yield block(grams=g)
                     shard, first, size, seen = shard + 1, 0, 0, _Grams(order)

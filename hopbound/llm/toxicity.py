@@ -1,11 +1,11 @@
 """Toxic spans by a linear-chain conditional random field, and document scores from its marginals.
 
-Two states per word, one chain per sentence (of at most MAX_CHAIN words; longer ones are several chains). The
+Two states per word, one chain per sentence, of whatever length. The
 emission of a word is a sum of weights of its features: the word itself and its first letters. Only
 document labels exist, so words are labelled first: a word of a toxic document counts as toxic if one of its
 features is found in toxic documents far more often than chance allows. The field is then fitted
 to these labels, and forward-backward marginals over whole texts give spans and document scores.
-Training uses a bounded sample of labelled rows (TOXIC_ROWS and CLEAN_ROWS), scoring all text.
+Training uses all sentences of a bounded sample of labelled rows (TOXIC_ROWS and CLEAN_ROWS, of TRAIN_CHARS characters together), scoring all text.
 """
 
 from __future__ import annotations
@@ -16,13 +16,14 @@ from dataclasses import dataclass, field
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .common import documents
 
 TOXIC_ROWS, CLEAN_ROWS = 2000, 4000
-MAX_CHAIN = 100
+TRAIN_CHARS = 64 << 20  # characters of the rows that are fitted to, whole texts only
+BLOCK = 128  # words of a chain that one pass of the recursion covers; states are carried from block to block
 PREFIXES = (3, 4, 5, 6, 7)
 TOKEN = re.compile(r"\w+|[.!?\n]+")
 CACHED_WORDS = 300_000
@@ -35,8 +36,8 @@ def features(word: str) -> list[str]:
 
 
 def tokens(text: str) -> list[str]:
-    """Lower-case words, and runs of sentence ends, in order."""
-    return TOKEN.findall(text.lower())
+    """Words as they stand, and runs of sentence ends, in order. Words are lower-cased one by one later, which keeps offsets true."""
+    return TOKEN.findall(text)
 
 
 def _is_end(token: str) -> bool:
@@ -61,59 +62,90 @@ def chains(rows: list[list[str]], emit) -> tuple[np.ndarray, np.ndarray, np.ndar
         if cuts[-1] != len(e):
             cuts.append(len(e))
     at = np.array(cuts, np.int64)
-    starts, lengths = at[:-1], np.diff(at)
-    more = lengths > MAX_CHAIN
-    if more.any():
-        n = -(-lengths // MAX_CHAIN)
-        first = np.repeat(starts, n) + MAX_CHAIN * (np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n))
-        ends = np.repeat(starts + lengths, n)
-        starts, lengths = first, np.minimum(MAX_CHAIN, ends - first)
-    return np.array(e), starts, lengths, per_row
-
-
-def marginals(emission: np.ndarray, starts: np.ndarray, lengths: np.ndarray, log_t: np.ndarray) -> tuple[np.ndarray, np.ndarray, float]:
-    """(probability of state 1 per word, expected transitions 2x2, log partition) of all chains at once."""
-    order = np.argsort(-lengths, kind="stable")
-    starts, lengths = starts[order], lengths[order]
-    longest = int(lengths[0]) if len(lengths) else 0
+    return np.array(e), at[:-1], np.diff(at), per_row
+
+
+def _carried(one: np.ndarray, t: np.ndarray, begin: np.ndarray, size: np.ndarray, place: np.ndarray, n_blocks: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """For every block, in order within its chain: (probability of state 1 of the word before it, backward message from behind it, as the share of state 1).
+
+    The words of a block together are a 2x2 matrix; the matrices of all blocks are multiplied out at once, then states go from block to block.
+    """
+    before, behind = np.full(len(begin), 0.5), np.full(len(begin), 0.5)
+    long = np.repeat(n_blocks, n_blocks) > 1
+    if not long.any():
+        return before, behind
+    at = np.flatnonzero(long)
+    m = np.broadcast_to(np.eye(2), (len(at), 2, 2)).copy()
+    for k in range(int(size[at].max())):
+        on = np.flatnonzero(size[at] > k)
+        x = m[on] @ t if k else m[on]
+        x[:, :, 1] *= one[begin[at[on]] + k][:, None]
+        m[on] = x / x.sum(axis=(1, 2), keepdims=True)
+    row = np.full(len(begin), -1)
+    row[at] = np.arange(len(at))
+    last = np.cumsum(n_blocks) - 1  # of each chain
+    for j in range(1, int(n_blocks.max())):
+        b = (last - n_blocks + 1 + j)[n_blocks > j]  # blocks that are the j-th of their chain
+        q = before[b - 1]
+        v = np.stack([1 - q, q], axis=1)[:, None, :] @ t if j > 1 else np.ones((len(b), 1, 2))
+        v = (v @ m[row[b - 1]])[:, 0]
+        before[b] = v[:, 1] / v.sum(axis=1)
+        b = (last - j)[n_blocks > j]  # the same from the end
+        q = behind[b + 1]
+        v = (t @ (m[row[b + 1]] @ np.stack([1 - q, q], axis=1)[:, :, None]))[:, :, 0]
+        behind[b] = v[:, 1] / v.sum(axis=1)
+    return before, behind
+
+
+def marginals(emission: np.ndarray, starts: np.ndarray, lengths: np.ndarray, log_t: np.ndarray, weight: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray, float]:
+    """(probability of state 1 per word, expected transitions 2x2, log partition) of all chains at once; the sums count each chain `weight` times."""
     t = np.exp(log_t)
     one = np.exp(np.clip(emission, -30, 30))
+    n_blocks = -(-lengths // BLOCK)
+    chain = np.repeat(np.arange(len(lengths)), n_blocks)
+    place = np.arange(len(chain)) - np.repeat(np.cumsum(n_blocks) - n_blocks, n_blocks)
+    begin = starts[chain] + place * BLOCK
+    size = np.minimum(BLOCK, lengths[chain] - place * BLOCK)
+    before, behind = _carried(one, t, begin, size, place, n_blocks)
+    w = np.ones(len(chain)) if weight is None else weight[chain].astype(float)
+    order = np.argsort(-size, kind="stable")
+    begin, size, w, before, behind, first = begin[order], size[order], w[order], before[order], behind[order], place[order] == 0
     a1 = np.zeros(len(emission))
-    active = [int(np.searchsorted(-lengths, -k, side="left")) for k in range(longest)]  # chains longer than k
+    longest = int(size[0]) if len(size) else 0
+    active = [int(np.searchsorted(-size, -k, side="left")) for k in range(longest)]  # blocks longer than k
     logz = 0.0
-    prev = None
+    prev = before
     for k in range(longest):
-        i = starts[: active[k]] + k
-        if prev is None:
-            p0, p1 = np.full(len(i), 1.0), one[i]
-        else:
-            q = prev[: len(i)]
-            p0 = (1 - q) * t[0, 0] + q * t[1, 0]
-            p1 = ((1 - q) * t[0, 1] + q * t[1, 1]) * one[i]
+        n = active[k]
+        i = begin[:n] + k
+        q = prev[:n]
+        p0 = (1 - q) * t[0, 0] + q * t[1, 0]
+        p1 = (1 - q) * t[0, 1] + q * t[1, 1]
+        if k == 0:
+            p0, p1 = np.where(first, 1.0, p0), np.where(first, 1.0, p1)
+        p1 = p1 * one[i]
         z = p0 + p1
-        logz += float(np.log(z).sum())
+        logz += float((w[:n] * np.log(z)).sum())
         prev = p1 / z
         a1[i] = prev
     out, pairs = np.zeros(len(emission)), np.zeros((2, 2))
-    b0, b1 = np.ones(len(starts)), np.ones(len(starts))
+    b0, b1 = 1 - behind, behind.copy()
     for k in range(longest - 1, -1, -1):
         n = active[k]
-        i = starts[:n] + k
+        i = begin[:n] + k
         q = a1[i]
         x1 = q * b1[:n]
-        p = x1 / (x1 + (1 - q) * b0[:n])
-        out[i] = p
-        if k:
-            f = a1[i - 1]
-            e1 = one[i] * b1[:n]
-            j = [[(1 - f) * t[0, 0] * b0[:n], (1 - f) * t[0, 1] * e1], [f * t[1, 0] * b0[:n], f * t[1, 1] * e1]]
-            z = j[0][0] + j[0][1] + j[1][0] + j[1][1]
-            for r in (0, 1):
-                for s in (0, 1):
-                    pairs[r, s] += float((j[r][s] / z).sum())
-            n0, n1 = t[0, 0] * b0[:n] + t[0, 1] * e1, t[1, 0] * b0[:n] + t[1, 1] * e1
-            s = n0 + n1
-            b0[:n], b1[:n] = n0 / s, n1 / s
+        out[i] = x1 / (x1 + (1 - q) * b0[:n])
+        inner = np.ones(n, bool) if k else ~first
+        f = np.where(inner, a1[i - 1], 0.0)
+        e1 = one[i] * b1[:n]
+        j = [[(1 - f) * t[0, 0] * b0[:n], (1 - f) * t[0, 1] * e1], [f * t[1, 0] * b0[:n], f * t[1, 1] * e1]]
+        z = j[0][0] + j[0][1] + j[1][0] + j[1][1]
+        for r in (0, 1):
+            for c in (0, 1):
+                pairs[r, c] += float((w[:n] * j[r][c] / z)[inner].sum())
+        n0, n1 = t[0, 0] * b0[:n] + t[0, 1] * e1, t[1, 0] * b0[:n] + t[1, 1] * e1
+        b0[:n], b1[:n] = n0 / (n0 + n1), n1 / (n0 + n1)
     return out, pairs, logz
 
 
@@ -134,7 +166,7 @@ class ToxicityModel:
             if len(self.known) > CACHED_WORDS:
                 self.known.clear()
             w = self.weights
-            x = None if _is_end(token) else self.bias + sum(w[f] for f in features(token) if f in w)
+            x = None if _is_end(token) else self.bias + sum(w[f] for f in features(token.lower()) if f in w)
             self.known[token] = x
             return x
 
@@ -155,7 +187,7 @@ class _Numbered:
 
     def __init__(self, texts: list[str]):
         number: dict[str, int] = {}
-        self.rows = [np.fromiter((-1 if _is_end(w) else number.setdefault(w, len(number)) for w in tokens(t)), np.int32) for t in texts]
+        self.rows = [np.fromiter((-1 if _is_end(w) else number.setdefault(w.lower(), len(number)) for w in tokens(t)), np.int32) for t in texts]
         names: dict[str, int] = {}
         self.of_word = np.full((len(number), 1 + len(PREFIXES)), -1, np.int32)
         for w, k in number.items():
@@ -182,7 +214,13 @@ def _signal(texts: _Numbered, toxic: np.ndarray) -> np.ndarray:
     return (x > max(MIN_SHARE, share)) & (n >= 5) & (m * np.nan_to_num(kl) > -np.log(CHANCE))
 
 
-def fit(texts: list[str], toxic: list[int], prior: float, rounds: int = 60, seed: int = 1) -> ToxicityModel:
+def _gradient(w: np.ndarray, t: np.ndarray, at: np.ndarray, feat: np.ndarray, seen: np.ndarray, true_t: np.ndarray, starts: np.ndarray, lengths: np.ndarray, times: np.ndarray, per_word: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Of the log likelihood, less 0.05 times the squares of the feature weights (not the bias) and of the transitions; feat[k] is a feature of word at[k]."""
+    p, pairs, _ = marginals(np.bincount(at, weights=w[feat], minlength=len(per_word)), starts, lengths, t, times)
+    return seen - np.bincount(feat, weights=(p * per_word)[at], minlength=len(w)) - 0.1 * w * (np.arange(len(w)) > 0), true_t - pairs - 0.1 * t
+
+
+def fit(texts: list[str], toxic: list[int], prior: float, rounds: int = 60) -> ToxicityModel:
     """The field fitted to the labelled texts, and its document calibration; prior is the share of toxic documents at large."""
     model = ToxicityModel()
     y = np.array(toxic, bool)
@@ -199,22 +237,28 @@ def fit(texts: list[str], toxic: list[int], prior: float, rounds: int = 60, seed
     column[:-1][signal] = np.arange(1, len(names) + 1)
     of_word = column[data.of_word]  # signal features of each word, 0 where none
     told = of_word.any(axis=1)
-    # sentences with a signal word, and as many others
-    kept: list[tuple[np.ndarray, bool]] = []
-    plain: list[tuple[np.ndarray, bool]] = []
+    # sentences with a signal word one by one; the others, whose words all have the bias alone, by length
+    use: list[tuple[np.ndarray, bool]] = []
+    plain: dict[int, int] = {}
+    none = np.zeros(0, np.int64)
     for row, v in zip(data.rows, y):
         for s in np.split(row, np.flatnonzero(row < 0)):
             s = s[s >= 0]
-            for s in np.split(s, range(MAX_CHAIN, len(s), MAX_CHAIN)) if len(s) else ():
-                (kept if told[s].any() else plain).append((s, v))
-    order = np.random.default_rng(seed).permutation(len(plain))[: max(2000, len(kept))]
-    use = kept + [plain[k] for k in order]
-    lengths = np.array([len(s) for s, _ in use], np.int64)
+            if len(s) and told[s].any():
+                use.append((s, v))
+            elif len(s):
+                plain[len(s)] = plain.get(len(s), 0) + 1
+    lengths = np.array([*(len(s) for s, _ in use), *plain], np.int64)
+    times = np.array([*(1 for _ in use), *plain.values()], np.int64)
     starts = np.cumsum(lengths) - lengths
-    words = np.concatenate([s for s, _ in use])
+    words = np.concatenate([none, *(s for s, _ in use), np.full(sum(plain), -1)])
     n = len(words)
-    label = (told[words] & np.repeat([v for _, v in use], lengths)).astype(float)
-    found = of_word[words]
+    per_word = np.repeat(times, lengths)
+    label = np.zeros(n)
+    own = sum(len(s) for s, _ in use)
+    label[:own] = told[words[:own]] & np.repeat([v for _, v in use], lengths[: len(use)]) if use else 0
+    found = np.zeros((n, of_word.shape[1]), np.int32)
+    found[:own] = of_word[words[:own]]
     at, where = np.nonzero(found)
     at, feat = np.r_[np.arange(n), at], np.r_[np.zeros(n, np.int64), found[at, where]]  # feature 0: bias
     w, t = np.zeros(len(names) + 1), np.zeros((2, 2))
@@ -223,13 +267,10 @@ def fit(texts: list[str], toxic: list[int], prior: float, rounds: int = 60, seed
     inner = np.ones(n, bool)
     inner[starts] = False
     true_t = np.zeros((2, 2))
-    np.add.at(true_t, (label[:-1][inner[1:]].astype(int), label[1:][inner[1:]].astype(int)), 1)
+    np.add.at(true_t, (label[:-1][inner[1:]].astype(int), label[1:][inner[1:]].astype(int)), per_word[1:][inner[1:]])
     mw, vw, mt, vt = np.zeros_like(w), np.zeros_like(w), np.zeros_like(t), np.zeros_like(t)
     for k in range(1, rounds + 1):
-        e = np.bincount(at, weights=w[feat], minlength=n)
-        p, pairs, _ = marginals(e, starts, lengths, t)
-        gw = seen - np.bincount(feat, weights=p[at], minlength=len(w)) - 0.1 * w * (np.arange(len(w)) > 0)
-        gt = true_t - pairs - 0.1 * t
+        gw, gt = _gradient(w, t, at, feat, seen, true_t, starts, lengths, times, per_word)
         mw, vw = 0.9 * mw + 0.1 * gw, 0.99 * vw + 0.01 * gw**2
         mt, vt = 0.9 * mt + 0.1 * gt, 0.99 * vt + 0.01 * gt**2
         w += 0.3 * (mw / (1 - 0.9**k)) / (np.sqrt(vw / (1 - 0.99**k)) + 1e-8)
@@ -253,15 +294,22 @@ def fit(texts: list[str], toxic: list[int], prior: float, rounds: int = 60, seed
     return model
 
 
-def train(docs: DataFrame, labels: DataFrame, toxic_rows: int = TOXIC_ROWS, clean_rows: int = CLEAN_ROWS) -> ToxicityModel:
-    """Fit on at most toxic_rows + clean_rows labelled documents, taken by hash; labels has doc_id and toxic, ties resolved to toxic."""
+def train(docs: DataFrame, labels: DataFrame, toxic_rows: int = TOXIC_ROWS, clean_rows: int = CLEAN_ROWS, chars: int = TRAIN_CHARS) -> ToxicityModel:
+    """Fit on at most toxic_rows + clean_rows labelled documents, taken by hash, as far as their texts have `chars` characters together.
+
+    labels has doc_id and toxic, ties resolved to toxic. Of several rows of a doc_id the text with the least hash counts.
+    """
     known = labels.where(F.col("toxic").isNotNull() & F.col("doc_id").isNotNull()).groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
     prior = known.agg(F.avg("toxic")).first()[0]
     if prior is None:
         return ToxicityModel(slope=0.0, shift=-4.0)
     pick = [known.where(F.col("toxic") == v).orderBy(F.xxhash64("doc_id"), "doc_id").limit(n) for v, n in ((1, toxic_rows), (0, clean_rows))]
     chosen = pick[0].unionByName(pick[1])
-    rows = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").dropDuplicates(["doc_id"]).select("doc_id", F.coalesce("text", F.lit("")).alias("text"), "toxic").collect()
+    text = F.coalesce("text", F.lit(""))
+    found = docs.select("doc_id", text.alias("text")).join(F.broadcast(chosen), "doc_id").groupBy("doc_id", "toxic").agg(F.min_by("text", F.struct(F.xxhash64("text"), "text")).alias("text"))
+    room = Window.orderBy(F.xxhash64("doc_id"), "doc_id").rowsBetween(Window.unboundedPreceding, 0)  # toxic_rows + clean_rows rows at most
+    found = found.withColumn("_chars", F.sum(F.char_length("text")).over(room)).where(F.col("_chars") <= chars)
+    rows = found.select("doc_id", "text", "toxic").collect()
     rows.sort(key=lambda r: r["doc_id"])
     return fit([r["text"] for r in rows], [r["toxic"] for r in rows], float(prior))
 
@@ -287,9 +335,7 @@ def score(docs: DataFrame, model: ToxicityModel, spans_from: float = 0.5) -> Dat
                 for k, text in enumerate(texts):
                     own = slice(ends[k] - n[k], ends[k])
                     if hot[own].any():
-                        low = text.lower()
-                        low = text if len(low) != len(text) else low
-                        at_word = [x.span() for x in TOKEN.finditer(low) if not _is_end(x.group())]
+                        at_word = [x.span() for x in TOKEN.finditer(text) if not _is_end(x.group())]
                         q = p[own]
                         found.append([{"start": s, "end": e, "probability": float(v)} for (s, e), v in zip(at_word, q) if v >= spans_from])
                     else:
