@@ -283,7 +283,8 @@ def accepted(docs: DataFrame, trusted: DataFrame, quantile: float = QUANTILE) ->
     """The rows of docs, all columns, that classify keeps."""
     narrow = slim(docs, ["doc_id", "text", "lang"])
     cut, judged = _judged(narrow, trusted, quantile)
-    make = lambda rows, told: rows.filter(told.column("keep")).select(narrow.columns)
+    names = narrow.columns
+    make = lambda rows, told: rows.filter(told.column("keep")).select(names)
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in narrow.schema)
     return widened(_with_rows(cut, judged.select("shard", "place", "keep"), schema, make), docs)
 
