@@ -116,8 +116,20 @@ def _packed(batch: pa.RecordBatch) -> bytes:
     return sink.getvalue().to_pybytes()
 
 
+def _nullable(kind: pa.DataType) -> pa.DataType:
+    """The type with all fields nullable, as schemas written in text are."""
+    if pa.types.is_struct(kind):
+        return pa.struct([pa.field(f.name, _nullable(f.type)) for f in kind])
+    if pa.types.is_map(kind):
+        return pa.map_(_nullable(kind.key_type), _nullable(kind.item_type))
+    if pa.types.is_list(kind):
+        return pa.list_(pa.field(kind.value_field.name, _nullable(kind.value_type)))
+    return kind
+
+
 def _unpacked(data: bytes) -> pa.Table:
-    return pa.ipc.open_stream(data).read_all()
+    rows = pa.ipc.open_stream(data).read_all()
+    return rows.cast(pa.schema([pa.field(f.name, _nullable(f.type)) for f in rows.schema]))
 
 
 def shards(docs: DataFrame, order: int = ORDER, shard_chars: int = SHARD_CHARS, chunk_chars: int = CHUNK_CHARS) -> DataFrame:

@@ -15,6 +15,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -50,13 +51,13 @@ def fingerprint(text: str | None, shingle: int = 4) -> int:
 def fingerprints(docs: DataFrame, shingle: int = 4) -> DataFrame:
     """(doc_id, fp): fp a signed 64-bit integer with the fingerprint's bits."""
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            fp = np.fromiter((fingerprint(t, shingle) for t in b["text"]), np.uint64, len(b))
-            yield pd.DataFrame({"doc_id": b["doc_id"], "fp": fp.view(np.int64)})
+            fp = np.fromiter((fingerprint(t.as_py(), shingle) for t in b.column("text")), np.uint64, b.num_rows)
+            yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(fp.view(np.int64))], ["doc_id", "fp"])
 
     kind = docs.schema["doc_id"].dataType.simpleString()
-    return docs.select("doc_id", "text").mapInPandas(run, f"doc_id {kind}, fp long")
+    return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, fp long")
 
 
 def _signed(mask: int) -> int:
@@ -163,6 +164,7 @@ BANDS, ROWS = 24, 5
 _XOR, _TIMES = np.random.default_rng(20240301).integers(0, 1 << 64, (2, BANDS * ROWS, 1), dtype=np.uint64)
 _TIMES = _TIMES | np.uint64(1)
 ALIKE, ALIKE_SHINGLE = 0.8, 5
+SLICE = 256  # texts whose sets a worker makes at a time
 FIRST_TABLES = 3  # tables that are measured by one link a set
 BUCKET, HUB_ROUNDS = 50, 12  # sets of a table entry up to which all pairs are taken; rounds of hubs before all pairs are taken of any entry
 
@@ -195,17 +197,20 @@ def _sets(keyed: DataFrame, shingle: int, whole: bool) -> DataFrame:
     """Of rows (doc_id, k, text): (doc_id, k, sid, fp, keys), or with `whole` (sid, shingles); sid names a set of shingles, fp is the SimHash of the text."""
     kind = keyed.schema["doc_id"].dataType.simpleString()
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for b in batches:
-            sets = [shingle_set(t, shingle) for t in b["text"]]
-            sid = [_signed(xxhash.xxh64_intdigest(h.tobytes(), 0)) for h in sets]
-            if whole:
-                yield pd.DataFrame({"sid": sid, "shingles": [h.view(np.int64) for h in sets]})
-            else:
-                fp = np.fromiter((fingerprint(t, shingle) for t in b["text"]), np.uint64, len(b)).view(np.int64)
-                yield pd.DataFrame({"doc_id": b["doc_id"], "k": b["k"], "sid": sid, "fp": fp, "keys": [band_keys(h) for h in sets]})
-
-    return keyed.mapInPandas(run, "sid long, shingles array<long>" if whole else f"doc_id {kind}, k long, sid long, fp long, keys array<long>")
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for at in range(0, batch.num_rows, SLICE):  # a worker holds the sets of few texts at a time
+                b = batch.slice(at, SLICE)
+                texts = [t.as_py() for t in b.column("text")]
+                sets = [shingle_set(t, shingle) for t in texts]
+                sid = pa.array([_signed(xxhash.xxh64_intdigest(h.tobytes(), 0)) for h in sets], pa.int64())
+                if whole:
+                    yield pa.RecordBatch.from_arrays([sid, pa.array([h.view(np.int64) for h in sets], pa.list_(pa.int64()))], ["sid", "shingles"])
+                else:
+                    fp = np.fromiter((fingerprint(t, shingle) for t in texts), np.uint64, len(texts)).view(np.int64)
+                    yield pa.RecordBatch.from_arrays([b.column("doc_id"), b.column("k"), sid, pa.array(fp), pa.array([band_keys(h) for h in sets], pa.list_(pa.int64()))], ["doc_id", "k", "sid", "fp", "keys"])
+
+    return keyed.mapInArrow(run, "sid long, shingles array<long>" if whole else f"doc_id {kind}, k long, sid long, fp long, keys array<long>")
 
 
 def _likeness(pairs: DataFrame, sets: DataFrame) -> DataFrame:
