@@ -8,6 +8,9 @@ from pyspark.sql import functions as F
 from .cut import cut, is_empty
 
 
+MAX_ROUNDS = 100_000  # beyond which loops that go on until nothing changes raise an error
+
+
 def distances(edges: DataFrame, sources: DataFrame, max_depth: int, within: Column | None = None, bound: DataFrame | None = None) -> DataFrame:
     """(instance_id, node, d): least number of edges from a source, up to max_depth, all instances in the same rounds.
 
@@ -78,14 +81,15 @@ def cycle_subgraphs(edges: DataFrame, k: int) -> DataFrame:
     return edges.select("src", "dst", "ord").join(a, "src").join(b, ["instance_id", "dst"]).where(F.col("d_s") + 1 + F.col("d_t") <= k).select("instance_id", "src", "dst", "ord")
 
 
-def components(edges: DataFrame, directed: bool = False, max_rounds: int = 200) -> DataFrame:
+def components(edges: DataFrame, directed: bool = False, max_rounds: int = MAX_ROUNDS) -> DataFrame:
     """(id, component): weakly connected, or strongly connected if directed; a component is named by its least node.
 
     Strongly connected ones by colouring: the least node that reaches a node colours it, and those of a colour that
-    reach their colour's node are a component; the rest goes on. Every round is a join with one row per node.
+    reach their colour's node are a component; the rest goes on. Every round is a join with one row per node; the rounds are as many as the longest
+    shortest path has edges. Weakly connected ones take a logarithm of that. What has not settled after max_rounds raises an error.
     """
     if not directed:
-        return _least_reaching(edges.select("src", "dst").union(edges.select("dst", "src")), None, max_rounds)
+        return _stars(edges, max_rounds)
     live = _trimmed(edges.select("src", "dst"), max_rounds)
     every = edges.select(F.col("src").alias("id")).union(edges.select(F.col("dst").alias("id"))).distinct()
     nodes = cut(live.select(F.col("src").alias("id")).union(live.select(F.col("dst").alias("id"))).distinct())
@@ -105,16 +109,47 @@ def components(edges: DataFrame, directed: bool = False, max_rounds: int = 200)
         left = live.select(F.col("src").alias("id")).union(live.select(F.col("dst").alias("id"))).distinct()
         alone = cut(nodes.join(left, "id", "left_anti").select("id", F.col("id").alias("component")))
         done, nodes = done.unionByName(alone), cut(left)
+    else:
+        if not is_empty(nodes):
+            raise RuntimeError("components did not settle")
     return done
 
 
+def _stars(edges: DataFrame, max_rounds: int) -> DataFrame:
+    """(id, component) of weakly connected components: every node is tied to the least node around it, and again, until all hang on their least node."""
+    every = edges.select(F.col("src").alias("id")).union(edges.select(F.col("dst").alias("id"))).distinct()
+    cur = cut(edges.where("src <> dst").select(F.greatest("src", "dst").alias("a"), F.least("src", "dst").alias("b")).distinct())
+    seen = None
+    for _ in range(max_rounds):
+        around = cur.unionByName(cur.select(F.col("b").alias("a"), F.col("a").alias("b")))
+        least = around.groupBy("a").agg(F.least(F.min("b"), F.col("a")).alias("m"))
+        up = around.join(least, "a").where("b > a").select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
+        low = up.groupBy("a").agg(F.min("b").alias("m"))
+        cur = cut(up.join(low, "a").select(F.when(F.col("b") == F.col("m"), F.col("a")).otherwise(F.col("b")).alias("a"), F.col("m").alias("b")).where("a <> b").distinct())
+        state = tuple(cur.agg(F.count(F.lit(1)), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first())
+        if state == seen:
+            break
+        seen = state
+    else:
+        raise RuntimeError("components did not settle")
+    tied = cur.groupBy(F.col("a").alias("id")).agg(F.min("b").alias("component"))
+    return every.join(tied, "id", "left").select("id", F.coalesce("component", "id").alias("component"))
+
+
+def reduce_to_scc(edges: DataFrame) -> DataFrame:
+    """The edges inside one strongly connected component: no others are on a cycle."""
+    of = cut(components(edges, directed=True))
+    a, b = of.select(F.col("id").alias("src"), F.col("component").alias("_a")), of.select(F.col("id").alias("dst"), F.col("component").alias("_b"))
+    return edges.join(a, "src").join(b, "dst").where("_a = _b").select(*edges.columns)
+
+
 def _trimmed(edges: DataFrame, max_rounds: int) -> DataFrame:
     """Edges without those that leave a node nothing enters or enter a node nothing leaves, again and again: such nodes are on no cycle."""
     live, n = cut(edges.distinct()), -1
     for _ in range(max_rounds):
         if live.count() == n:
             break
-        n = live.count()
+        n = live.count()  # a trim that ends early is a trim as well: the graph left is only larger
         heads, tails = live.select(F.col("dst").alias("src")).distinct(), live.select(F.col("src").alias("dst")).distinct()
         live = cut(live.join(heads, "src", "left_semi").join(tails, "dst", "left_semi").select("src", "dst"))
     return live
@@ -130,7 +165,7 @@ def distances_in(edges: DataFrame, sources: DataFrame, max_depth: int) -> DataFr
         if is_empty(layer):
             return seen
         seen = cut(seen.unionByName(layer))
-    return seen
+    raise RuntimeError("the search did not end")
 
 
 def _least_reaching(edges: DataFrame, nodes: DataFrame | None, max_rounds: int) -> DataFrame:
@@ -143,5 +178,5 @@ def _least_reaching(edges: DataFrame, nodes: DataFrame | None, max_rounds: int)
         nxt = cut(best.join(sent, "id", "left").select("id", F.least("component", "new").alias("component"), (F.col("new") < F.col("component")).alias("moved")))
         best, changed = nxt.select("id", "component"), nxt.where("moved").select("id", "component")
         if is_empty(changed):
-            break
-    return best
+            return best
+    raise RuntimeError("components did not settle")

@@ -8,7 +8,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from hopbound.functions.search import Csr, Run, search
@@ -47,7 +47,7 @@ def measure(family: str, instance: int, csr: Csr, s, t, k: int, schemes: list[st
         return out
     walls = dict.fromkeys(schemes, 1 << 62)
     runs: dict[str, Run] = {}
-    for _ in range(passes):
+    for _ in range(passes):  # a pass goes through all schemes, so that passes of one are apart
         for scheme in schemes:
             begun = time.perf_counter_ns()
             runs[scheme] = search(csr, a, b, k, scheme, cap)
@@ -108,18 +108,30 @@ def loss(runs: DataFrame, of: str = "guarded", against: str = "tight") -> DataFr
 def step_ratio(runs: DataFrame, of: str = "tight", against: str = "guarded") -> DataFrame:
     """Per family and k: steps per interval of one scheme over those of another; sums over sums, and the median of instances.
 
-    calls_ratio is the other way round; with targets, each output also counts as a call of the other scheme, as
-    where it opens a call at the target.
+    calls_ratio is the other way round; with targets, each output of either scheme also counts as a call, as
+    where a call is opened at the target.
     """
     one = (_steps("a") / F.col("a_intervals")) / (_steps("b") / F.col("b_intervals"))
-    return _pairs(runs, of, against).groupBy("family", "k").agg(F.round((F.sum(_steps("a")) / F.sum("a_intervals")) / (F.sum(_steps("b")) / F.sum("b_intervals")), 4).alias("ratio"), F.round(F.median(one), 4).alias("median_ratio"), F.round(F.sum("b_calls") / F.sum("b_intervals") / (F.sum("a_calls") / F.sum("a_intervals")), 4).alias("calls_ratio"), F.round((F.sum("b_calls") + F.sum("b_outputs")) / F.sum("b_intervals") / (F.sum("a_calls") / F.sum("a_intervals")), 4).alias("calls_ratio_with_targets"))
+    return _pairs(runs, of, against).groupBy("family", "k").agg(F.round((F.sum(_steps("a")) / F.sum("a_intervals")) / (F.sum(_steps("b")) / F.sum("b_intervals")), 4).alias("ratio"), F.round(F.median(one), 4).alias("median_ratio"), F.round(F.sum("b_calls") / F.sum("b_intervals") / (F.sum("a_calls") / F.sum("a_intervals")), 4).alias("calls_ratio"), F.round((F.sum("b_calls") + F.sum("b_outputs")) / F.sum("b_intervals") / ((F.sum("a_calls") + F.sum("a_outputs")) / F.sum("a_intervals")), 4).alias("calls_ratio_with_targets"))
 
 
 def excess_by_account(runs: DataFrame, of: str = "tight", against: str = "guarded") -> DataFrame:
-    """Per family and k: what each account adds to the steps per interval, as a share of the other scheme's steps per interval."""
-    base = F.sum(_steps("b")) / F.sum("b_intervals")
-    each = [F.round((F.sum(f"a_steps_{x}") / F.sum("a_intervals") - F.sum(f"b_steps_{x}") / F.sum("b_intervals")) / base, 4).alias(x) for x in ("search", "cascade", "output")]
-    return _pairs(runs, of, against).groupBy("family", "k").agg(*each)
+    """Per family and k: what each account has more of in one scheme than in the other, as a share of all steps of the other; the three add up to the net excess."""
+    each = [F.round((F.sum(f"a_steps_{x}") - F.sum(f"b_steps_{x}")) / F.sum(_steps("b")), 4).alias(x) for x in ("search", "cascade", "output")]
+    net = F.round(F.sum(_steps("a")) / F.sum(_steps("b")) - 1, 4).alias("net")
+    return _pairs(runs, of, against).groupBy("family", "k").agg(*each, net)
+
+
+def missed(paths: DataFrame, against: DataFrame, keys: list[str]) -> DataFrame:
+    """The paths (keys, seq, path_str) of one search that another does not report: an anti-join."""
+    return paths.join(against.select(*keys, "path_str"), [*keys, "path_str"], "left_anti").select(*keys, "seq", "path_str")
+
+
+def order_breaks(paths: DataFrame, against: DataFrame, keys: list[str]) -> DataFrame:
+    """(strangers, inversions): reported paths that the complete search does not have, and neighbours in the wrong order; 0 and 0 if `against` is a subsequence."""
+    both = against.select(*keys, "path_str", F.col("seq").alias("_b")).join(paths.select(*keys, "path_str", F.col("seq").alias("_a")), [*keys, "path_str"], "left")
+    w = Window.partitionBy(*keys).orderBy("_b")
+    return both.withColumn("_before", F.lag("_a").over(w)).agg(F.count_if(F.col("_a").isNull()).alias("strangers"), F.count_if(F.col("_before") >= F.col("_a")).alias("inversions"))
 
 
 def wallclock_ratio(runs: DataFrame, of: str = "tight", against: str = "guarded") -> DataFrame:
@@ -140,3 +152,21 @@ def bound_violations(runs: DataFrame) -> DataFrame:
     return runs.where("scheme = 'tight' and not capped").agg(
         c(F.col("max_delay") > 3 * unit)("over_delay"), c(F.col("initial_delay") > unit)("over_initial"), c(F.col("terminal_delay") > 2 * unit)("over_terminal"), c(F.col("amortized") > 2)("over_amortized"), c(F.col("max_period") > 2 * unit)("over_period")
     )
+
+
+def harness_ns(times: int = 20_000) -> float:
+    """What the clock calls around a search add to its time, in nanoseconds: the least of several means."""
+    least = float("inf")
+    for _ in range(5):
+        begun = time.perf_counter_ns()
+        for _ in range(times):
+            time.perf_counter_ns()
+        least = min(least, (time.perf_counter_ns() - begun) / times)
+    return least
+
+
+def counters(csr: Csr, s: int, t: int, k: int, scheme: str, hub: int) -> dict[str, int]:
+    """Calls, entries of one node, and barrier writes by kind of one logged search."""
+    run = search(csr, s, t, k, scheme, log=True)
+    kinds = [w[1] for w in run.writes]
+    return {"calls": run.calls, "hub_entries": sum(e[0] == hub for e in run.entries), "hub_entries_between": sum(e[0] == hub and e[2] == 1 for e in run.entries), **{k: kinds.count(k) for k in ("raise", "drop", "fruitful")}}

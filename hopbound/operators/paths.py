@@ -10,13 +10,14 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import pandas as pd
-from pyspark.sql import DataFrame
+import pyarrow as pa
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from hopbound.functions.search import Csr, distances_to, search
+from hopbound.functions.search import COMPLETE, Csr, distances_to, search, stream
 
 from .cut import cut, is_empty
-from .labels import budget_subgraph, cycle_subgraphs, to_target
+from .labels import budget_subgraph, cycle_subgraphs, reduce_to_scc, to_target
 
 STRATEGIES = ("task", "split", "relational", "bidirectional", "direct")
 DIRECT_ROWS = 500_000  # edges times queries up to which auto searches without reduction
@@ -30,9 +31,14 @@ def _kinds(edges: DataFrame, queries: DataFrame) -> tuple[str, str]:
 def simple_paths(edges: DataFrame, queries: DataFrame, max_k: int, scheme: str = "tight", strategy: str = "task", cap: int | None = None, depth: int = 1) -> DataFrame:
     """Paths of every query (instance_id, s, t, k) over edges (src, dst, ord); s = t gives the cycles through s.
 
-    max_k bounds every k. Queries whose nodes are absent or not connected give no rows. cap stops each query after so
-    many outputs (task only); depth is the prefix length of split. `auto` lets plans.choose pick.
+    max_k bounds every k. Queries whose nodes are absent or not connected give no rows. cap leaves the first so many outputs of
+    each query, in scan order, whatever the strategy; `bidirectional` knows no scan order and refuses it. Strategies of joins list all paths, so they
+    refuse schemes that do not (`split` takes them: its kernels lose what the scheme loses). depth is the prefix length of split. `auto` lets plans.choose pick.
     """
+    if strategy in ("relational", "bidirectional") and scheme not in COMPLETE:
+        raise ValueError(f"{strategy} lists all paths; {scheme} may not")
+    if strategy == "bidirectional" and cap is not None:
+        raise ValueError("bidirectional has no scan order to cap by")
     if strategy == "auto":
         from hopbound.plans.choose import run_planned
 
@@ -42,30 +48,61 @@ def simple_paths(edges: DataFrame, queries: DataFrame, max_k: int, scheme: str =
     if strategy == "task":
         return search_groups(budget_subgraph(edges, queries, max_k).join(queries, "instance_id"), *_kinds(edges, queries), scheme, cap)
     if strategy == "relational":
-        return expand(edges, queries, max_k)[0]
+        return first_of_each(expand(edges, queries, max_k)[0], ["ords"], cap)
     if strategy == "split":
-        return split_paths(edges, queries, max_k, scheme, depth)
+        return split_paths(edges, queries, max_k, scheme, depth, cap)
     if strategy == "bidirectional":
         return meet_in_middle(edges, queries, max_k)
     raise ValueError(strategy)
 
 
+def first_of_each(paths: DataFrame, order: list[str], cap: int | None) -> DataFrame:
+    """The first cap paths of every instance by the order columns; all if cap is None."""
+    if cap is None:
+        return paths
+    w = Window.partitionBy("instance_id").orderBy(*order)
+    return paths.withColumn("_n", F.row_number().over(w)).where(F.col("_n") <= cap).drop("_n")
+
+
+def capped_counts(paths: DataFrame, queries: DataFrame, cap: int) -> DataFrame:
+    """(instance_id, outputs, capped) of every query from its paths under cap: capped if the cap may have cut some off."""
+    n = paths.groupBy("instance_id").agg(F.count(F.lit(1)).alias("outputs"))
+    return queries.select("instance_id").join(n, "instance_id", "left").select("instance_id", F.coalesce("outputs", F.lit(0)).alias("outputs"), (F.coalesce("outputs", F.lit(0)) >= cap).alias("capped"))
+
+
+STREAMED = 4096  # paths of a batch that a search hands on before it goes on
+
+
 def search_groups(rows: DataFrame, id_type: str, node_type: str, scheme: str = "tight", cap: int | None = None) -> DataFrame:
-    """Kernel per instance: rows are its edges with s, t, k beside each."""
+    """Kernel per instance: rows are its edges with s, t, k beside each. Paths leave the task in batches as they are found; none are kept."""
     schema = f"instance_id {id_type}, seq long, len int, path array<{node_type}>, steps_at long"
+    names = ["instance_id", "seq", "len", "path", "steps_at"]
 
-    def run(part: pd.DataFrame) -> pd.DataFrame:
-        first = part.iloc[0]
-        csr = Csr.of(zip(part["src"].tolist(), part["dst"].tolist(), part["ord"].tolist()))
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        edges, first = [], None
+        for b in batches:
+            if b.num_rows and first is None:
+                first = {c: b.column(c)[0].as_py() for c in ("instance_id", "s", "t", "k")}
+                kinds = [b.schema.field("instance_id").type, pa.int64(), pa.int32(), pa.list_(b.schema.field("src").type), pa.int64()]
+            edges += zip(b.column("src").to_pylist(), b.column("dst").to_pylist(), b.column("ord").to_pylist())
+        csr = Csr.of(edges)
         s, t = csr.index(first["s"]), csr.index(first["t"])
         if s is None or t is None:
-            return pd.DataFrame({"instance_id": [], "seq": [], "len": [], "path": [], "steps_at": []})
-        found = search(csr, s, t, int(first["k"]), scheme, cap)
-        at = [sum(e[1:]) for e in found.events if e[0] == "output"] or [0] * len(found.outputs)
-        out = found.outputs
-        return pd.DataFrame({"instance_id": [first["instance_id"]] * len(out), "seq": range(1, len(out) + 1), "len": [len(p) - 1 for p in out], "path": [[csr.names[i] for i in p] for p in out], "steps_at": at})
+            return
+        out: list[tuple] = []
+
+        def batch() -> pa.RecordBatch:
+            return pa.RecordBatch.from_arrays([pa.array(c, kind) for c, kind in zip(zip(*out), kinds)], names)
+
+        for seq, (path, at) in enumerate(stream(csr, s, t, int(first["k"]), scheme, cap), 1):
+            out.append((first["instance_id"], seq, len(path) - 1, [csr.names[i] for i in path], at))
+            if len(out) == STREAMED:
+                yield batch()
+                out = []
+        if out:
+            yield batch()
 
-    return rows.select("instance_id", "src", "dst", "ord", "s", "t", "k").groupBy("instance_id").applyInPandas(run, schema)
+    return rows.select("instance_id", "src", "dst", "ord", "s", "t", "k").groupBy("instance_id").applyInArrow(run, schema)
 
 
 def expand(edges: DataFrame, queries: DataFrame, max_k: int, rounds: int | None = None) -> tuple[DataFrame, DataFrame]:
@@ -86,21 +123,22 @@ def expand(edges: DataFrame, queries: DataFrame, max_k: int, rounds: int | None
     return done, front
 
 
-def split_paths(edges: DataFrame, queries: DataFrame, max_k: int, scheme: str, depth: int) -> DataFrame:
+def split_paths(edges: DataFrame, queries: DataFrame, max_k: int, scheme: str, depth: int, cap: int | None = None) -> DataFrame:
     """Prefixes of `depth` hops, each searched from its end in the graph without its other nodes; outputs are disjoint by prefix."""
     done, front = expand(edges, queries, max_k, depth)
     id_type, node_type = _kinds(edges, queries)
-    prefixes = cut(front.select(F.concat_ws("|", F.col("instance_id").cast("string"), F.col("path").cast("string")).alias("prefix"), "instance_id", "path", F.col("tail").alias("s"), "t", (F.col("k") - depth).alias("k")))
+    prefixes = cut(front.select(F.concat_ws("|", F.col("instance_id").cast("string"), F.col("path").cast("string")).alias("prefix"), "instance_id", "path", "ords", F.col("tail").alias("s"), "t", (F.col("k") - depth).alias("k")))
     sub = budget_subgraph(edges, queries, max_k).select("instance_id", "src", "dst", "ord")
     rows = prefixes.join(sub, "instance_id").where((~F.array_contains("path", F.col("dst")) | (F.col("dst") == F.col("t"))) & (~F.array_contains("path", F.col("src")) | (F.col("src") == F.col("s"))))
-    found = search_groups(rows.select(F.col("prefix").alias("instance_id"), "src", "dst", "ord", "s", "t", "k"), "string", node_type, scheme)
-    whole = found.withColumnRenamed("instance_id", "prefix").withColumnRenamed("path", "rest").join(prefixes.select("prefix", "instance_id", "path"), "prefix")
-    whole = whole.select("instance_id", (F.col("len") + depth).alias("len"), F.concat("path", F.slice("rest", 2, 1_000_000)).alias("path"))
-    return done.select("instance_id", "len", "path").unionByName(whole)
+    found = search_groups(rows.select(F.col("prefix").alias("instance_id"), "src", "dst", "ord", "s", "t", "k"), "string", node_type, scheme, cap)
+    whole = found.withColumnRenamed("instance_id", "prefix").withColumnRenamed("path", "rest").join(prefixes.select("prefix", "instance_id", "path", "ords"), "prefix")
+    whole = whole.select("instance_id", (F.col("len") + depth).alias("len"), F.concat("path", F.slice("rest", 2, 1_000_000)).alias("path"), "ords", "seq")
+    # prefixes in scan order, and within one the order of its search
+    return first_of_each(done.select("instance_id", "len", "path", "ords", F.lit(0).cast("long").alias("seq")).unionByName(whole), ["ords", "seq"], cap).select("instance_id", "len", "path")
 
 
 def meet_in_middle(edges: DataFrame, queries: DataFrame, max_k: int) -> DataFrame:
-    """Forward halves of ceil(l/2) hops joined with backward halves of floor(l/2) hops at their common node; s and t must differ."""
+    """Forward halves of ceil(l/2) hops joined with backward halves of floor(l/2) hops at their common node, and at s where s = t."""
     half = (max_k + 1) // 2
     sub = cut(budget_subgraph(edges, queries, max_k))
 
@@ -108,7 +146,7 @@ def meet_in_middle(edges: DataFrame, queries: DataFrame, max_k: int) -> DataFram
         front = queries.select("instance_id", "k", F.col(avoid).alias("avoid"), F.array(start).alias("path"), F.col(start).alias("tail"))
         out = [front]
         for _ in range(rounds):
-            nxt = front.where("tail <> avoid").join(rows, ["instance_id"]).where("tail = a").where(~F.array_contains("path", F.col("b")))
+            nxt = front.where("tail <> avoid OR size(path) = 1").join(rows, ["instance_id"]).where("tail = a").where(~F.array_contains("path", F.col("b")))
             front = cut(nxt.select("instance_id", "k", "avoid", F.array_append("path", F.col("b")).alias("path"), F.col("b").alias("tail")))
             out.append(front)
         return out
@@ -121,18 +159,20 @@ def meet_in_middle(edges: DataFrame, queries: DataFrame, max_k: int) -> DataFram
         b = behind[length // 2].select("instance_id", F.col("path").alias("q"), "tail", F.col("avoid").alias("s"))
         f = f.where("tail <> avoid") if length > 1 else f.where("tail = avoid")
         b = b.where("tail <> s")
-        met = f.join(b, ["instance_id", "tail"]).where((F.size(F.array_intersect("p", "q")) == 1) & (F.col("k") >= length))
+        met = f.join(b, ["instance_id", "tail"]).where((F.size(F.array_intersect("p", "q")) == F.when(F.col("avoid") == F.col("s"), 2).otherwise(1)) & (F.col("k") >= length))
         met = met.select("instance_id", F.lit(length).alias("len"), F.concat("p", F.slice(F.reverse("q"), 2, 1_000_000)).alias("path"))
         found = met if found is None else found.unionByName(met)
     return found
 
 
-def all_cycles(edges: DataFrame, k: int, scheme: str = "tight", strategy: str = "joins") -> DataFrame:
+def all_cycles(edges: DataFrame, k: int, scheme: str = "tight", strategy: str = "joins", reduce: bool = False) -> DataFrame:
     """(root, len, path) of every simple cycle of at most k edges, once, from its least node and closed.
 
     `joins` finds viable roots and their subgraphs by joins over all roots. `shipped` sends the whole graph (of a checked size) to
-    the tasks, which cut out each root's surroundings themselves; `auto` does so up to SHIPPED_CYCLE_EDGES.
+    the tasks, which cut out each root's surroundings themselves; `auto` does so up to SHIPPED_CYCLE_EDGES. reduce first leaves only edges inside strongly
+    connected components, which pays where much of the graph is on no cycle.
     """
+    edges = reduce_to_scc(edges) if reduce else edges
     node = edges.schema["src"].dataType.simpleString()
     if strategy == "shipped" or strategy == "auto" and edges.limit(SHIPPED_CYCLE_EDGES + 1).count() <= SHIPPED_CYCLE_EDGES:
         return _cycles_shipped(edges, k, scheme, node)

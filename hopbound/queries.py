@@ -16,7 +16,7 @@ from hopbound.functions.search import COMPLETE
 from hopbound.operators import labels as L
 from hopbound.operators.cut import cut
 from hopbound.operators.graph import Graph
-from hopbound.operators.paths import all_cycles, path_string, recursive_sql, simple_paths, walk_upper_bound
+from hopbound.operators.paths import all_cycles, capped_counts, path_string, recursive_sql, simple_paths, walk_upper_bound
 from hopbound.plans.choose import run_planned
 from hopbound.sources import datasource
 from hopbound.sources.generators import FIG_X, FIG_Y, lettered
@@ -209,6 +209,7 @@ add("induced_quality_docs", lambda spark, d: graph(spark, d, "doclines").induced
 
 # --- cycles -----------------------------------------------------------------------------------------
 
+HUB = 11  # on 45 of the cycles of at most 4 edges of trade100 at sf0.01
 CYCLES = {"trade100": 4, "trade50": 4, "partchain": 4, "payflow": 3, "custchain": 3, "useritem": 4, "knn": 3, "bigrams": 3, "schema": 4, "navlinks": 3, "doclines": 4}
 
 
@@ -222,16 +223,22 @@ for g, k in CYCLES.items():
 for g in ("trade100", "payflow", "partchain"):
     k = CYCLES[g]
     add(f"cycles_by_len_{g}", (lambda q: lambda spark, d: q(spark, d).groupBy("len").agg(F.count(F.lit(1)).alias("cycles")))(_cycles(g, k)), f"{cycle_walks(oracle(g), k)} SELECT CAST(len AS BIGINT) AS len, count(*) AS cycles FROM w WHERE tail = root AND len > 0 GROUP BY len")
-add("cycles_through_trade", _paths("trade100", 9, 9, 4), found(oracle("trade100"), 9, 9, 4))
+for strategy in ("task", "split", "relational", "bidirectional", "direct"):
+    add("cycles_through_trade" if strategy == "task" else f"cycles_through_{strategy}", _paths("trade100", HUB, HUB, 4, strategy=strategy), found(oracle("trade100"), HUB, HUB, 4))
+for scheme in COMPLETE:
+    if scheme != "tight":
+        add(f"cycles_through_{scheme}", _paths("trade100", HUB, HUB, 4, scheme=scheme), found(oracle("trade100"), HUB, HUB, 4))
 
 
 def _split_cycles(spark: SparkSession, d: str) -> DataFrame:
-    e = cut(graph(spark, d, "trade100").split_node(9, 1009, 2009).edges)
-    p = simple_paths(e, asked(spark, [(0, 1009, 2009, 4)], e), 4)
-    return shown(p.withColumn("path", F.transform("path", lambda x: F.when(x > 1000, F.lit(9).cast("long")).otherwise(x))))
+    e = cut(graph(spark, d, "trade100").split_node(HUB, 1000 + HUB, 2000 + HUB).edges)
+    p = simple_paths(e, asked(spark, [(0, 1000 + HUB, 2000 + HUB, 4)], e), 4)
+    return shown(p.withColumn("path", F.transform("path", lambda x: F.when(x > 1000, F.lit(HUB).cast("long")).otherwise(x))))
 
 
-add("split_cycles_trade", _split_cycles, found(oracle("trade100"), 9, 9, 4))
+add("split_cycles_trade", _split_cycles, found(oracle("trade100"), HUB, HUB, 4))
+for g in ("navlinks", "trade50", "doclines"):
+    add(f"cycles_scc_reduced_{g}", (lambda g, k: lambda spark, d: all_cycles(cut(graph(spark, d, g).edges), k, reduce=True).select(F.col("len").cast("long").alias("len"), path_string().alias("cycle_str")))(g, CYCLES[g]), ORACLES[f"cycles_all_{g}"])
 add("viable_roots_payflow", lambda spark, d: L.viable_roots(cut(graph(spark, d, "payflow").edges), 3), f"{cycle_walks(oracle('payflow'), 3)} SELECT DISTINCT root FROM w WHERE tail = root AND len > 0")
 
 # --- labels and reductions ----------------------------------------------------------------------------
@@ -307,13 +314,36 @@ add("circuit_trade50", X.unbounded("trade50", 7, 9, "circuit"), found(oracle("tr
 add("backtrack_trade25", X.unbounded("trade25", 19, 9, "backtrack"), found(oracle("trade25"), 19, 9, 25))
 
 
+CAPPED = {1: 3, 2: 3, 3: 2, 7: 2}  # target: k, from supplier 0
+CAP = 5000
+
+
 def _capped(spark: SparkSession, d: str) -> DataFrame:
     e = cut(graph(spark, d, "supplychain").edges)
-    p = simple_paths(e, asked(spark, [(0, 0, 1, 4)], e), 4, cap=10_000)
-    return p.agg(F.count(F.lit(1)).alias("paths"), F.max("seq").alias("last"))
+    q = cut(asked(spark, [(t, 0, t, k) for t, k in CAPPED.items()], e))
+    return capped_counts(simple_paths(e, q, 3, cap=CAP), q, CAP)
+
+
+add("capped_supplychain", _capped, " UNION ALL ".join(f"SELECT * FROM ({found(oracle('supplychain'), 0, t, k, f'CAST({t} AS BIGINT) AS instance_id, least(count(*), {CAP}) AS outputs, count(*) >= {CAP} AS capped')}) x{t}" for t, k in CAPPED.items()))
+_FIRST = found(oracle("trade100"), 3, 9, 4, f"CAST(len AS BIGINT) AS len, {STR}, row_number() OVER (ORDER BY path) AS r")
+for strategy in ("task", "relational", "split", "direct", "auto"):
+    add(f"cap_{strategy}_trade", _paths("trade100", 3, 9, 4, strategy=strategy, cap=17), f"SELECT len, path_str FROM ({_FIRST}) x WHERE r <= 17")
+
+
+def _inside(spark: SparkSession, d: str) -> DataFrame:
+    return L.reduce_to_scc(cut(graph(spark, d, "trade50").edges)).select("src", "dst")
 
 
-add("capped_supplychain", _capped, "SELECT least(n, 10000) AS paths, least(n, 10000) AS last FROM (" + found(oracle("supplychain"), 0, 1, 3, "count(*) + 10000 AS n") + ") x")
+add("reduce_to_scc_trade50", _inside, f"WITH c AS ({_scc_sql(oracle('trade50'))}) SELECT e.src, e.dst FROM ({oracle('trade50')}) e JOIN c a ON a.id = e.src JOIN c b ON b.id = e.dst WHERE a.component = b.component")
+
+
+def _chain(spark: SparkSession, d: str) -> DataFrame:
+    """Chains of 400 nodes in a shuffled order, far longer than any fixed number of rounds of neighbours."""
+    e = spark.range(1200).where("id % 400 <> 399").select((F.col("id") * 7919 % 1200).alias("src"), ((F.col("id") + 1) * 7919 % 1200).alias("dst"))
+    return L.components(cut(e)).groupBy("component").agg(F.count(F.lit(1)).alias("nodes"))
+
+
+add("wcc_long_chains", _chain, "SELECT min(id * 7919 % 1200) AS component, count(*) AS nodes FROM (SELECT unnest(range(1200)) AS id) x GROUP BY id // 400")
 add("weighted_paths_trade", X.weighted_trade, f"WITH RECURSIVE e AS ({oracle('trade100')}), w(tail, path, cost) AS (SELECT CAST(3 AS BIGINT), [CAST(3 AS BIGINT)], CAST(0 AS BIGINT) UNION ALL SELECT e.dst, list_append(w.path, e.dst), w.cost + e.w FROM w JOIN e ON e.src = w.tail WHERE w.tail <> 9 AND w.cost + e.w <= {X.WEIGHT_BUDGET} AND NOT list_contains(w.path, e.dst)) SELECT cost, {STR} FROM w WHERE tail = 9")
 
 
@@ -341,7 +371,16 @@ add("lead_payflow", lambda spark, d: graph(spark, d, "payflow").edges.select("sr
 for g in ("payflow", "trade100"):
     o = oracle(g)
     add(f"degrees_{g}", (lambda g: lambda spark, d: graph(spark, d, g).degrees())(g), f"SELECT id, count(*) FILTER (o = 1) AS out_degree, count(*) FILTER (o = 0) AS in_degree FROM (SELECT src AS id, 1 AS o FROM ({o}) a UNION ALL SELECT dst, 0 FROM ({o}) b) x GROUP BY id")
-add("degree_full_outer", QUERIES["degrees_payflow"], ORACLES["degrees_payflow"])
+add("degree_full_outer", lambda spark, d: _full_outer(spark, d), f"SELECT coalesce(a.id, b.id) AS id, coalesce(a.n, 0) AS trade50, coalesce(b.n, 0) AS trade100 FROM (SELECT src AS id, count(*) AS n FROM ({oracle('trade50')}) x GROUP BY src) a FULL OUTER JOIN (SELECT dst AS id, count(*) AS n FROM ({oracle('trade100')}) y GROUP BY dst) b ON a.id = b.id")
+
+
+def _full_outer(spark: SparkSession, d: str) -> DataFrame:
+    """Out-degrees in one graph beside in-degrees in another, nodes of either."""
+    a = graph(spark, d, "trade50").edges.groupBy(F.col("src").alias("id")).agg(F.count(F.lit(1)).alias("a"))
+    b = graph(spark, d, "trade100").edges.groupBy(F.col("dst").alias("id")).agg(F.count(F.lit(1)).alias("b"))
+    return a.join(b, "id", "full_outer").select("id", F.coalesce("a", F.lit(0)).alias("trade50"), F.coalesce("b", F.lit(0)).alias("trade100"))
+
+
 add("density_trade", lambda spark, d: graph(spark, d, "trade200").density(), f"WITH e AS ({oracle('trade200')}), n AS (SELECT count(*) AS n FROM (SELECT src FROM e UNION SELECT dst FROM e) x), m AS (SELECT count(*) AS m FROM e) SELECT n, m, round(m / (n * (n - 1)), 6) AS density FROM n, m")
 add("adjlist_roundtrip", lambda spark, d: _adjacency(spark, d), f"SELECT src, dst FROM ({oracle('trade100')}) g")
 

@@ -8,6 +8,8 @@ from __future__ import annotations
 
 import re
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -117,7 +119,68 @@ def payflow(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pairs.where("dst IS NOT NULL AND src <> dst").groupBy("src", "dst").agg(F.count(F.lit(1)).alias("w"))
 
 
+def passages(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Benchmark items tied to the documents that hold their first sentence, by a join on two neighbouring inner words of it and a check of the whole.
+
+    A text that holds the sentence has those words between spaces. Sentences of under four words have no such pair and are looked for in every
+    document, in blocks of the broadcast items; there are at most as many as the benchmark has items.
+    """
+    items = table(spark, sf_dir, "benchmark").select(F.concat(F.lit("B"), "item_id").alias("a"), F.split("text", "[.]")[0].alias("s")).where("s is not null")
+    items = items.withColumn("w", F.split("s", " "))
+    docs = table(spark, sf_dir, "documents").select(F.concat(F.lit("D"), "doc_id").alias("b"), "text").where("text is not null")
+    keyed = items.where("size(w) >= 4").select("a", "s", F.xxhash64(F.get("w", F.lit(1)), F.get("w", F.lit(2))).alias("key"))
+    pairs = F.array_distinct(F.zip_with(F.slice("w", 1, F.greatest(F.size("w") - 1, F.lit(0))), F.slice("w", 2, F.greatest(F.size("w") - 1, F.lit(0))), lambda x, y: F.xxhash64(x, y)))
+    probes = docs.withColumn("w", F.split("text", " ")).select("b", F.explode(pairs).alias("key"))
+    likely = probes.join(keyed, "key").select("a", "s", "b")
+    hits = likely.join(docs, "b").where(F.contains("text", F.col("s"))).select("a", "b")
+    short = items.where("size(w) < 4").select("a", "s")
+    if short.limit(1).count():
+        hits = hits.unionByName(docs.join(F.broadcast(short), F.contains("text", F.col("s"))).select("a", "b"))
+    both = hits.select(F.col("a").alias("src"), F.col("b").alias("dst")).unionByName(hits.select(F.col("b").alias("src"), F.col("a").alias("dst")))
+    return both.distinct().withColumn("w", F.lit(1).cast("long"))
+
+
+NEAREST, KNN_BLOCK = 3, 4096  # neighbours; vectors of a block, whose distances to another block are one matrix product
+
+
+def knn(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Each vector tied to its NEAREST others, exactly: every pair of blocks gives the nearest ones of its rows, and the least of those remain.
+
+    Distances are between whole numbers (10,000 times the values), so they are exact in doubles; ties go to the lesser id. Vectors
+    travel once for each block, distances never leave a task.
+    """
+    v = table(spark, sf_dir, "embeddings").select("vec_id", F.transform("embedding", lambda x: F.round(x.cast("double") * 10000)).alias("q")).where("vec_id is not null and q is not null")
+    blocks = max(1, -(-v.count() // KNN_BLOCK))
+    own = v.withColumn("i", F.pmod(F.xxhash64("vec_id"), F.lit(blocks)).cast("int"))
+    every = F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))
+    left = own.select("vec_id", "q", "i", every.alias("j"))
+    right = own.select(F.col("vec_id").alias("dst"), F.col("q").alias("p"), F.col("i").alias("jj"), every.alias("ii"))
+
+    def nearest(a: pd.DataFrame, b: pd.DataFrame) -> pd.DataFrame:
+        if not len(a) or not len(b):
+            return pd.DataFrame({"src": [], "dst": [], "d": []})
+        b = b.sort_values("dst")
+        x, y, ids = np.stack(a["q"].to_numpy()), np.stack(b["p"].to_numpy()), b["dst"].to_numpy()
+        out = []
+        for k in range(0, len(x), 512):
+            part, src = x[k : k + 512], a["vec_id"].to_numpy()[k : k + 512]
+            d = (part**2).sum(1)[:, None] + (y**2).sum(1)[None, :] - 2 * part @ y.T
+            d[src[:, None] == ids[None, :]] = np.inf
+            at = np.argsort(d, axis=1, kind="stable")[:, :NEAREST]
+            near = np.take_along_axis(d, at, axis=1)
+            kept = np.isfinite(near)
+            out.append(pd.DataFrame({"src": np.repeat(src, at.shape[1]).reshape(at.shape)[kept], "dst": ids[at][kept], "d": near[kept]}))
+        return pd.concat(out)
+
+    found = left.groupBy("i", "j").cogroup(right.groupBy("ii", "jj")).applyInPandas(nearest, "src long, dst long, d double")
+    top = found.withColumn("r", F.row_number().over(Window.partitionBy("src").orderBy("d", "dst"))).where(F.col("r") <= NEAREST)
+    return top.select("src", "dst").unionByName(top.select(F.col("dst").alias("src"), F.col("src").alias("dst"))).distinct().withColumn("w", F.lit(1).cast("long"))
+
+
+DERIVED = {"payflow": payflow, "passages": passages, "knn": knn}
+
+
 def graph(spark: SparkSession, sf_dir: str, name: str) -> Graph:
     """A derived graph by name; its scan order is by dst."""
-    edges = payflow(spark, sf_dir) if name == "payflow" else sql(spark, sf_dir, GRAPHS[name])
+    edges = DERIVED[name](spark, sf_dir) if name in DERIVED else sql(spark, sf_dir, GRAPHS[name])
     return Graph(edges).ordered()
