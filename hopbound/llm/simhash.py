@@ -166,7 +166,9 @@ _TIMES = _TIMES | np.uint64(1)
 ALIKE, ALIKE_SHINGLE = 0.8, 5
 SLICE = 256  # texts whose sets a worker makes at a time
 FIRST_TABLES = 3  # tables that are measured by one link a set
-BUCKET, HUB_ROUNDS = 50, 12  # sets of a table entry up to which all pairs are taken; rounds of hubs before all pairs are taken of any entry
+BUCKET = 8  # sets of a table entry up to which its pairs are rows
+HUB_SETS, HUB_ROUNDS = 8192, 12  # sets beyond which an entry goes through rounds of hubs first, and how many
+BLOCK_SETS, BLOCK_SHINGLES = 512, 4_000_000  # of a block
 
 
 def shingle_set(text: str | None, shingle: int = ALIKE_SHINGLE) -> np.ndarray:
@@ -230,13 +232,68 @@ def _to_hubs(entries: DataFrame) -> DataFrame:
     return entries.join(entries.groupBy("key").agg(F.min("sid").alias("hub")), "key").where("sid <> hub")
 
 
+def _among(shingles: list[np.ndarray], names: np.ndarray, parts: np.ndarray, alike: float) -> list[tuple[int, int]]:
+    """Links that join the sets of a block as all its pairs of at least `alike` of different parts do; at most one fewer than there are sets."""
+    n = len(shingles)
+    size = np.array([len(x) for x in shingles], np.int64)
+    _, column, times = np.unique(np.concatenate(shingles), return_inverse=True, return_counts=True)
+    row = np.repeat(np.arange(n), size)
+    shared = times[column] > 1
+    row, column = row[shared], np.unique(column[shared], return_inverse=True)[1]
+    order = np.argsort(column, kind="stable")
+    row, column = row[order], column[order]
+    both = np.zeros((n, n), np.float32)  # counts below 2^24 are exact
+    for k in range(0, int(column[-1]) + 1 if len(column) else 0, 4096):
+        own = slice(*np.searchsorted(column, [k, k + 4096]))
+        m = np.zeros((n, 4096), np.float32)
+        m[row[own], column[own] - k] = 1
+        both += m @ m.T
+    both = both.astype(np.float64)
+    like = both / np.maximum(size[:, None] + size[None, :] - both, 1)
+    up = {c: c for c in parts.tolist()}
+
+    def root(c: int) -> int:
+        while up[c] != c:
+            up[c] = up[up[c]]
+            c = up[c]
+        return c
+
+    out = []
+    for i, j in zip(*np.nonzero(np.triu(like >= alike, 1))):
+        x, y = root(int(parts[i])), root(int(parts[j]))
+        if x != y:
+            up[x] = y
+            out.append((int(max(names[i], names[j])), int(min(names[i], names[j]))))
+    return out
+
+
+def block_links(entries: DataFrame, sets: DataFrame, alike: float) -> DataFrame:
+    """(a, b): links that join the sets of every entry (key, sid, c: the component so far) as all its pairs of at least `alike` do.
+
+    An entry's sets are dealt to blocks of about BLOCK_SETS sets and BLOCK_SHINGLES shingles, and every two blocks meet in a task of their own,
+    which compares them by matrix products and returns no more links than it has sets. Pairs are never rows.
+    """
+    size = entries.join(sets.select("sid", F.size("shingles").alias("_n")), "sid")
+    blocks = size.groupBy("key").agg(F.ceil(F.greatest(F.count(F.lit(1)) / BLOCK_SETS, F.sum("_n") / BLOCK_SHINGLES)).cast("int").alias("_blocks"))
+    own = entries.join(blocks, "key").withColumn("_own", F.pmod(F.xxhash64("sid"), F.col("_blocks")).cast("int"))
+    dealt = own.withColumn("_other", F.explode(F.sequence(F.lit(0), F.col("_blocks") - 1)))
+    rows = dealt.select("key", F.least("_own", "_other").alias("i"), F.greatest("_own", "_other").alias("j"), "sid", "c").join(sets, "sid")
+
+    def run(part: pa.Table) -> pa.Table:
+        shingles = [np.asarray(x.values, np.int64) for x in part.column("shingles")]
+        found = _among(shingles, part.column("sid").to_numpy(), part.column("c").to_numpy(), alike)
+        return pa.table([pa.array([x for x, _ in found], pa.int64()), pa.array([y for _, y in found], pa.int64())], ["a", "b"])
+
+    return rows.select("key", "i", "j", "sid", "c", "shingles").groupBy("key", "i", "j").applyInArrow(run, "a long, b long")
+
+
 def alike_links(found: DataFrame, near: DataFrame, sets: DataFrame, alike: float = ALIKE) -> DataFrame:
     """(a, b): links that join the same sets as all pairs do that are in near or share a table entry and have a Jaccard similarity of at least `alike`.
 
     found has sid, tab (number of the table) and key (rows distinct), near a and b, sets sid and shingles. Pairs of sets that are
     joined already need no measuring: so the first tables and near are measured by one link a set, and of all tables
-    only entries of more than one component go on. Of an entry of many sets not all pairs are taken: all its sets
-    are measured against one of them, the hub. Those alike to it are joined through it; the others go on without
+    only entries of more than one component go on: small ones pair by pair, others block by block. Of an entry of very many sets, all its sets
+    are first measured against one of them, the hub, for HUB_ROUNDS rounds. Those alike to it are joined through it; the others go on without
     the hub, and with those of its neighbours that, by the triangle inequality of the Jaccard distance, can be alike to one of them.
     """
     stars = _to_hubs(found.where(F.col("tab") < FIRST_TABLES).select("key", "sid")).select(F.col("sid").alias("a"), F.col("hub").alias("b"))
@@ -244,22 +301,26 @@ def alike_links(found: DataFrame, near: DataFrame, sets: DataFrame, alike: float
     comp = components(joined)
     named = found.select("key", "sid").join(comp.withColumnRenamed("node", "sid"), "sid", "left").select("key", "sid", F.coalesce("component", "sid").alias("c"))
     mixed = named.groupBy("key").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo < hi").select("key")
-    cur, pairs = written(named.join(mixed, "key"), "entries"), joined.limit(0)
-    for turn in range(HUB_ROUNDS + 1):
-        sizes = cur.groupBy("key").agg(F.count(F.lit(1)).alias("n"))
-        large = written(sizes.where((F.col("n") > BUCKET) & F.lit(turn < HUB_ROUNDS)).select("key"), "large")
-        small = cur.join(large, "key", "left_anti")
-        one, two = (small.select("key", F.col("sid").alias(x), F.col("c").alias(f"_{x}")) for x in "ab")
-        pairs = pairs.unionByName(one.join(two, "key").where("a < b AND _a <> _b").select("a", "b"))
+    cur = written(named.join(mixed, "key"), "entries")
+    rest = cur.limit(0)
+    for _ in range(HUB_ROUNDS):
+        large = written(cur.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > HUB_SETS).select("key"), "large")
         if not large.limit(1).count():
             break
+        rest = rest.unionByName(cur.join(large, "key", "left_anti"))
         rows = written(_to_hubs(cur.join(large, "key", "left_semi")), "members")
         like = written(_likeness(rows.select(F.col("sid").alias("a"), F.col("hub").alias("b")).distinct(), sets), "likeness")
         joined = joined.unionByName(like.where(F.col("like") >= alike).select("a", "b"))
         rows = rows.join(like.select(F.col("a").alias("sid"), F.col("b").alias("hub"), (1 - F.col("like")).alias("far")), ["sid", "hub"])
         least = rows.where(F.col("far") > 1 - alike + 1e-12).groupBy("key").agg(F.min("far").alias("least"))
         cur = written(rows.join(least, "key").where(F.col("far") >= F.col("least") - (1 - alike) - 1e-9).select("key", "sid", "c"), "entries")
-    return joined.unionByName(_alike(pairs, sets, alike))
+    rest = rest.unionByName(cur)
+    many = written(rest.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > BUCKET).select("key"), "many")
+    few = rest.join(many, "key", "left_anti")
+    one, two = (few.select("key", F.col("sid").alias(x), F.col("c").alias(f"_{x}")) for x in "ab")
+    pairs = one.join(two, "key").where("a < b AND _a <> _b").select("a", "b")
+    blocks = written(block_links(rest.join(many, "key", "left_semi"), sets, alike), "alike")
+    return joined.unionByName(_alike(pairs, sets, alike)).unionByName(blocks)
 
 
 MAX_BROADCAST_ROWS = 1_000_000

@@ -530,9 +530,11 @@ def five_words(text):
     return {tuple(w[i : i + 5]) for i in range(max(1, len(w) - 4))} if w else set()
 
 
-@pytest.mark.parametrize("bucket", [50, 2])
-def test_one_of_all_alike(spark, awkward, none, monkeypatch, bucket):
+@pytest.mark.parametrize(("bucket", "block", "hubs"), [(8, 512, 8192), (2, 10, 20)])
+def test_one_of_all_alike(spark, awkward, none, monkeypatch, bucket, block, hubs):
     monkeypatch.setattr(simhash, "BUCKET", bucket)
+    monkeypatch.setattr(simhash, "BLOCK_SETS", block)
+    monkeypatch.setattr(simhash, "HUB_SETS", hubs)
     r = random.Random(11)
     base = [" ".join(f"w{r.randrange(3000)}" for _ in range(200)) for _ in range(40)]
     texts = list(base)
