@@ -25,7 +25,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import documents, written
+from .common import documents, give_back, written
 
 CAPACITY = 2048
 END = 0
@@ -154,6 +154,7 @@ def pieces(docs: DataFrame, capacity: int = CAPACITY, tokenizer_path: str | None
                 data = pa.Array.from_buffers(pa.binary(), len(doc), [None, pa.py_buffer((offsets * 4).astype(np.int32)), pa.py_buffer(ids)])
                 columns = [b.column("doc_id").take(pa.array(doc)), pa.array(piece.astype(np.int32)), pa.array(start), pa.array(length), data, pa.array(crc), pa.array(np.full(len(doc), shard, np.int32)), pa.array(_ranks(length, seen))]
                 yield pa.RecordBatch.from_arrays(columns, ["doc_id", "piece", "start", "length", "ids", "ids_crc32", "shard", "rank"])
+        give_back()
 
     kind = docs.schema["doc_id"].dataType.simpleString()
     return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, piece int, start long, length long, ids binary, ids_crc32 long, shard int, rank long")

@@ -18,14 +18,14 @@ from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import bucketed, documents, slim, widened, written
+from .common import bucketed, documents, give_back, slim, widened, written
 
 ORDER = 4
 QUANTILE = 0.99
 START = "\x02"  # stands ORDER - 1 times before every text
 CODE_POINTS = 0x110000  # characters there may be: the uniform distribution below the unigrams
 SHARD_CHARS = 32 << 20  # characters of a shard; a longer text is a shard of its own
-CHUNK_CHARS = 1 << 21  # characters that are looked at together
+CHUNK_CHARS = 1 << 19  # characters that are looked at together
 MAX_BROADCAST_LABELS = 1_000_000
 MAX_LANGUAGES = 10_000
 MODELS = ("all", "even", "odd")  # models of all trusted texts and of either half of them
@@ -83,7 +83,7 @@ class _Grams:
         counts = np.stack([np.bincount(code[np.repeat(fold == f, n)], minlength=len(keys)) for f in (0, 1)], axis=1)
         self.new.append((keys, grams, counts))
         self.pending += len(keys)
-        if self.pending > max(1 << 20, len(self.keys)):
+        if self.pending > max(1 << 18, len(self.keys)):
             self.merge()
 
     def merge(self) -> None:
@@ -159,6 +159,8 @@ def shards(docs: DataFrame, order: int = ORDER, shard_chars: int = SHARD_CHARS,
                 first, size = first + end - begin, size + n
         for g in seen.rows():
             yield block(grams=g)
+        del seen
+        give_back()
 
     return bucketed(docs.mapInArrow(run, "shard long, first long, rows binary, grams array<string>, even array<long>, odd array<long>"), "shard", "shards")
 
@@ -218,7 +220,8 @@ def perplexities(cut: DataFrame, known: DataFrame, order: int = ORDER) -> DataFr
 
     def run(left: pa.Table, right: pa.Table) -> pa.Table:
         # the grams' keys are computed as those of the documents are, each gram behind nothing
-        grams = np.array(right.column("gram").to_pylist(), f"<U{order}")
+        blocks = [np.array(right.column("gram").slice(k, 1 << 16).to_pylist(), f"<U{order}") for k in range(0, right.num_rows, 1 << 16)]
+        grams = np.concatenate([np.zeros(0, f"<U{order}"), *blocks])
         points = grams.view(np.uint32).reshape(-1, order)
         key = np.zeros(len(points), np.uint64)
         for k in range(order):
@@ -239,6 +242,8 @@ def perplexities(cut: DataFrame, known: DataFrame, order: int = ORDER) -> DataFr
             mean = [np.exp(-t / np.maximum(n, 1)) for t in total]
             crossed = np.where(fold == 0, mean[2], mean[1])
             out.append(pa.table({"shard": np.full(len(n), shard), "place": first + np.arange(len(n)), "lang": docs.column("lang"), "fold": pa.array(fold, mask=fold < 0, type=pa.int32()), "n_symbols": n, "perplexity": mean[0], "crossed": pa.array(crossed, mask=fold < 0)}))
+        del blocks, grams, points, key, index, logp
+        give_back()
         return pa.concat_tables(out) if out else SCORED.empty_table()
 
     text = "shard long, place long, lang string, fold int, n_symbols long, perplexity double, crossed double"
@@ -270,6 +275,7 @@ def _with_rows(cut: DataFrame, judged: DataFrame, schema: str, make) -> DataFram
     def run(left: pa.Table, right: pa.Table) -> pa.Table:
         right = right.sort_by("place")
         out = [make(docs := _unpacked(data), right.slice(first, docs.num_rows)) for first, data in zip(left.column("first").to_pylist(), left.column("rows").to_pylist())]
+        give_back()
         return pa.concat_tables(out)
 
     return cut.where("rows is not null").select("shard", "first", "rows").groupBy("shard").cogroup(judged.groupBy("shard")).applyInArrow(run, schema)

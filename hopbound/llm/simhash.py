@@ -20,7 +20,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import components, documents, slim, widened, written
+from .common import components, documents, give_back, slim, widened, written
 
 # Segments as (low bit, width, radius): two fingerprints within 4 bits agree up to the radius in one of them. If the first
 # segments differ by more than their radii, too few differences are left for the last.
@@ -211,6 +211,7 @@ def _sets(keyed: DataFrame, shingle: int, whole: bool) -> DataFrame:
                 else:
                     fp = np.fromiter((fingerprint(t, shingle) for t in texts), np.uint64, len(texts)).view(np.int64)
                     yield pa.RecordBatch.from_arrays([b.column("doc_id"), b.column("k"), sid, pa.array(fp), pa.array([band_keys(h) for h in sets], pa.list_(pa.int64()))], ["doc_id", "k", "sid", "fp", "keys"])
+        give_back()
 
     return keyed.mapInArrow(run, "sid long, shingles array<long>" if whole else f"doc_id {kind}, k long, sid long, fp long, keys array<long>")
 
