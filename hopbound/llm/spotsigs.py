@@ -8,6 +8,7 @@ apart are pruned, and only sets that share one of their rarest signatures meet.
 from __future__ import annotations
 
 import json
+import math
 
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -124,8 +125,9 @@ def similar(docs: DataFrame, least: float = 0.8) -> tuple[DataFrame, DataFrame]:
 
     docs has doc_id and text; other columns are ignored. A class is an equal fingerprint, named by its least
     doc_id, so copies are not expanded into pairs. Signatures are ranked by how many classes have them; a
-    set of n signatures is entered under its n - ceil(least * n) + 1 rarest ones only, and entries meet
-    where the shorter set has at least `least` times the longer one's length.
+    set of n signatures is entered under its n - ceil(least * n) + 1 rarest ones only. Entries are
+    partitioned by set length, in classes whose bounds grow by 1 / least, and meet only in their own and the two neighbouring
+    classes, where the shorter set has at least `least` (above 0) times the longer one's length.
     """
     sets = written(with_signatures(docs.select("doc_id", "text"), "text", "sigs").select("doc_id", "sigs"), "sigs")
     classes = written(sets.groupBy("sigs").agg(F.min("doc_id").alias("class_id")), "classes")
@@ -135,9 +137,11 @@ def similar(docs: DataFrame, least: float = 0.8) -> tuple[DataFrame, DataFrame]:
     ranked = each.join(df, "sig").groupBy("class_id").agg(F.sort_array(F.collect_list(F.struct("n", "sig"))).alias("order"))
     size = F.size("order")
     entries = ranked.select("class_id", size.alias("size"), F.explode(F.slice("order", 1, size - F.ceil(F.lit(least) * size).cast("int") + 1)).alias("e")).select("class_id", "size", "e.sig")
-    a, b = entries.select(F.col("class_id").alias("a"), F.col("size").alias("na"), "sig"), entries.select(F.col("class_id").alias("b"), F.col("size").alias("nb"), "sig")
+    part = F.floor(F.log("size") / math.log(1.001 / least))  # a little wider than 1 / least, so that rounding parts no pair by two classes
+    b = entries.select(F.col("class_id").alias("b"), F.col("size").alias("nb"), "sig", part.alias("part"))
+    a = entries.select(F.col("class_id").alias("a"), F.col("size").alias("na"), "sig", F.explode(F.array(part - 1, part, part + 1)).alias("part"))
     fits = (F.col("a") < F.col("b")) & (F.least("na", "nb") >= least * F.greatest("na", "nb"))
-    met = a.join(b, "sig").where(fits).select("a", "b").distinct()
+    met = a.join(b, ["sig", "part"]).where(fits).select("a", "b").distinct()
     s = classes.select("class_id", "sigs")
     full = met.join(s.select(F.col("class_id").alias("a"), F.col("sigs").alias("sa")), "a").join(s.select(F.col("class_id").alias("b"), F.col("sigs").alias("sb")), "b")
     return members, full.select("a", "b", likeness(F.col("sa"), F.col("sb")).alias("likeness")).where(F.col("likeness") >= least)

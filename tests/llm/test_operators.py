@@ -338,6 +338,37 @@ def test_next_document_and_edits(spark, awkward, none, monkeypatch):
     assert spotsigs.with_next(none.select("doc_id", "text").withColumn("_h", F.lit(0)), ["text"]).count() == 0
 
 
+def test_spotsigs_query_edits_and_likenesses(spark, tmp_path):
+    texts = [prose(i, 40 + 7 * i) for i in range(9)] + [None, "", "ab", "a é 𝄞 z", prose(3, 61)]
+    ids = [(7 * i) % 31 for i in range(len(texts))]
+    rows = [(d, t, "en", "s") for d, t in zip(ids, texts)]
+    spark.createDataFrame(rows, "doc_id bigint, text string, lang string, source string").write.parquet(f"{tmp_path}/documents.parquet")
+    found = {r.doc_id: r for r in spotsigs.op5_spotsigs(spark, str(tmp_path)).collect()}
+    order = sorted(zip(ids, ((t or "") for t in texts)), reverse=True)
+    edited = {d: t[: len(t) - len(t) // 3] + order[(i + 1) % len(order)][1][: len(t) // 3] for i, (d, t) in enumerate(order)}
+    both = spark.createDataFrame([(d, t) for d, t in order] + [(1000 + d, t) for d, t in edited.items()], "doc_id bigint, text string")
+    sets = {r.doc_id: set(r.sigs) for r in spotsigs.with_signatures(both, "text", "sigs").collect()}
+    alike = lambda a, b: len(sets[a] & sets[b]) / len(sets[a] | sets[b])
+    assert len(found) == len(order)
+    for i, (d, t) in enumerate(order):
+        assert found[d].n_chars == len(t)
+        assert found[d].edited_sha256 == hashlib.sha256(edited[d].encode()).hexdigest()
+        assert abs(found[d].near_edited - alike(d, 1000 + d)) < 1e-12
+        assert abs(found[d].near_next - alike(d, order[(i + 1) % len(order)][0])) < 1e-12
+
+
+@pytest.mark.parametrize("least", [0.5, 0.8, 1.0])
+def test_spotsigs_length_partitions_lose_no_pair(spark, least):
+    base = prose(5, 300).split()
+    texts = [" ".join(base[:n]) for n in range(12, 300, 9)]
+    docs = docs_of(spark, texts)
+    sets = {r.doc_id: set(r.sigs) for r in spotsigs.with_signatures(docs, "text", "sigs").collect()}
+    members, pairs = spotsigs.similar(docs, least)
+    names = sorted({r.class_id for r in members.collect()})
+    want = {(a, b) for a in names for b in names if a < b and len(sets[a] & sets[b]) / len(sets[a] | sets[b]) >= least}
+    assert {(r.a, r.b) for r in pairs.collect()} == want
+
+
 # --- pii ---------------------------------------------------------------------------------------------------------------
 
 
