@@ -7,6 +7,7 @@ from __future__ import annotations
 
 import uuid
 from collections.abc import Callable
+from functools import reduce
 
 import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -58,34 +59,74 @@ def run_to_table(stream: DataFrame, mode: str = "append") -> DataFrame:
     return spark.table(name)
 
 
-def closing_cycles(stream: DataFrame, k: int, hours: int, sink: str) -> None:
-    """Writes to `sink` every simple cycle of at most k edges that a new edge closes with edges less than `hours` before it.
+def _window_subgraphs(new: DataFrame, kept: DataFrame, k: int, wide: int) -> DataFrame:
+    """(event_id, s, t, src, dst): for every new edge t -> s the earlier edges of its window on a walk from s to t of at most k - 1 edges.
 
-    Each micro-batch joins its edges with the kept edges of the window, by time bins of the window's width, and searches every new
-    edge's own small graph: a cycle through (u, v) is a path v -> u of at most k - 1 edges.
+    Joins are keyed by node and time bin: backwards from t first, then forwards from s over edges that can still reach t in time.
+    """
+    older = (F.col("at") > F.col("now") - wide) & ((F.col("at") < F.col("now")) | ((F.col("at") == F.col("now")) & (F.col("e") < F.col("event_id"))))
+    asked = new.select("event_id", F.col("at").alias("now"), F.col("dst").alias("s"), F.col("src").alias("t"))
+    ends = ["event_id", "now", "s", "t"]
+
+    def step(front: DataFrame, end: str) -> DataFrame:
+        at = F.floor(F.col("now") / wide)
+        return front.withColumn("bin", F.explode(F.array(at, at - 1))).join(kept.withColumn("node", F.col(end)), ["bin", "node"]).where(older)
+
+    front = asked.withColumn("node", F.col("t"))
+    back = front.select("event_id", "node", F.lit(0).alias("left"))
+    for j in range(1, k - 1):
+        front = cut(step(front, "dst").where("src <> s AND src <> t").select(*ends, F.col("src").alias("node")).distinct())
+        back = back.unionByName(front.select("event_id", "node", F.lit(j).alias("left")))
+    back = cut(back.groupBy("event_id", F.col("node").alias("dst")).agg(F.min("left").alias("left")))
+    front, found = asked.withColumn("node", F.col("s")), []
+    for i in range(k - 1):
+        on = step(front, "src").where("dst <> s").select(*ends, "src", "dst").distinct()
+        found.append(cut(on.join(back, ["event_id", "dst"]).where(F.col("left") <= k - 2 - i).select(*ends, "src", "dst")))
+        front = found[-1].where("dst <> t").select(*ends, F.col("dst").alias("node")).distinct()
+    return reduce(DataFrame.unionByName, found).select("event_id", "s", "t", "src", "dst").distinct()
+
+
+def closing_cycles(stream: DataFrame, k: int, hours: int, sink: str, late_hours: int | None = None) -> None:
+    """Writes to `sink` every simple cycle of at most k edges (k at least 2) that a new edge closes with edges less than `hours` before it.
+
+    Kept edges lie in folders by time bin of the window's width, of which a micro-batch reads those from one before its first edge to its last.
+    A cycle through (u, v) is a path v -> u of at most k - 1 edges: every new edge's own graph is first cut down to the walks of that
+    length, then searched. With late_hours, bins are deleted once only edges that come later than that could still need them; without, all are kept.
     """
     spark = stream.sparkSession
     kept = f"{sink}-edges"
     wide = hours * 3_600_000_000
 
-    def on_batch(batch: DataFrame, batch_id: int) -> None:
-        new = cut(batch.select("event_id", F.unix_micros("ts").alias("at"), "src", "dst").withColumn("bin", F.floor(F.col("at") / wide)))
-        new.withColumn("batch", F.lit(batch_id)).write.mode("overwrite").parquet(f"{kept}/batch={batch_id}")
-        old = spark.read.option("basePath", kept).parquet(f"{kept}/batch=*").where(F.col("batch") <= batch_id)
-        asked = new.select("event_id", F.col("at").alias("now"), F.col("dst").alias("s"), F.col("src").alias("t"), F.explode(F.array(F.col("bin"), F.col("bin") - 1)).alias("bin"))
-        before = old.select(F.col("event_id").alias("e"), "at", "src", "dst", "bin")
-        near = asked.join(before, "bin").where((F.col("at") > F.col("now") - wide) & ((F.col("at") < F.col("now")) | ((F.col("at") == F.col("now")) & (F.col("e") < F.col("event_id")))))
-
-        def go(part: pd.DataFrame) -> pd.DataFrame:
-            first = part.iloc[0]
-            csr = Csr.of(zip(part["src"].tolist(), part["dst"].tolist()))
-            s, t = csr.index(first["s"]), csr.index(first["t"])
-            out = [] if s is None or t is None else search(csr, s, t, k - 1, "tight_seeded").outputs
-            paths = [[csr.names[i] for i in p] for p in out]
-            told = [">".join(map(str, [p[-1], *p])) for p in paths]
-            return pd.DataFrame({"event_id": pd.Series([first["event_id"]] * len(out), dtype="int64"), "len": pd.Series([len(p) for p in paths], dtype="int64"), "cycle_str": pd.Series(told, dtype=object)})
+    def expire(before: int) -> None:
+        path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path
+        at = path(kept)
+        fs = at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+        for f in fs.listStatus(at):
+            name = f.getPath().getName()
+            if name.startswith("bin=") and int(name[4:]) < before:
+                fs.delete(f.getPath(), True)
+
+    def go(part: pd.DataFrame) -> pd.DataFrame:
+        first = part.iloc[0]
+        csr = Csr.of(zip(part["src"].tolist(), part["dst"].tolist()))
+        s, t = csr.index(first["s"]), csr.index(first["t"])
+        out = [] if s is None or t is None else search(csr, s, t, k - 1, "tight_seeded").outputs
+        paths = [[csr.names[i] for i in p] for p in out]
+        told = [">".join(map(str, [p[-1], *p])) for p in paths]
+        return pd.DataFrame({"event_id": pd.Series([first["event_id"]] * len(out), dtype="int64"), "len": pd.Series([len(p) for p in paths], dtype="int64"), "cycle_str": pd.Series(told, dtype=object)})
 
+    def on_batch(batch: DataFrame, batch_id: int) -> None:
+        new = cut(batch.select("event_id", F.unix_micros("ts").alias("at"), "src", "dst"))
+        lo, hi = new.agg(F.min(F.floor(F.col("at") / wide)), F.max(F.floor(F.col("at") / wide))).first()
+        if lo is None:
+            return
+        dated = new.withColumn("bin", F.floor(F.col("at") / wide)).withColumn("batch", F.lit(batch_id).cast("long"))
+        dated.write.mode("overwrite").option("partitionOverwriteMode", "dynamic").partitionBy("bin", "batch").parquet(kept)
+        old = spark.read.schema(dated.schema).parquet(kept).where(F.col("bin").between(lo - 1, hi) & (F.col("batch") <= batch_id))
+        near = _window_subgraphs(new, old.select(F.col("event_id").alias("e"), "at", "src", "dst", "bin"), k, wide)
         near.groupBy("event_id").applyInPandas(go, "event_id bigint, len bigint, cycle_str string").write.mode("overwrite").parquet(f"{sink}/batch={batch_id}")
+        if late_hours is not None:
+            expire(hi - 1 - -(-late_hours // hours))
 
     stream.writeStream.foreachBatch(on_batch).option("checkpointLocation", f"{sink}-checkpoint").trigger(availableNow=True).start().awaitTermination()
 

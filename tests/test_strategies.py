@@ -1,5 +1,7 @@
 """Caps, schemes and cycles in every strategy, loops that settle or raise, measures against plain sums, and the lemma audits."""
 
+import random
+
 import pandas as pd
 import pytest
 from pyspark.sql import functions as F
@@ -8,10 +10,12 @@ from hopbound.functions.search import Csr, search, stream
 from hopbound.operators import labels as L
 from hopbound.operators import measure as M
 from hopbound.operators.audit import TIGHT_CHECKS, lemma_violations
+from hopbound.operators.cut import shared_dir
 from hopbound.operators.graph import Graph
 from hopbound.operators.paths import capped_counts, simple_paths
 from hopbound.plans import choose
 from hopbound.sources import generators as G
+from hopbound.streaming.cycles import closing_cycles, replay
 
 
 def edges_of(spark, rows):
@@ -119,3 +123,24 @@ def test_split_node_cycles(spark):
     g = Graph(edges_of(spark, rows)).split_node(s, 100, 200)
     n = simple_paths(g.edges, asked(spark, [(0, 100, 200, 4)]), 4).count()
     assert n == simple_paths(edges_of(spark, rows), asked(spark, [(0, s, s, 4)]), 4).count() > 0
+
+
+def test_closing_cycles_of_four_edges_with_expiry(spark):
+    hour, draw = 3_600_000_000, random.Random(5)
+    rows = [(i, 10 * 24 * hour + i * hour // 12, draw.randrange(9), draw.randrange(9)) for i in range(240)]
+    rows = [r for r in rows if r[2] != r[3]]
+    edges = spark.createDataFrame(rows, "event_id bigint, at bigint, src bigint, dst bigint").select("event_id", F.timestamp_micros("at").alias("ts"), "src", "dst")
+    want = set()
+    for e, now, u, v in rows:
+        old = {(a, b) for i, at, a, b in rows if now - 2 * hour < at < now}
+        walks = [(v,)]
+        for _ in range(3):
+            walks = [(*w, b) for w in walks for a, b in old if a == w[-1] and b not in w]
+            want |= {(e, len(w), ">".join(map(str, (u, *w)))) for w in walks if w[-1] == u}
+            walks = [w for w in walks if w[-1] != u]
+    sink = f"{shared_dir(spark)}/closing-test"
+    closing_cycles(replay(edges, "ts", 4), 4, 2, sink, late_hours=0)
+    got = [tuple(r) for r in spark.read.schema("event_id bigint, len bigint, cycle_str string").parquet(f"{sink}/batch=*").collect()]
+    assert len(got) == len(set(got)) and set(got) == want and any(n == 4 for _, n, _ in want)
+    bins = {r[0] for r in spark.read.parquet(f"{sink}-edges").select("bin").distinct().collect()}
+    assert len(bins) == 2 and max(bins) == max(at for _, at, _, _ in rows) // (2 * hour)
