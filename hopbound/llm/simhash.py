@@ -169,6 +169,7 @@ FIRST_TABLES = 3  # tables that are measured by one link a set
 BUCKET = 8  # sets of a table entry up to which its pairs are rows
 HUB_SETS, HUB_ROUNDS = 8192, 12  # sets beyond which an entry goes through rounds of hubs first, and how many
 BLOCK_SETS, BLOCK_SHINGLES = 512, 4_000_000  # of a block
+MAX_BROADCAST_ROWS = 1_000_000
 
 
 def shingle_set(text: str | None, shingle: int = ALIKE_SHINGLE) -> np.ndarray:
@@ -268,6 +269,11 @@ def _among(shingles: list[np.ndarray], names: np.ndarray, parts: np.ndarray, ali
     return out
 
 
+def _bounded(few: DataFrame) -> DataFrame:
+    """A written table to be broadcast if its rows are at most MAX_BROADCAST_ROWS, so that rows joined to it by a hot key stay where they are."""
+    return F.broadcast(few) if few.limit(MAX_BROADCAST_ROWS + 1).count() <= MAX_BROADCAST_ROWS else few
+
+
 def block_links(entries: DataFrame, sets: DataFrame, alike: float) -> DataFrame:
     """(a, b): links that join the sets of every entry (key, sid, c: the component so far) as all its pairs of at least `alike` do.
 
@@ -276,7 +282,7 @@ def block_links(entries: DataFrame, sets: DataFrame, alike: float) -> DataFrame:
     """
     size = entries.join(sets.select("sid", F.size("shingles").alias("_n")), "sid")
     blocks = size.groupBy("key").agg(F.ceil(F.greatest(F.count(F.lit(1)) / BLOCK_SETS, F.sum("_n") / BLOCK_SHINGLES)).cast("int").alias("_blocks"))
-    own = entries.join(blocks, "key").withColumn("_own", F.pmod(F.xxhash64("sid"), F.col("_blocks")).cast("int"))
+    own = entries.join(_bounded(written(blocks, "blocks")), "key").withColumn("_own", F.pmod(F.xxhash64("sid"), F.col("_blocks")).cast("int"))
     dealt = own.withColumn("_other", F.explode(F.sequence(F.lit(0), F.col("_blocks") - 1)))
     rows = dealt.select("key", F.least("_own", "_other").alias("i"), F.greatest("_own", "_other").alias("j"), "sid", "c").join(sets, "sid")
 
@@ -317,6 +323,7 @@ def alike_links(found: DataFrame, near: DataFrame, sets: DataFrame, alike: float
         cur = written(rows.join(least, "key").where(F.col("far") >= F.col("least") - (1 - alike) - 1e-9).select("key", "sid", "c"), "entries")
     rest = rest.unionByName(cur)
     many = written(rest.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > BUCKET).select("key"), "many")
+    many = _bounded(many)
     few = rest.join(many, "key", "left_anti")
     one, two = (few.select("key", F.col("sid").alias(x), F.col("c").alias(f"_{x}")) for x in "ab")
     pairs = one.join(two, "key").where("a < b AND _a <> _b").select("a", "b")
@@ -324,9 +331,6 @@ def alike_links(found: DataFrame, near: DataFrame, sets: DataFrame, alike: float
     return joined.unionByName(_alike(pairs, sets, alike)).unionByName(blocks)
 
 
-MAX_BROADCAST_ROWS = 1_000_000
-
-
 def one_each_alike(docs: DataFrame, alike: float = ALIKE, shingle: int = ALIKE_SHINGLE, bits: int = 4) -> DataFrame:
     """As one_each, of groups of documents whose sets of word shingles have a Jaccard similarity of at least `alike`.
 
@@ -349,8 +353,7 @@ def one_each_alike(docs: DataFrame, alike: float = ALIKE, shingle: int = ALIKE_S
     near = written(same.unionByName(ends.select(F.col("_a").alias("a"), F.col("_b").alias("b"))), "near")
     needed = entries.select("sid").unionByName(near.select(F.col("a").alias("sid"))).unionByName(near.select(F.col("b").alias("sid"))).distinct()
     ks = written(once.join(needed, "sid").select("k"), "needed")
-    few = ks.limit(MAX_BROADCAST_ROWS + 1).count() <= MAX_BROADCAST_ROWS
-    sets = written(_sets(named.join(F.broadcast(ks) if few else ks, "k", "left_semi").select("doc_id", "k", "text"), shingle, True).dropDuplicates(["sid"]), "shingles")
+    sets = written(_sets(named.join(_bounded(ks), "k", "left_semi").select("doc_id", "k", "text"), shingle, True).dropDuplicates(["sid"]), "shingles")
     comp = components(alike_links(entries, near, sets, alike))
     sids = once.select("sid")
     groups = sids.join(comp, sids["sid"] == comp["node"], "left").select(F.col("sid").alias("_fp"), F.coalesce("component", "sid").alias("component"))
