@@ -1,6 +1,7 @@
 """Each operator against brute force or an exact round trip, on small fixtures with nulls, ties, repeats and clashing names."""
 
 import hashlib
+import math
 import random
 import re
 import zlib
@@ -93,6 +94,28 @@ def test_mixing_prefers_better_documents(spark):
     assert sum(r.extra for r in rows if r.doc_id % 2) > 3 * sum(r.extra for r in rows if not r.doc_id % 2)
 
 
+def test_mixing_takes_what_ordered_keys_and_prefix_sums_give(spark):
+    docs = docs_of(spark, [prose(i, (i * 37) % 60) for i in range(900)])
+    weights = {i: (0.25, 1.0, 8.0)[i % 3] for i in range(0, 900, 2)}
+    quality = spark.createDataFrame(list(weights.items()), "doc_id bigint, weight double")
+    draw = F.pmod(F.xxhash64("doc_id", F.xxhash64("text"), F.lit(7)), F.lit(1 << 52))
+    drawn = {r[0]: (r[1] + 0.5) / (1 << 52) for r in docs.select("doc_id", draw).collect()}
+    by = {}
+    for r in mixing.mix(docs, quality, share=1.3, seed=7).collect():
+        by.setdefault(r.source, []).append(r)
+    parts = 0
+    for rows in by.values():
+        total = sum(r["size"] for r in rows)
+        epochs, left = divmod(rows[0].target, total)
+        done = 0
+        for r in sorted(rows, key=lambda r: -math.log(drawn[r.doc_id]) / weights.get(r.doc_id, 1.0)):
+            inside = r["size"] > 0 and left > 0 and done + r["size"] / 2 <= left
+            assert (r.epochs, r.extra) == (epochs, int(inside))
+            done += r["size"]
+            parts += r.extra
+    assert parts
+
+
 def test_mixing_awkward(spark, awkward, none):
     assert mixing.mix(none).count() == 0 and mixing.mixed_documents(none).count() == 0
     assert mixing.mix(awkward).count() == awkward.count()
