@@ -39,3 +39,7 @@ def agrees(spark, distant, name):
 
 def test_backtrack_without_its_nodes(spark, distant):
     assert agrees(spark, distant, "backtrack_trade25") == []
+
+
+def test_circuit_without_its_nodes(spark, distant):
+    assert agrees(spark, distant, "circuit_trade50") == []
