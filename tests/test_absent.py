@@ -43,3 +43,7 @@ def test_backtrack_without_its_nodes(spark, distant):
 
 def test_circuit_without_its_nodes(spark, distant):
     assert agrees(spark, distant, "circuit_trade50") == []
+
+
+def test_weighted_paths_without_a_path(spark, distant):
+    assert agrees(spark, distant, "weighted_paths_trade") == []
