@@ -47,3 +47,7 @@ def test_circuit_without_its_nodes(spark, distant):
 
 def test_weighted_paths_without_a_path(spark, distant):
     assert agrees(spark, distant, "weighted_paths_trade") == []
+
+
+def test_sink_roundtrip_without_a_path(spark, distant):
+    assert agrees(spark, distant, "paths_sink_roundtrip") == []
