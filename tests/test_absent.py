@@ -51,3 +51,7 @@ def test_weighted_paths_without_a_path(spark, distant):
 
 def test_sink_roundtrip_without_a_path(spark, distant):
     assert agrees(spark, distant, "paths_sink_roundtrip") == []
+
+
+def test_cube_without_a_path(spark, distant):
+    assert agrees(spark, distant, "cube_len_src") == [(None, None, 0)]
