@@ -55,3 +55,7 @@ def test_sink_roundtrip_without_a_path(spark, distant):
 
 def test_cube_without_a_path(spark, distant):
     assert agrees(spark, distant, "cube_len_src") == [(None, None, 0)]
+
+
+def test_rollup_without_a_path(spark, distant):
+    assert agrees(spark, distant, "rollup_len_trade") == [(None, 0, None)]
