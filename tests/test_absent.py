@@ -59,3 +59,7 @@ def test_cube_without_a_path(spark, distant):
 
 def test_rollup_without_a_path(spark, distant):
     assert agrees(spark, distant, "rollup_len_trade") == [(None, 0, None)]
+
+
+def test_simple_paths_counted_without_a_path(spark, distant):
+    assert agrees(spark, distant, "udf_is_simple") == [(0, True)]
