@@ -63,3 +63,7 @@ def test_rollup_without_a_path(spark, distant):
 
 def test_simple_paths_counted_without_a_path(spark, distant):
     assert agrees(spark, distant, "udf_is_simple") == [(0, True)]
+
+
+def test_agreement_of_schemes_without_a_path(spark, distant):
+    assert all(r[0] is None and r[1] == 0 for r in agrees(spark, distant, "scheme_agreement_trade"))
