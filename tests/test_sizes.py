@@ -5,6 +5,15 @@ import random
 import numpy as np
 
 from hopbound.operators.chains import chains_from, two_hop_chains
+from hopbound.streaming.cycles import replay, run_to_table
+
+
+def test_streams_do_not_gather_their_output_on_the_driver(spark):
+    df = spark.range(40).selectExpr("id", "timestamp_micros(id * 1000000) AS ts")
+    for mode, stream in (("append", replay(df, "ts", 3)), ("complete", replay(df, "ts", 3).groupBy("id").count())):
+        out = run_to_table(stream, mode)
+        assert sorted(r.id for r in out.collect()) == list(range(40))
+        assert "Memory" not in out._jdf.queryExecution().optimizedPlan().toString()
 
 
 def _brute(rows, wide):
