@@ -3,7 +3,9 @@
 import random
 
 import numpy as np
+from pyspark.sql import functions as F
 
+from hopbound.operators import labels as L
 from hopbound.operators.chains import chains_from, two_hop_chains
 from hopbound.streaming.cycles import replay, run_to_table
 
@@ -46,3 +48,11 @@ def test_chains_are_not_listed():
     at, user = np.arange(n), np.arange(n)
     i = np.arange(n, dtype=object)
     assert chains_from(at, user, np.ones(n, bool), n).tolist() == [(n - 1 - x) * (n - 2 - x) // 2 for x in i]
+
+
+def test_long_rising_chains_settle_in_few_rounds(spark):
+    rise = spark.range(3000).select(F.col("id").alias("src"), (F.col("id") + 1).alias("dst"))
+    assert L.components(rise, directed=True, max_rounds=5).where("id <> component").count() == 0
+    ring = spark.createDataFrame([(10, 7), (7, 12), (12, 10), (4, 4)], "src bigint, dst bigint")
+    got = {r.id: r.component for r in L.components(rise.where("src < 7 OR src > 12").unionByName(ring), directed=True, max_rounds=9).collect()}
+    assert {i for i, c in got.items() if c != i} == {10, 12} and got[10] == got[12] == 7
