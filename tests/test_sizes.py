@@ -56,3 +56,11 @@ def test_long_rising_chains_settle_in_few_rounds(spark):
     ring = spark.createDataFrame([(10, 7), (7, 12), (12, 10), (4, 4)], "src bigint, dst bigint")
     got = {r.id: r.component for r in L.components(rise.where("src < 7 OR src > 12").unionByName(ring), directed=True, max_rounds=9).collect()}
     assert {i for i, c in got.items() if c != i} == {10, 12} and got[10] == got[12] == 7
+
+
+def test_cycles_inside_components_of_a_long_chain_take_few_rounds(spark, monkeypatch):
+    rounds = []
+    cut = L.cut
+    monkeypatch.setattr(L, "cut", lambda df: rounds.append(1) or cut(df))
+    rise = spark.range(120).selectExpr("id AS src", "id + 1 AS dst", "CAST(1 AS INT) AS ord")
+    assert L.reduce_to_scc(rise).count() == 0 and len(rounds) < 15
