@@ -5,8 +5,11 @@ import random
 import numpy as np
 from pyspark.sql import functions as F
 
+import __spark_entry__ as entry
 from hopbound.operators import labels as L
+from hopbound.operators import paths as P
 from hopbound.operators.chains import chains_from, two_hop_chains
+from hopbound.operators.paths import all_cycles
 from hopbound.streaming.cycles import replay, run_to_table
 
 
@@ -64,3 +67,28 @@ def test_cycles_inside_components_of_a_long_chain_take_few_rounds(spark, monkeyp
     monkeypatch.setattr(L, "cut", lambda df: rounds.append(1) or cut(df))
     rise = spark.range(120).selectExpr("id AS src", "id + 1 AS dst", "CAST(1 AS INT) AS ord")
     assert L.reduce_to_scc(rise).count() == 0 and len(rounds) < 15
+
+
+def _plain_cycles(edges, k, walk):
+    if len(walk) > 1 and walk[-1] == walk[0]:
+        return [(walk[0], len(walk) - 1, walk)]
+    steps = [b for a, b in edges if a == walk[-1] and (b == walk[0] or b > walk[0] and b not in walk)] if len(walk) <= k else []
+    return [c for b in steps for c in _plain_cycles(edges, k, (*walk, b))]
+
+
+def test_cycles_from_hubs_are_those_of_a_plain_search(spark):
+    for seed, (n, m, k) in enumerate([(8, 30, 3), (8, 30, 4), (6, 20, 6)]):
+        r = random.Random(seed)
+        edges = {(f"n{r.randrange(n)}", f"n{r.randrange(n)}") for _ in range(m)} | {("n0", f"n{i}") for i in range(1, n)}
+        edges = sorted((a, b) for a, b in edges if a != b)
+        found = all_cycles(spark.createDataFrame([(*e, 1) for e in edges], "src string, dst string, ord int"), k, strategy="hubs")
+        want = [c for x in sorted({a for a, _ in edges}) for c in _plain_cycles(edges, k, (x,))]
+        assert sorted((r.root, r.len, tuple(r.path)) for r in found.collect()) == sorted(want), (n, m, k)
+    assert not all_cycles(spark.createDataFrame([], "src bigint, dst bigint, ord int"), 4, strategy="hubs").collect()
+
+
+def test_cycles_of_bigrams_need_no_search(spark, tmp_path, monkeypatch):
+    monkeypatch.setattr(P, "search_groups", None)
+    spark.createDataFrame([(1, "b c a b c a b c a b a b", "en")], "doc_id bigint, text string, lang string").write.parquet(f"{tmp_path}/documents.parquet")
+    got = entry.queries()["cycles_all_bigrams"](spark, str(tmp_path)).collect()
+    assert [tuple(r) for r in got] == [(3, "a>b>c>a")]
