@@ -92,3 +92,12 @@ def test_cycles_of_bigrams_need_no_search(spark, tmp_path, monkeypatch):
     spark.createDataFrame([(1, "b c a b c a b c a b a b", "en")], "doc_id bigint, text string, lang string").write.parquet(f"{tmp_path}/documents.parquet")
     got = entry.queries()["cycles_all_bigrams"](spark, str(tmp_path)).collect()
     assert [tuple(r) for r in got] == [(3, "a>b>c>a")]
+
+
+def test_cycles_of_users_and_items_need_no_search(spark, tmp_path, monkeypatch):
+    monkeypatch.setattr(P, "search_groups", None)
+    rows = [(1, "click", 7), (2, "purchase", 7), (2, "click", 8), (1, "purchase", 8), (3, "click", 8), (3, "purchase", 8), (4, "view", 7)]
+    events = spark.createDataFrame([(u, kind, f'{{"k": {k}}}') for u, kind, k in rows], "user_id bigint, event_type string, props string")
+    events.write.parquet(f"{tmp_path}/events.parquet")
+    got = entry.queries()["cycles_all_useritem"](spark, str(tmp_path)).collect()
+    assert sorted(tuple(r) for r in got) == [(2, "3>1000008>3"), (4, "1>1000007>2>1000008>1")]
