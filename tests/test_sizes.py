@@ -101,3 +101,11 @@ def test_cycles_of_users_and_items_need_no_search(spark, tmp_path, monkeypatch):
     events.write.parquet(f"{tmp_path}/events.parquet")
     got = entry.queries()["cycles_all_useritem"](spark, str(tmp_path)).collect()
     assert sorted(tuple(r) for r in got) == [(2, "3>1000008>3"), (4, "1>1000007>2>1000008>1")]
+
+
+def test_paths_between_hub_words_need_no_search(spark, tmp_path, monkeypatch):
+    monkeypatch.setattr(P, "search_groups", None)
+    text = " ".join(3 * ["the a of b the c d of"])
+    spark.createDataFrame([(1, text, "en")], "doc_id bigint, text string, lang string").write.parquet(f"{tmp_path}/documents.parquet")
+    got = entry.queries()["paths_bigrams"](spark, str(tmp_path)).collect()
+    assert sorted(tuple(r) for r in got) == [(2, "the>a>of"), (3, "the>c>d>of")]
