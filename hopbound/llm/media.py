@@ -12,6 +12,7 @@ import hashlib
 import struct
 import zlib
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pandas as pd
@@ -27,6 +28,7 @@ RATE = 8000
 MIN_CHUNK, MASK_BITS, MAX_CHUNK = 128, 8, 4096  # well below a document and a passage, so that documents with a common passage share chunks
 MASK = ((1 << MASK_BITS) - 1) << (32 - MASK_BITS)
 SAMPLE_ROWS, SAMPLE_BYTES, DICTIONARY_BYTES, LEVEL = 4000, 8192, 400 << 10, 12
+STORE_PARTS, READ_PARTS = 2, 3  # shares of the chunks and of the media that are in shuffle files at a time
 GEAR = np.random.default_rng(20240229).integers(0, 1 << 32, 256, dtype=np.uint32)
 
 
@@ -122,8 +124,8 @@ def manifests(docs: DataFrame) -> DataFrame:
     return docs.select("doc_id", "text").mapInPandas(run, f"doc_id {kind}, media binary, n_bytes long, media_bytes long, chunks array<binary>")
 
 
-def chunk_rows(docs: DataFrame, dictionary: bytes = b"") -> DataFrame:
-    """(digest, packed): the compressed chunks of docs, each once a task at most."""
+def chunk_rows(docs: DataFrame, dictionary: bytes = b"", part: int = 0, parts: int = 1) -> DataFrame:
+    """(digest, packed): the compressed chunks of docs whose digests fall into a part, each once a task at most."""
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         squeeze, met, whole = zstandard.ZstdCompressor(level=LEVEL, **_dictionary(dictionary)), set(), set()
@@ -136,7 +138,7 @@ def chunk_rows(docs: DataFrame, dictionary: bytes = b"") -> DataFrame:
                 whole.add(name)
                 for p in pieces:
                     digest = _named(p)
-                    if digest not in met:
+                    if digest[0] % parts == part and digest not in met:
                         met.add(digest)
                         rows.append((digest, squeeze.compress(p)))
             yield pd.DataFrame(rows, columns=["digest", "packed"])
@@ -145,26 +147,54 @@ def chunk_rows(docs: DataFrame, dictionary: bytes = b"") -> DataFrame:
 
 
 def store(docs: DataFrame) -> tuple[DataFrame, DataFrame, bytes]:
-    """(manifests, chunk store, compression dictionary) of docs, the tables written; the store holds every digest once and is bucketed by it, so readers do not shuffle it."""
+    """(manifests, chunk store, compression dictionary) of docs, the tables written; the store holds every digest once."""
+    listed, chunks, dictionary = _stored(docs)
+    return listed, reduce(DataFrame.unionByName, chunks), dictionary
+
+
+def _stored(docs: DataFrame) -> tuple[DataFrame, list[DataFrame], bytes]:
+    """As store, but the tables that make up the store.
+
+    The store holds every digest once, in a table for each of STORE_PARTS parts of the digests. The tables are bucketed by digest, so readers do not shuffle
+    them, and are written one after the other, so that no more than a part of all chunks is in shuffle files at a time.
+    """
     spark = docs.sparkSession
     listed = written(manifests(docs), "manifests")
     n = int(spark.conf.get("spark.sql.shuffle.partitions"))
     dictionary = train_dictionary(docs)
-    chunks = bucketed(chunk_rows(docs, dictionary).repartition(n, "digest").dropDuplicates(["digest"]), "digest", "chunks")
-    release(spark)
+    chunks = []
+    for part in range(STORE_PARTS):
+        chunks.append(bucketed(chunk_rows(docs, dictionary, part, STORE_PARTS).repartition(n, "digest").dropDuplicates(["digest"]), "digest", "chunks"))
+        release(spark)
     return listed, chunks, dictionary
 
 
-def read_back(listed: DataFrame, chunks: DataFrame, dictionary: bytes = b"") -> DataFrame:
+def read_back(listed: DataFrame, chunks: DataFrame | list[DataFrame], dictionary: bytes = b"") -> DataFrame:
     """(media, payload_bytes, payload_sha256, tail_crc32, feature) of every distinct media, from the chunks in their listed order.
 
-    A media whose bytes do not have its digest raises an error.
+    Media are read in READ_PARTS parts, one after the other, for the same reason as in store. A media whose bytes do not have its digest raises an error.
     """
+    spark = listed.sparkSession
+    chunks = [chunks] if isinstance(chunks, DataFrame) else chunks
+    found = None
+    for part in range(READ_PARTS):
+        own = listed.where(F.pmod(F.xxhash64("media"), F.lit(READ_PARTS)) == part)
+        one = written(_read_part(own, chunks, dictionary), "found")
+        release(spark)
+        found = one if found is None else found.unionByName(one)
+    return found
+
+
+def _read_part(listed: DataFrame, chunks: list[DataFrame], dictionary: bytes) -> DataFrame:
     each = listed.groupBy("media").agg(F.first("chunks").alias("chunks"))
     refs = each.select("media", F.size("chunks").alias("n"), F.posexplode("chunks").alias("pos", "digest"))
-    # a media of one chunk is whole as soon as it meets the store; only the others are brought together, chunk by chunk in order
-    whole = refs.where("n = 1").join(chunks, "digest").select("media", "n", "pos", "packed")
-    cut = refs.where("n > 1").join(chunks, "digest").select("media", "n", "pos", "packed").repartition("media").sortWithinPartitions("media", "pos")
+    met = None
+    for part, table in enumerate(chunks):
+        # the first byte of a digest says which table has it
+        of = refs.where(F.conv(F.hex(F.substring("digest", 1, 1)), 16, 10).cast("int") % len(chunks) == part)
+        one = of.join(table, "digest").select("media", "n", "pos", "packed")
+        met = one if met is None else met.unionByName(one)
+    ordered = met.repartition("media").sortWithinPartitions("media", "pos")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         unpack = zstandard.ZstdDecompressor(**_dictionary(dictionary))
@@ -184,7 +214,7 @@ def read_back(listed: DataFrame, chunks: DataFrame, dictionary: bytes = b"") ->
             if rows:
                 yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), (pa.binary(), pa.int64(), pa.string(), pa.int64(), pa.string()))], ["media", "payload_bytes", "payload_sha256", "tail_crc32", "feature"])
 
-    return whole.unionByName(cut).mapInArrow(run, "media binary, payload_bytes long, payload_sha256 string, tail_crc32 long, feature string")
+    return ordered.mapInArrow(run, "media binary, payload_bytes long, payload_sha256 string, tail_crc32 long, feature string")
 
 
 def stored_media(docs: DataFrame) -> DataFrame:
@@ -193,7 +223,7 @@ def stored_media(docs: DataFrame) -> DataFrame:
     docs has doc_id and text; other columns are ignored. Null texts are empty (one unit of spaces);
     repeated rows are all returned; no rows give no rows.
     """
-    listed, chunks, dictionary = store(docs)
+    listed, chunks, dictionary = _stored(docs)
     found = read_back(listed, chunks, dictionary)
     return listed.drop("chunks").join(found, "media").withColumn("media_sha256", F.lower(F.hex("media"))).drop("media")
 

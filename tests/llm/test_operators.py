@@ -865,3 +865,15 @@ def test_clean_deletes_what_was_written(spark):
     assert not common._WRITTEN
     with pytest.raises(Exception, match="PATH_NOT_FOUND|not exist|FILE_NOT_EXIST"):
         spark.read.parquet(df.inputFiles()[0]).count()
+
+
+def test_media_are_stored_and_read_in_parts(spark, monkeypatch):
+    texts = [f"text {i} " * 300 for i in range(12)]
+    tables, parts = [], []
+    bucketed, read = media.bucketed, media._read_part
+    monkeypatch.setattr(media, "bucketed", lambda *a: tables.append(bucketed(*a)) or tables[-1])
+    monkeypatch.setattr(media, "_read_part", lambda *a: parts.append(1) or read(*a))
+    got = {r.doc_id: r.payload_sha256 for r in media.stored_media(docs_of(spark, texts)).collect()}
+    assert sorted(got.values()) == sorted(hashlib.sha256(media.payload_of(t)[0]).hexdigest() for t in texts)
+    digests = [{bytes(r.digest) for r in t.collect()} for t in tables]
+    assert len(digests) == media.STORE_PARTS > 1 and all(digests) and not set.intersection(*digests) and len(parts) == media.READ_PARTS
