@@ -21,7 +21,7 @@ import zstandard
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import bucketed, documents, release, written
+from .common import bucketed, documents, written
 
 UNIT, PAD = 192, b" "
 RATE = 8000
@@ -165,7 +165,6 @@ def _stored(docs: DataFrame) -> tuple[DataFrame, list[DataFrame], bytes]:
     chunks = []
     for part in range(STORE_PARTS):
         chunks.append(bucketed(chunk_rows(docs, dictionary, part, STORE_PARTS).repartition(n, "digest").dropDuplicates(["digest"]), "digest", "chunks"))
-        release(spark)
     return listed, chunks, dictionary
 
 
@@ -174,13 +173,11 @@ def read_back(listed: DataFrame, chunks: DataFrame | list[DataFrame], dictionary
 
     Media are read in READ_PARTS parts, one after the other, for the same reason as in store. A media whose bytes do not have its digest raises an error.
     """
-    spark = listed.sparkSession
     chunks = [chunks] if isinstance(chunks, DataFrame) else chunks
     found = None
     for part in range(READ_PARTS):
         own = listed.where(F.pmod(F.xxhash64("media"), F.lit(READ_PARTS)) == part)
         one = written(_read_part(own, chunks, dictionary), "found")
-        release(spark)
         found = one if found is None else found.unionByName(one)
     return found
 

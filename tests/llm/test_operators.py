@@ -877,3 +877,26 @@ def test_media_are_stored_and_read_in_parts(spark, monkeypatch):
     assert sorted(got.values()) == sorted(hashlib.sha256(media.payload_of(t)[0]).hexdigest() for t in texts)
     digests = [{bytes(r.digest) for r in t.collect()} for t in tables]
     assert len(digests) == media.STORE_PARTS > 1 and all(digests) and not set.intersection(*digests) and len(parts) == media.READ_PARTS
+
+
+def shuffle_files(spark):
+    files = spark.sparkContext._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager().getAllFiles()
+    return {n for i in range(files.size()) if (n := files.apply(i).getName()).startswith("shuffle_")}
+
+
+def test_tables_leave_no_shuffle_files(spark):
+    before, setting = shuffle_files(spark), spark.conf.get(common.CLEANUP, None)
+    for write in (lambda df: common.written(df), lambda df: common.bucketed(df, "k", "left")):
+        df = spark.range(1000).groupBy((F.col("id") % 7).alias("k")).count()
+        table = write(df)
+        assert not shuffle_files(spark) - before
+        assert table.count() == df.count() == 7  # which leave theirs until they are collected
+        before |= shuffle_files(spark)
+    assert spark.conf.get(common.CLEANUP, None) == setting
+
+
+def test_media_parts_meet_no_shuffle_files_of_each_other(spark, monkeypatch):
+    met, before, read = [], shuffle_files(spark), media._read_part
+    monkeypatch.setattr(media, "_read_part", lambda *a: met.append(shuffle_files(spark) - before) or read(*a))
+    media.stored_media(docs_of(spark, [f"text {i} " * 300 for i in range(12)]))
+    assert len(met) == media.READ_PARTS and not any(met)
