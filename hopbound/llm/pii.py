@@ -29,6 +29,7 @@ SPANS = "array<struct<kind:string,start:long,end:long,value:string,before:string
 WORD = r"[\p{L}\p{N}]+"
 GENERALISE, REMOVE = 0.7, 0.9  # disclosure from which a term is replaced by a broader one, and removed
 SUBSUMES = 0.8  # share of a term's documents in which a broader term is
+SHORTER, TERM_DOCS = 0.3, 2000  # share of a term's documents, beyond 1 - SUBSUMES, whose words are brought together; those a task counts
 MAX_BROADCAST_TERMS = 100_000  # words, some 10 MB
 MAX_BROADCAST_LISTS = 200_000  # numbers of documents with terms
 
@@ -126,36 +127,60 @@ def term_disclosures(n_docs: int, n_t: DataFrame, found: DataFrame, generalise:
     return written(told.groupBy("term").agg(F.round(F.max("disclosure"), 9).alias("disclosure")).where(F.col("disclosure") >= generalise), "terms")
 
 
-def broader_terms(n_docs: int, n_t: DataFrame, told: DataFrame, held: DataFrame, words: DataFrame) -> DataFrame:
+def broader_terms(n_docs: int, n_t: DataFrame, told: DataFrame, held: DataFrame, texts: DataFrame, few: bool = False, few_ids: bool = False) -> DataFrame:
     """(term, broader): for each told term, the most specific term of the corpus that subsumes it; no row where there is none.
 
-    held has _r and term: the documents' told terms; words has _r and term: all their words. A term subsumes another if it is in SUBSUMES of
+    held has _r, term and size: the documents' told terms, each once, and the documents' sizes; texts has _r and text of all documents, repeated rows allowed.
+    `few` and `few_ids` say that the told terms and the documents that have some can be broadcast. A term subsumes another if it is in SUBSUMES of
     the other's documents at least, in more documents than the other, not told itself, and in at most half of all documents, beyond which a term says nothing.
+
+    What is in SUBSUMES of a term's documents is in some of any larger share of them than the rest. So only the words of a term's shorter documents are brought together
+    and counted, by term or buckets of TERM_DOCS or so; the words that can still subsume it are then counted in all its documents, where those are.
     """
-    beside = held.join(words.withColumnRenamed("term", "wide"), "_r").where("wide <> term")
-    pairs = beside.groupBy("term", "wide").agg(F.count(F.lit(1)).alias("both"))
-    of = held.groupBy("term").agg(F.count(F.lit(1)).alias("n"))
-    likely = pairs.join(of, "term").where((F.col("both") >= SUBSUMES * F.col("n")) & ~F.regexp_like("wide", F.lit("^[0-9]+$")))
-    likely = likely.join(told.select(F.col("term").alias("wide")), "wide", "left_anti").withColumn("t", F.xxhash64("wide")).join(n_t, "t")
-    fits = likely.where((F.col("n_t") > F.col("n")) & (F.col("n_t") * 2 <= n_docs))
+    small = F.broadcast if few else lambda df: df
+    of = held.groupBy("term").agg(F.count(F.lit(1)).alias("n"), F.percentile_approx("size", SHORTER, 10_000).alias("most"))
+    of = held.join(small(of), "term").groupBy("term", "n", "most").agg(F.count_if(F.col("size") <= F.col("most")).alias("s"), F.max("size").alias("longest"))
+    enough = F.col("s") > F.col("n") - SUBSUMES * F.col("n") + 1e-6  # always, as long as percentiles are good
+    of = written(of.select("term", "n", F.when(enough, F.col("most")).otherwise(F.col("longest")).alias("most"), F.when(enough, F.col("s")).otherwise(F.col("n")).alias("s")), "counted")
+
+    def words_of(lists: DataFrame) -> DataFrame:
+        return texts.join(F.broadcast(lists) if few_ids else lists, "_r").select("_r", "own", F.array_distinct(_words(F.col("text"))).alias("words")).select("_r", F.inline("own"), "words")
+
+    shorter = held.join(small(of), "term").where("size <= most").withColumn("bucket", F.pmod(F.xxhash64("_r"), F.ceil(F.col("s") / TERM_DOCS)))
+    each = words_of(shorter.groupBy("_r").agg(F.collect_list(F.struct("term", "n", "s", "bucket")).alias("own"))).repartition("term", "bucket").dropDuplicates(["term", "bucket", "n", "s", "_r"])
+    near = each.select("term", "bucket", "n", "s", F.explode("words").alias("wide")).where("wide <> term").groupBy("term", "bucket", "n", "s", "wide").agg(F.count(F.lit(1)).alias("both"))
+    can = F.col("both") >= SUBSUMES * F.col("n") - (F.col("n") - F.col("s")) - 1e-6
+    # what is in one bucket is counted in full
+    near = near.where((F.col("s") > TERM_DOCS) | can).where(~F.regexp_like("wide", F.lit("^[0-9]+$"))).groupBy("term", "n", "s", "wide").agg(F.sum("both").alias("both")).where(can)
+    likely = near.join(told.select(F.col("term").alias("wide")), "wide", "left_anti").withColumn("t", F.xxhash64("wide")).join(n_t, "t")
+    likely = written(likely.where((F.col("n_t") > F.col("n")) & (F.col("n_t") * 2 <= n_docs)).select("term", "n", "wide", "n_t"), "likely")
+
+    wides = likely.groupBy("term").agg(F.collect_list("wide").alias("wides"))
+    whole = held.join(small(wides), "term")
+    # many terms' words go with the documents' terms, so that no text is shuffled for each of its terms
+    if few:
+        all_of = words_of(whole.groupBy("_r").agg(F.collect_list(F.struct("term")).alias("own"))).join(F.broadcast(wides), "term")
+    else:
+        all_of = words_of(whole.groupBy("_r").agg(F.collect_list(F.struct("term", "wides")).alias("own")))
+    met = all_of.select("_r", "term", F.explode(F.array_intersect("wides", "words")).alias("wide")).groupBy("term", "wide").agg(F.count_distinct("_r").alias("both"))
+    fits = met.join(likely, ["term", "wide"]).where(F.col("both") >= SUBSUMES * F.col("n"))
     return fits.groupBy("term").agg(F.min_by("wide", F.struct("n_t", "wide")).alias("broader"))
 
 
 def disclosing_terms(keyed: DataFrame, found: DataFrame, generalise: float = GENERALISE) -> DataFrame:
     """(_r, list): for each document (keyed: _r, text) that has some, its terms that give an entity away, with their disclosure and broader term (null: none)."""
     n_docs = keyed.count()
-    words = keyed.select("_r", F.explode(F.array_distinct(_words(F.col("text")))).alias("term"))
+    words = keyed.select("_r", F.char_length("text").alias("size"), F.explode(F.array_distinct(_words(F.col("text")))).alias("term"))
     # counted over all words before any join, so that frequent terms are one row per task
     n_t = written(words.groupBy(F.xxhash64("term").alias("t")).agg(F.count(F.lit(1)).alias("n_t")), "terms")
     told = term_disclosures(n_docs, n_t, found, generalise)
     few = told.limit(MAX_BROADCAST_TERMS + 1).count() <= MAX_BROADCAST_TERMS
     small = F.broadcast(told) if few else told
     listed = written(words.join(small, "term"), "listed")
-    held = listed.select("_r", "term").distinct()
+    held = listed.select("_r", "term", "size").distinct()
     ids = held.select("_r").distinct()
     few_ids = ids.limit(MAX_BROADCAST_LISTS + 1).count() <= MAX_BROADCAST_LISTS
-    near = words.join(F.broadcast(ids) if few_ids else ids, "_r", "left_semi").distinct()
-    broader = written(broader_terms(n_docs, n_t, told, held, near), "broader")
+    broader = written(broader_terms(n_docs, n_t, told, held, keyed, few, few_ids), "broader")
     whole = told.join(broader, "term", "left").select("term", "disclosure", "broader")
     each = held.join(F.broadcast(whole) if few else whole, "term")
     return written(each.groupBy("_r").agg(F.sort_array(F.collect_set(F.struct("term", "disclosure", "broader"))).alias("list")), "lists")

@@ -504,6 +504,33 @@ def test_terms_that_disclose_are_found_and_replaced(spark, none, awkward):
     assert {"base_in", "list_in", "terms_in", "h", "_h", "label"} <= set(both.columns) and both.count() == awkward.count()
 
 
+@pytest.mark.parametrize("few, bucket, share", [(True, 2000, 0.3), (True, 3, 0.3), (False, 3, 0.3), (False, 2000, 0.01)])
+def test_broader_terms_equal_brute_force_and_shuffle_little(spark, monkeypatch, few, bucket, share):
+    monkeypatch.setattr(pii, "TERM_DOCS", bucket)
+    monkeypatch.setattr(common, "CLEANUP", "spark.hopbound.none")  # to see all shuffle files
+    monkeypatch.setattr(pii, "SHORTER", share)  # 0.01: too few to hold every candidate, so that all are taken
+    r = random.Random(11)
+    texts = [" ".join(r.choice("abcdefg") + str(r.randint(0, 9) ** 2) + "x" for _ in range(r.choice((3, 8, 30, 60)))) for _ in range(60)] + [" ".join(f"u{i}v{j}" for j in range(3000)) for i in range(25)]
+    told = ["tell" + str(i) for i in range(8)]
+    texts = [t + "".join(f" {x}" + f" wide{i // 2}" * (r.random() < 0.95) for i, x in enumerate(told) if r.random() < 0.25) for t in texts]
+    words = [set(re.findall(r"[^\W_]+", t.lower())) for t in texts]
+    n_of = lambda w: sum(w in x for x in words)
+    want = {}
+    for t in told:
+        of = [x for x in words if t in x]
+        fits = [(n_of(w), w) for w in set.union(*of) - set(told) if not w.isdigit() and sum(w in x for x in of) >= pii.SUBSUMES * len(of) and len(of) < n_of(w) <= len(texts) / 2]
+        if fits:
+            want[t] = min(fits)[1]
+    rows = spark.createDataFrame([(i, t) for i, t in enumerate(texts)] + [(0, texts[0])] * 3, "_r long, text string")
+    held = spark.createDataFrame([(i, t, len(texts[i])) for i, x in enumerate(words) for t in sorted(x & set(told))], "_r long, term string, size int")
+    n_t = rows.distinct().select(F.explode(F.array_distinct(pii._words(F.col("text")))).alias("term")).groupBy(F.xxhash64("term").alias("t")).agg(F.count("*").alias("n_t")).where("n_t > 1").localCheckpoint()
+    before = shuffle_bytes(spark)
+    got = {x.term: x.broader for x in pii.broader_terms(len(texts), n_t, spark.createDataFrame([(t,) for t in told], "term string"), held, rows, few, few).collect()}
+    assert got == want and len(want) > 3
+    if share == 0.3 and few:  # the long texts, which are most of all, are not shuffled
+        assert shuffle_bytes(spark) - before < 0.1 * sum(map(len, texts))
+
+
 def test_copies_of_one_text_disclose_nothing(spark):
     texts = pii_texts()
     copies = docs_of(spark, [texts[0]] * 20 + texts[8:40])
@@ -884,6 +911,11 @@ def shuffle_files(spark):
     return {n for i in range(files.size()) if (n := files.apply(i).getName()).startswith("shuffle_")}
 
 
+def shuffle_bytes(spark):
+    files = spark.sparkContext._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager().getAllFiles()
+    return sum(f.length() for i in range(files.size()) if (f := files.apply(i)).getName().startswith("shuffle_") and f.getName().endswith(".data"))
+
+
 def test_tables_leave_no_shuffle_files(spark):
     before, setting = shuffle_files(spark), spark.conf.get(common.CLEANUP, None)
     for write in (lambda df: common.written(df), lambda df: common.bucketed(df, "k", "left")):
