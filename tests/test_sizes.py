@@ -87,6 +87,25 @@ def test_cycles_from_hubs_are_those_of_a_plain_search(spark):
     assert not all_cycles(spark.createDataFrame([], "src bigint, dst bigint, ord int"), 4, strategy="hubs").collect()
 
 
+def test_cycles_from_hubs_leave_in_an_order_that_files_compress(spark, tmp_path):
+    users = random.Random(3).sample(range(5000), 300)
+    edges = [(a, b, 1) for u in users for i in (90001, 90002) for a, b in ((u, i), (i, u))]
+    found = all_cycles(spark.createDataFrame(edges, "src bigint, dst bigint, ord int"), 4, strategy="hubs").where("len = 4").select("path")
+    found.coalesce(1).write.parquet(f"{tmp_path}/found")
+    rows = [tuple(r.path) for r in spark.read.parquet(f"{tmp_path}/found").collect()]
+    assert len(rows) == len(set(rows)) == 300 * 299
+    # neighbours differ in one user but for the ends of the runs of a first user
+    assert sum(a[:2] == b[:2] and a[2] < b[2] for a, b in zip(rows, rows[1:])) > 0.97 * len(rows)
+
+
+def test_cycles_from_hubs_of_several_blocks(spark, monkeypatch):
+    monkeypatch.setattr(P, "HALVES_OF_A_BLOCK", 3)
+    r = random.Random(5)
+    edges = sorted({(a, b) for a, b in ((r.randrange(10), r.randrange(10)) for _ in range(60)) if a != b} | {(a, b) for i in range(9) for a, b in ((9, i), (i, 9), (5, i)) if a != b})
+    found = all_cycles(spark.createDataFrame([(*e, 1) for e in edges], "src bigint, dst bigint, ord int"), 5, strategy="hubs")
+    assert sorted((x.root, x.len, tuple(x.path)) for x in found.collect()) == sorted(c for x in range(10) for c in _plain_cycles(edges, 5, (x,)))
+
+
 def test_cycles_of_bigrams_need_no_search(spark, tmp_path, monkeypatch):
     monkeypatch.setattr(P, "search_groups", None)
     spark.createDataFrame([(1, "b c a b c a b c a b a b", "en")], "doc_id bigint, text string, lang string").write.parquet(f"{tmp_path}/documents.parquet")
